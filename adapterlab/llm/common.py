@@ -58,3 +58,10 @@ def training_ids(labels: DataFrame, label: str, limit: int) -> DataFrame:
     )
     parts = [rows.where(F.col("y") == y).orderBy("h", "doc_id").limit(limit) for y in (0, 1)]
     return parts[0].unionByName(parts[1]).select(F.col("doc_id").alias("train_id"), "y")
+
+
+def texts(column, step: int = 256):
+    """The strings of an Arrow column one after the other (null: empty), few of them in memory as Python objects."""
+    for i in range(0, len(column), step):
+        for t in column.slice(i, step).to_pylist():
+            yield t or ""

@@ -7,17 +7,18 @@ numpy walks for a whole batch and all trees at once.
 from __future__ import annotations
 
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 from itertools import islice
 from operator import eq
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import held_out, training_ids
+from adapterlab.llm.common import held_out, texts, training_ids
 
 STATISTICS = (
     "log_bytes", "log_words", "log_lines", "word_bytes", "longest_word", "upper", "lower", "digit", "space", "high", "stops", "bangs",
@@ -86,6 +87,10 @@ def statistics(text: str | None) -> list[float]:
     ]
 
 
+def matrix(column: Iterable[str | None]) -> np.ndarray:
+    return np.array([statistics(t) for t in column], np.float64).reshape(-1, len(STATISTICS))
+
+
 def grow_forest(x: np.ndarray, y: np.ndarray, params: QualityParams = QualityParams()) -> Forest:
     """Boosts the log loss level by level; every split is found in per-bin sums of gradients and hessians."""
     n, f = x.shape
@@ -139,8 +144,8 @@ def grow_forest(x: np.ndarray, y: np.ndarray, params: QualityParams = QualityPar
 def _with_statistics(keep: list[str]):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            x = np.array([statistics(t) for t in batch["text"]]).reshape(len(batch), len(STATISTICS))
-            yield pd.concat([batch[keep].reset_index(drop=True), pd.DataFrame(x, columns=list(STATISTICS))], axis=1)
+            x = pd.DataFrame(matrix(batch["text"]), columns=list(STATISTICS))
+            yield pd.concat([batch[keep].reset_index(drop=True), x], axis=1)
 
     return run
 
@@ -158,22 +163,20 @@ def fit_quality(documents: DataFrame, labels: DataFrame, params: QualityParams =
 def score_quality(documents: DataFrame, forest: Forest, threshold: float = 0.3) -> DataFrame:
     """(doc_id, held_out, score, predicted) per row of `documents`; null and empty texts have statistics of zero."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = np.array([statistics(t) for t in batch["text"]]).reshape(len(batch), len(STATISTICS))
-            yield pd.DataFrame({"doc_id": batch["doc_id"], "held_out": batch["held_out"], "score": forest.score(x)})
+            score = pa.array(forest.score(matrix(texts(batch.column("text")))))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), score], names=["doc_id", "held_out", "score"])
 
-    rows = documents.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.coalesce("text", F.lit("")).alias("text"))
-    return rows.mapInPandas(run, "doc_id long, held_out boolean, score double").withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+    rows = documents.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text")
+    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double").withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
 def keep_quality(documents: DataFrame, forest: Forest, threshold: float = 0.3) -> DataFrame:
     """The rows of `documents`, all columns, whose score reaches the threshold; one pass, no join."""
-    from pyspark.sql.types import StringType
 
     @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
-        x = np.array([statistics(t) for t in texts]).reshape(len(texts), len(STATISTICS))
-        return pd.Series(forest.score(x))
+    def score(column: pd.Series) -> pd.Series:
+        return pd.Series(forest.score(matrix(column)))
 
-    return documents.where(score(F.coalesce(F.col("text").cast(StringType()), F.lit(""))) >= threshold)
+    return documents.where(score(F.coalesce("text", F.lit(""))) >= threshold)

@@ -6,7 +6,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 from adapterlab.llm.chat import CHAT_SQL, rotate_perspectives
 from adapterlab.llm.common import table
+from adapterlab.llm.packing import pack_documents
 from adapterlab.llm.quality import fit_quality, score_quality
+from adapterlab.llm.simhash import near_duplicates
 from adapterlab.llm.toxicity import fit_toxicity, score_toxicity
 from adapterlab.llm.urls import URL_SQL, filter_urls, task_rules
 
@@ -20,6 +22,16 @@ def op2_quality_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_quality(documents, fit_quality(documents, table(spark, sf_dir, "labels")))
 
 
+def tokenizer_file() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path("byte_bpe_50k.json")
+
+
+def op4_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(table(spark, sf_dir, "documents"), tokenizer_file())
+
+
 def op6_toxicity_ngrams(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = table(spark, sf_dir, "documents")
     return score_toxicity(documents, fit_toxicity(documents, table(spark, sf_dir, "labels")))
@@ -29,5 +41,12 @@ def op9_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return filter_urls(table(spark, sf_dir, "pages"), task_rules(spark))
 
 
-QUERIES = {f.__name__: f for f in (op1_perspective_rotation, op2_quality_trees, op6_toxicity_ngrams, op9_url_rules)}
+def op10_simhash_multi_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {
+    f.__name__: f
+    for f in (op1_perspective_rotation, op2_quality_trees, op4_best_fit_packing, op6_toxicity_ngrams, op9_url_rules, op10_simhash_multi_index)
+}
 SQL = {"op1_perspective_rotation": CHAT_SQL, "op9_url_rules": URL_SQL}

@@ -12,10 +12,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import checkpointed, held_out, training_ids
+from adapterlab.llm.common import checkpointed, held_out, texts, training_ids
 
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
@@ -25,9 +26,9 @@ LOWER[65:91] += 32
 class ToxicityParams:
     orders: tuple[int, ...] = (3, 4, 5)
     bits: int = 18
-    train_per_class: int = 2000  # labelled documents of each class at most
+    train_per_class: int = 3000  # labelled documents of each class at most
     max_features: int = 2048
-    min_z: float = 4.0
+    min_z: float = 3.5
     alpha: float = 1.0
     l2: float = 1e-3
     steps: int = 400
@@ -148,13 +149,14 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, params: ToxicityParams
 def score_toxicity(documents: DataFrame, model: ToxicityModel, threshold: float = 0.5) -> DataFrame:
     """(doc_id, held_out, score, predicted) per row of `documents`; null and empty texts score the bias alone."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         grams, table = Grams(model.params), np.zeros(1 << model.params.bits)
         table[model.buckets] = model.weights
         for batch in batches:
-            raw = np.array([table[grams(t)].sum() for t in batch["text"]]) + model.bias
-            yield pd.DataFrame({"doc_id": batch["doc_id"], "held_out": batch["held_out"], "score": 1 / (1 + np.exp(-np.clip(raw, -50, 50)))})
+            raw = np.fromiter((table[grams(t)].sum() for t in texts(batch.column("text"))), np.float64, batch.num_rows) + model.bias
+            score = pa.array(1 / (1 + np.exp(-np.clip(raw, -50, 50))))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), score], names=["doc_id", "held_out", "score"])
 
-    rows = documents.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.coalesce("text", F.lit("")).alias("text"))
-    scored = rows.mapInPandas(run, "doc_id long, held_out boolean, score double")
+    rows = documents.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text")
+    scored = rows.mapInArrow(run, "doc_id long, held_out boolean, score double")
     return scored.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
