@@ -9,6 +9,7 @@ from adapterlab.llm.common import table
 from adapterlab.llm.packing import pack_documents
 from adapterlab.llm.quality import fit_quality, score_quality
 from adapterlab.llm.simhash import near_duplicates
+from adapterlab.llm.suffixes import repeated_bytes
 from adapterlab.llm.toxicity import fit_toxicity, score_toxicity
 from adapterlab.llm.urls import URL_SQL, filter_urls, task_rules
 
@@ -22,6 +23,10 @@ def op2_quality_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_quality(documents, fit_quality(documents, table(spark, sf_dir, "labels")))
 
 
+def op3_suffix_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_bytes(table(spark, sf_dir, "documents"))
+
+
 def tokenizer_file() -> str:
     import public_tokenizers
 
@@ -47,6 +52,6 @@ def op10_simhash_multi_index(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_perspective_rotation, op2_quality_trees, op4_best_fit_packing, op6_toxicity_ngrams, op9_url_rules, op10_simhash_multi_index)
+    for f in (op1_perspective_rotation, op2_quality_trees, op3_suffix_buckets, op4_best_fit_packing, op6_toxicity_ngrams, op9_url_rules, op10_simhash_multi_index)
 }
 SQL = {"op1_perspective_rotation": CHAT_SQL, "op9_url_rules": URL_SQL}
