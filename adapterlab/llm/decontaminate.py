@@ -15,6 +15,7 @@ from dataclasses import dataclass
 from hashlib import blake2b
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -87,7 +88,8 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(29))
 
 
-def template(text: str | None, codes: Codes) -> Template:
+def template(text: str | None, codes: Codes, names: bool = True) -> Template:
+    """names=False: capitals name nothing, as in copies written all in capitals or all in small letters."""
     words = (text or "").replace("\n", f" {LINE} ").split()
     raw = np.fromiter(map(codes.__getitem__, words), np.int64, len(words))
     flags = raw & 255
@@ -109,7 +111,7 @@ def template(text: str | None, codes: Codes) -> Template:
     # Where most words of a sentence are capitals, capitals name nothing.
     if len(raw):
         loud = np.bincount(sentence, capital) > 0.5 * np.bincount(sentence)
-        capital &= ~first & ~loud[sentence]
+        capital &= ~first & ~loud[sentence] & names
     kinds = np.where(number, NUM, np.where(unit, UNIT, np.where(capital, NAME, WORD)))
     own = raw.view(np.uint64) >> np.uint64(8)
     return Template(_mix(np.where(kinds == WORD, own, kinds.astype(np.uint64))), kinds, own)
@@ -130,6 +132,7 @@ def windows(t: Template, width: int = WINDOW) -> np.ndarray:
 
 @dataclass
 class Item:
+    row: int
     item_id: int
     template: Template
     at: dict[int, list[int]]  # window -> its places
@@ -144,16 +147,17 @@ class Index:
         codes = Codes()
         self.items: list[Item] = []
         self.by_window: dict[int, list[int]] = defaultdict(list)
-        for item_id, text in items:
-            t = template(text, codes)
-            at: dict[int, list[int]] = defaultdict(list)
-            for i, h in enumerate(windows(t, width).tolist()):
-                if h:
-                    at[h].append(i)
-            if at:
-                for h in at:
-                    self.by_window[h].append(len(self.items))
-                self.items.append(Item(item_id, t, at))
+        for row, (item_id, text) in enumerate(items):
+            forms = [template(text, codes), template(text, codes, names=False)]
+            for t in forms[: 1 + bool((forms[0].kinds == NAME).any())]:
+                at: dict[int, list[int]] = defaultdict(list)
+                for i, h in enumerate(windows(t, width).tolist()):
+                    if h:
+                        at[h].append(i)
+                if at:
+                    for h in at:
+                        self.by_window[h].append(len(self.items))
+                    self.items.append(Item(row, item_id, t, at))
         keys = np.fromiter(self.by_window, np.uint64, len(self.by_window))
         self.seen = np.zeros(1 << self.BITS, bool)
         self.seen[(keys >> np.uint64(64 - self.BITS)).astype(np.int64)] = True
@@ -166,13 +170,19 @@ class Index:
         for i, key in zip(spots.tolist(), h[spots].tolist()):
             if key in self.by_window:
                 hits[key].append(i)
+        if not hits:
+            return
         met = Counter(k for key in hits for k in self.by_window[key])
+        best: dict[int, tuple[int, int, int, int, int]] = {}
         for k, n in sorted(met.items()):
             item = self.items[k]
             if n < similarity * len(item.at):
                 continue
             if (found := _consistent(t, item, hits, width, similarity)) is not None:
-                yield item.item_id, found[0], len(item.at), found[1], found[2]
+                row = (item.item_id, found[0], len(item.at), found[1], found[2])
+                if item.row not in best or row[1] * best[item.row][2] > best[item.row][1] * row[2]:
+                    best[item.row] = row
+        yield from best.values()
 
 
 def _consistent(t: Template, item: Item, hits: dict[int, list[int]], width: int, similarity: float) -> tuple[int, int, int] | None:
@@ -258,17 +268,18 @@ def find_leaks(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW,
 
 def drop_leaked(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW, similarity: float = SIMILARITY) -> DataFrame:
     """The rows of `documents`, all columns, that hold no benchmark item; no shuffle."""
-    import pandas as pd
-
     spark, kept = documents.sparkSession, documents
-    for items in _blocks(benchmark):
-        sent = spark.sparkContext.broadcast(items)
 
+    def leaked_in(sent):
         @F.pandas_udf("boolean")
-        def leaked(batches: Iterator[pd.Series], sent=sent) -> Iterator[pd.Series]:
+        def leaked(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
             index, codes = Index(sent.value, width), Codes()
             for column in batches:
                 yield pd.Series([next(index.matches(template(t, codes), width, similarity), None) is not None for t in column], dtype=bool)
 
+        return leaked
+
+    for items in _blocks(benchmark):
+        leaked = leaked_in(spark.sparkContext.broadcast(items))  # bounded by BLOCK_CHARS
         kept = kept.where(~leaked(F.coalesce("text", F.lit(""))))
     return kept
