@@ -12,7 +12,6 @@ import re
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
-from hashlib import blake2b
 
 import numpy as np
 import pandas as pd
@@ -41,6 +40,7 @@ NUMBER_WORDS = frozenset(
 NUMBER = re.compile(r"[+\-]?[$€£¥]?\d[\d.,:/]*%?")
 WITH_UNIT = re.compile(r"([+\-]?[$€£¥]?\d[\d.,:/]*)([^\W\d_]+)")
 EDGES = re.compile(r"^[^\w$€£¥+\-]+|[^\w%]+$")
+ENDING = frozenset(".!?…:")
 LINE = "\x00"
 
 # A word's code: 56 bits of its hash, then the flags below.
@@ -56,22 +56,25 @@ class Codes(dict):
     def __missing__(self, word: str) -> int:
         if len(self) >= self.LIMIT:
             self.clear()
-        if word == LINE:
-            code = IS_LINE | SKIP
+        trimmed = word.rstrip(".,;:!?…")
+        if trimmed.isalpha():  # nearly all words
+            low = trimmed.lower()
+            flags = ENDS * (trimmed != word and not ENDING.isdisjoint(word[len(trimmed) :])) | CAPITAL * trimmed[0].isupper()
+            flags |= IS_NUMBER * (low in NUMBER_WORDS) | IS_UNIT * (low in UNITS)
+        elif word == LINE:
+            low, flags = "", IS_LINE | SKIP
         else:
             bare = EDGES.sub("", word)
             low = bare.lower()
-            flags = ENDS * bool(re.search(r"[.!?…:][^\w]*$", word)) | SKIP * (not bare)
+            flags = ENDS * bool(re.search(r"[.!?…:][^\w]*$", word)) | SKIP * (not bare) | CAPITAL * bare[:1].isupper()
             if NUMBER.fullmatch(bare) or low in NUMBER_WORDS:
                 flags |= IS_NUMBER
             elif m := WITH_UNIT.fullmatch(bare):
                 flags |= IS_NUMBER | IS_UNIT if m[2].lower() in UNITS else 0
             elif low in UNITS:
                 flags |= IS_UNIT
-            if bare[:1].isupper():
-                flags |= CAPITAL
-            code = int.from_bytes(blake2b(low.encode("utf-8", "surrogatepass"), digest_size=7).digest(), "little") << 8 | flags
-            code -= (code >> 63) << 64
+        # Documents and items are coded in one process, so its own string hash will do.
+        code = hash(low) >> 8 << 8 | flags
         self[word] = code
         return code
 
