@@ -33,11 +33,12 @@ from pyspark.sql import types as T
 LENGTH, GRAM = 100, 32
 GROUP_BYTES = 4 << 20
 BLOCK = 1 << 18
+REFINED = 1 << 18  # bytes refined at once, beside the first bucket that crosses it
 LOCAL_CONTENTS, BUCKET_CONTENTS = 64, 4096  # beyond these, a bucket is cut down to single strings
 KEEP, REPEAT, REFINE, SINGLE = 0, 1, 2, 3
 U = np.uint64
 ENTRY = np.dtype([("h", "<u8"), ("c", "<u8"), ("doc", "<i8"), ("hot", "u1")])
-RUN = np.dtype([("doc", "<i8"), ("at", "<i8"), ("strings", "<i4")])
+RUN = np.dtype([("h", "<u8"), ("doc", "<i8"), ("at", "<i8"), ("strings", "<i4")])
 STRING = np.dtype([("x", "<u8"), ("y", "<u8"), ("doc", "<i8"), ("at", "<i8")])
 
 
@@ -260,7 +261,7 @@ def _ask(buckets: int, length: int):
         some, where = some[order], where[order]
         first, last = group.runs.first[some], group.runs.last[some]
         head = np.zeros(len(some), RUN)
-        head["doc"], head["at"], head["strings"] = group.doc[some], first, last - first + 1
+        head["h"], head["doc"], head["at"], head["strings"] = group.runs.h[some], group.doc[some], first, last - first + 1
         cuts = np.flatnonzero(np.concatenate([[True], where[1:] != where[:-1], [True]])) if len(some) else np.zeros(1, np.int64)
         raw = group.data
         for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
@@ -322,13 +323,25 @@ def _refine_runs(length: int):
             g = np.repeat(np.array([x for x, _, _ in runs]), [len(h) for _, h, _ in runs])
             data = np.frombuffer(b"".join(body for *_, body in runs), np.uint8)
             sizes = head["strings"].astype(np.int64) + length - 1
-            ends = np.repeat(np.cumsum(sizes), sizes)
-            pointer = refine(data, ends, length)
-            at = np.flatnonzero(pointer >= 0)
-            of = np.searchsorted(np.cumsum(sizes), at, side="right")
-            pos = head["at"][of] + at - (np.cumsum(sizes) - sizes)[of]
-            later = _later((pointer[at],), head["doc"][of], g[of], pos)
-            gone.append((g[of][later], pos[later]))
+            starts = np.cumsum(sizes) - sizes
+            # Equal strings have equal anchors: whole first buckets are refined, a few at a time.
+            order = np.argsort(head["h"], kind="stable")
+            h, done = head["h"][order], np.cumsum(sizes[order])
+            edges = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
+            lot = (done[edges] - sizes[order][edges]) // REFINED
+            cuts = [*edges[np.concatenate([[True], lot[1:] != lot[:-1]])].tolist(), len(h)]
+            for a, b in zip(cuts, cuts[1:]):
+                some = order[a:b]
+                size = sizes[some]
+                last = np.cumsum(size)
+                piece = data[np.repeat(starts[some] - (last - size), size) + np.arange(last[-1])]
+                pointer = refine(piece, np.repeat(last, size), length)
+                at = np.flatnonzero(pointer >= 0)
+                of = np.searchsorted(last, at, side="right")
+                pos = head["at"][some][of] + at - (last - size)[of]
+                owner = g[some][of]
+                later = _later((pointer[at],), head["doc"][some][of], owner, pos)
+                gone.append((owner[later], pos[later]))
         if ones := [(g, np.frombuffer(head, STRING)) for g, kind, head, _ in rows if kind == 2]:
             one = np.concatenate([h for _, h in ones])
             g = np.repeat(np.array([x for x, _ in ones]), [len(h) for _, h in ones])
