@@ -51,7 +51,7 @@ WORD, NUM, NAME, UNIT = 0, 1, 2, 3
 class Codes(dict):
     """Word -> code, made once for each distinct word; emptied when it grows large."""
 
-    LIMIT = 1_000_000
+    LIMIT = 250_000
 
     def __missing__(self, word: str) -> int:
         if len(self) >= self.LIMIT:
