@@ -43,7 +43,7 @@ def w2_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
 def w3_traffic(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ideal ledger, and the one whose frozen product reads again as a real one does."""
     plain = traffic_ratio(traffic_ledger(shapes_frame(spark, LAYERS))).withColumn("model", F.lit("ideal"))
-    real = traffic_ratio(traffic_ledger(shapes_frame(spark, LAYERS), gemm_reread=12.8)).withColumn("model", F.lit("reread"))
+    real = traffic_ratio(traffic_ledger(shapes_frame(spark, LAYERS), gemm_reread=7.8)).withColumn("model", F.lit("reread"))
     return plain.unionByName(real)
 
 
