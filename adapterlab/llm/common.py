@@ -65,3 +65,9 @@ def texts(column, step: int = 256):
     for i in range(0, len(column), step):
         for t in column.slice(i, step).to_pylist():
             yield t or ""
+
+
+def with_small_batches(df: DataFrame) -> DataFrame:
+    """The same frame; its session sends texts to Python in Arrow batches of 16 MB at most, however long they are."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", "16m")
+    return df

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import texts
+from adapterlab.llm.common import texts, with_small_batches
 
 WINDOW, SIMILARITY = 5, 0.8
 MIN_WORDS = 2  # words that are no placeholders, in a window
@@ -246,7 +246,7 @@ def find_leaks(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW,
     a row each. Other columns are not read.
     """
     spark = documents.sparkSession
-    docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    docs = with_small_batches(documents).select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     out = None
     for items in _blocks(benchmark):
         sent = spark.sparkContext.broadcast(items)  # bounded by BLOCK_CHARS
@@ -271,7 +271,7 @@ def find_leaks(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW,
 
 def drop_leaked(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW, similarity: float = SIMILARITY) -> DataFrame:
     """The rows of `documents`, all columns, that hold no benchmark item; no shuffle."""
-    spark, kept = documents.sparkSession, documents
+    spark, kept = documents.sparkSession, with_small_batches(documents)
 
     def leaked_in(sent):
         @F.pandas_udf("boolean")

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import texts
+from adapterlab.llm.common import texts, with_small_batches
 
 # Element kinds of HTML and words that name page furniture in classes, ids and roles.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -203,5 +203,5 @@ def extract_main_text(pages: DataFrame) -> DataFrame:
             arrays = [batch.column("page_id"), batch.column("url"), pa.array(found, pa.string()), pa.array(map(len, found), pa.int64())]
             yield pa.RecordBatch.from_arrays(arrays, names=["page_id", "url", "text", "n_chars"])
 
-    rows = pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), "html")
+    rows = with_small_batches(pages).select(F.col("page_id").cast("long"), F.col("url").cast("string"), "html")
     return rows.mapInArrow(run, "page_id long, url string, text string, n_chars long")

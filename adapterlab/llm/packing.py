@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from adapterlab.llm.common import checkpointed, texts
+from adapterlab.llm.common import checkpointed, texts, with_small_batches
 
 CAPACITY = 1024
 END_ID = 2
@@ -83,7 +83,7 @@ def tokenize(documents: DataFrame, tokenizer_path: str, capacity: int = CAPACITY
             arrays = [batch.column("doc_id").take(pa.array(at, pa.int64())), *(pa.array(c, t) for c, t in zip(columns, kinds))]
             yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", *names])
 
-    rows = documents.select(F.col("doc_id").cast("long"), "text")
+    rows = with_small_batches(documents).select(F.col("doc_id").cast("long"), "text")
     pieces = rows.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long, part int, k long, ids binary")
     return pieces if keep_ids else pieces.drop("ids")
 

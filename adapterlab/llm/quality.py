@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import held_out, texts, training_ids
+from adapterlab.llm.common import held_out, texts, training_ids, with_small_batches
 
 STATISTICS = (
     "log_bytes", "log_words", "log_lines", "word_bytes", "longest_word", "upper", "lower", "digit", "space", "high", "stops", "bangs",
@@ -153,7 +153,7 @@ def _with_statistics(keep: list[str]):
 def fit_quality(documents: DataFrame, labels: DataFrame, params: QualityParams = QualityParams(), label: str = "quality") -> Forest:
     """Learns from at most `train_per_class` labelled documents of each class, none of them held out."""
     ids = training_ids(labels, label, params.train_per_class)
-    train = documents.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("train_id"))
+    train = with_small_batches(documents).select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("train_id"))
     schema = "doc_id long, y int, " + ", ".join(f"{s} double" for s in STATISTICS)
     rows = train.select("doc_id", "text", "y").mapInPandas(_with_statistics(["doc_id", "y"]), schema).toPandas()
     rows = rows.sort_values(["doc_id", "y", *STATISTICS])
@@ -168,7 +168,7 @@ def score_quality(documents: DataFrame, forest: Forest, threshold: float = 0.3)
             score = pa.array(forest.score(matrix(texts(batch.column("text")))))
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), score], names=["doc_id", "held_out", "score"])
 
-    rows = documents.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text")
+    rows = with_small_batches(documents).select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text")
     return rows.mapInArrow(run, "doc_id long, held_out boolean, score double").withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
@@ -179,4 +179,4 @@ def keep_quality(documents: DataFrame, forest: Forest, threshold: float = 0.3) -
     def score(column: pd.Series) -> pd.Series:
         return pd.Series(forest.score(matrix(column)))
 
-    return documents.where(score(F.coalesce("text", F.lit(""))) >= threshold)
+    return with_small_batches(documents).where(score(F.coalesce("text", F.lit(""))) >= threshold)

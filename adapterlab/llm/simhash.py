@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import checkpointed, texts
+from adapterlab.llm.common import checkpointed, texts, with_small_batches
 
 SEED, WORDS, DISTANCE, SEGMENTS = 42, 3, 3, 2
 
@@ -49,7 +49,7 @@ def fingerprints(documents: DataFrame, words: int = WORDS) -> DataFrame:
             bits = np.fromiter((fingerprint(t, words) for t in texts(batch.column("text"))), np.uint64, batch.num_rows)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(bits.view(np.int64))], names=["doc_id", "bits"])
 
-    return documents.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, bits long")
+    return with_small_batches(documents).select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, bits long")
 
 
 def near_links(classes: DataFrame, distance: int = DISTANCE, segments: int = SEGMENTS) -> DataFrame:

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import checkpointed, held_out, texts, training_ids
+from adapterlab.llm.common import checkpointed, held_out, texts, training_ids, with_small_batches
 
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
@@ -116,7 +116,7 @@ def _logistic(x: np.ndarray, y: np.ndarray, l2: float, steps: int) -> tuple[np.n
 def fit_toxicity(documents: DataFrame, labels: DataFrame, params: ToxicityParams = ToxicityParams(), label: str = "toxic") -> ToxicityModel:
     """Learns from at most `train_per_class` labelled documents of each class, none of them held out."""
     ids = training_ids(labels, label, params.train_per_class)
-    train = documents.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("train_id"))
+    train = with_small_batches(documents).select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("train_id"))
     train = checkpointed(train.select("doc_id", "text", "y"))
     n = {r["y"]: r["count"] for r in train.groupBy("y").count().collect()}
     neg, pos = n.get(0, 0), n.get(1, 0)
@@ -157,6 +157,6 @@ def score_toxicity(documents: DataFrame, model: ToxicityModel, threshold: float
             score = pa.array(1 / (1 + np.exp(-np.clip(raw, -50, 50))))
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), score], names=["doc_id", "held_out", "score"])
 
-    rows = documents.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text")
+    rows = with_small_batches(documents).select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text")
     scored = rows.mapInArrow(run, "doc_id long, held_out boolean, score double")
     return scored.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
