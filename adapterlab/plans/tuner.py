@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
@@ -77,27 +78,29 @@ def balanced_clusters(samples: DataFrame, clusters: int) -> DataFrame:
     return samples.sparkSession.createDataFrame(rows, "adapter_id string, tokens bigint, cluster int")
 
 
-def scaling_study(spark: SparkSession, samples: DataFrame, adapters: list[Adapter], devices: tuple[int, ...] = (4, 8, 16), stages: int = 4, options: Options = Options()) -> DataFrame:
+def scaling_study(spark: SparkSession, samples: DataFrame, adapters: list[Adapter], devices: tuple[int, ...] = (4, 8, 16), stages: int = 4, options: Options = Options(), sync: float = 0.0) -> DataFrame:
     """Data-parallel against job scaling: (mode, devices, makespan, tokens, rate_per_device).
 
-    Data parallel: replicas of the pipeline share each global batch, whose size grows with the devices. Job
-    scaling: adapters are dealt to clusters of `stages` devices, which work side by side.
+    Data parallel: replicas of the pipeline share each global batch, whose size grows with the devices, and meet at
+    its end. Jobs: as many more jobs of the plain batch size, dealt to clusters of `stages` devices that work side by
+    side. Both train the same samples. sync: what the replicas take to sum a batch's gradients.
     """
     samples = checkpointed(samples)
     out = None
     for d in devices:
         replicas = d // stages
-        wide = [Adapter(a.adapter_id, a.dataset, a.rank, a.alpha, a.dropout, a.global_batch_size * replicas, a.seed) for a in adapters]
-        schedule = checkpointed(schedule_batches(global_batches(spark, samples, wide, options), options))
-        per = as_runs(schedule, f"dp/{d}", stages, options.multiple)
-        # Microbatches of a batch go round the replicas; every replica keeps the order.
-        dealt = per.withColumn("run_id", F.concat(F.lit(f"dp/{d}/"), (F.col("pos") % replicas).cast("string")))
-        dp = simulate_pipeline(dealt).agg(F.max("makespan").alias("makespan"), F.sum("tokens").alias("tokens")).select(F.lit("data_parallel").alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens")
-        clusters = balanced_clusters(samples, replicas)
+        wide = [replace(a, global_batch_size=a.global_batch_size * replicas) for a in adapters]
+        spaced = options.with_(stages=stages, gap=(stages - 1) * replicas)
+        runs = as_runs(schedule_batches(global_batches(spark, samples, wide, spaced), spaced), f"dp/{d}", stages, options.multiple)
+        dp = simulate_pipeline(runs, PipeConfig(sync=sync), replicas=replicas).select(F.lit("data_parallel").alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens")
+        part = F.pmod(F.crc32("order_key"), F.lit(replicas)).cast("string")
+        jobs = checkpointed(samples.withColumn("adapter_id", F.concat_ws("#", "adapter_id", part)))
+        each = [replace(a, adapter_id=f"{a.adapter_id}#{k}") for a in adapters for k in range(replicas)]
+        clusters = balanced_clusters(jobs, replicas)
         parts = []
         for k in range(replicas):
-            mine = samples.join(F.broadcast(clusters.where(F.col("cluster") == k)).select("adapter_id"), "adapter_id", "left_semi")
-            parts.append(as_runs(schedule_batches(global_batches(spark, mine, wide, options), options), f"job/{d}/{k}", stages, options.multiple))
+            mine = jobs.join(F.broadcast(clusters.where(F.col("cluster") == k)).select("adapter_id"), "adapter_id", "left_semi")
+            parts.append(as_runs(schedule_batches(global_batches(spark, mine, each, options), options), f"job/{d}/{k}", stages, options.multiple))
         job = simulate_pipeline(reduce(DataFrame.unionByName, parts)).agg(F.max("makespan").alias("makespan"), F.sum("tokens").alias("tokens")).select(F.lit("jobs").alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens")
         both = dp.unionByName(job)
         out = both if out is None else out.unionByName(both)
