@@ -161,13 +161,13 @@ add("unpivot", "SELECT doc_id, 'quality' AS label, quality AS value FROM labels
 add("filtered_aggregates", "SELECT lang, count(*) FILTER (n_chars > 1000) AS long_docs, bool_and(n_chars > 0) AS all_filled, round(corr(n_chars, doc_id), 6) AS trend FROM documents GROUP BY 1", lambda s, d: load(s, d, "documents").groupBy("lang").agg(F.count_if(F.col("n_chars") > 1000).alias("long_docs"), F.bool_and(F.col("n_chars") > 0).alias("all_filled"), F.round(F.corr("n_chars", "doc_id"), 6).alias("trend")))
 
 # Windows
-by_lang = Window.partitionBy("lang").orderBy("tok_len", "doc_id")
+by_lang = lambda: Window.partitionBy("lang").orderBy("tok_len", "doc_id")
 add("ranking", f"""WITH {DOCS} SELECT doc_id, CAST(row_number() OVER w AS INT) AS rn, CAST(rank() OVER (PARTITION BY lang ORDER BY tok_len) AS INT) AS rk, CAST(dense_rank() OVER (PARTITION BY lang ORDER BY tok_len) AS INT) AS dr,
 CAST(ntile(4) OVER w AS INT) AS quarter, round(percent_rank() OVER (PARTITION BY lang ORDER BY tok_len), 6) AS pr FROM docs WINDOW w AS (PARTITION BY lang ORDER BY tok_len, doc_id)""", lambda s, d: docs(s, d).select(
-    "doc_id", F.row_number().over(by_lang).alias("rn"), F.rank().over(Window.partitionBy("lang").orderBy("tok_len")).alias("rk"), F.dense_rank().over(Window.partitionBy("lang").orderBy("tok_len")).alias("dr"),
-    F.ntile(4).over(by_lang).alias("quarter"), F.round(F.percent_rank().over(Window.partitionBy("lang").orderBy("tok_len")), 6).alias("pr")))
+    "doc_id", F.row_number().over(by_lang()).alias("rn"), F.rank().over(Window.partitionBy("lang").orderBy("tok_len")).alias("rk"), F.dense_rank().over(Window.partitionBy("lang").orderBy("tok_len")).alias("dr"),
+    F.ntile(4).over(by_lang()).alias("quarter"), F.round(F.percent_rank().over(Window.partitionBy("lang").orderBy("tok_len")), 6).alias("pr")))
 add("analytic", f"""WITH {DOCS} SELECT doc_id, lag(doc_id) OVER w AS before, lead(doc_id) OVER w AS after, first_value(doc_id) OVER w AS first, nth_value(doc_id, 2) OVER w AS second FROM docs WINDOW w AS (PARTITION BY lang ORDER BY tok_len, doc_id)""", lambda s, d: docs(s, d).select(
-    "doc_id", F.lag("doc_id").over(by_lang).alias("before"), F.lead("doc_id").over(by_lang).alias("after"), F.first("doc_id").over(by_lang).alias("first"), F.nth_value("doc_id", 2).over(by_lang).alias("second")))
+    "doc_id", F.lag("doc_id").over(by_lang()).alias("before"), F.lead("doc_id").over(by_lang()).alias("after"), F.first("doc_id").over(by_lang()).alias("first"), F.nth_value("doc_id", 2).over(by_lang()).alias("second")))
 add("frames", f"""WITH {DOCS} SELECT doc_id, CAST(sum(tok_len) OVER (PARTITION BY lang ORDER BY doc_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS last3,
 count(*) OVER (PARTITION BY lang ORDER BY tok_len RANGE BETWEEN 50 PRECEDING AND 50 FOLLOWING) AS near FROM docs""", lambda s, d: docs(s, d).select(
     "doc_id", F.sum("tok_len").over(Window.partitionBy("lang").orderBy("doc_id").rowsBetween(-2, 0)).alias("last3"), F.count(F.lit(1)).over(Window.partitionBy("lang").orderBy("tok_len").rangeBetween(-50, 50)).alias("near")))
