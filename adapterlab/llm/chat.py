@@ -27,6 +27,14 @@ def _head(c: Column) -> Column:
     return _safe(F.regexp_replace(c, r"[\r\n]", " "))
 
 
+def _header(system_roles: tuple[str, ...]) -> Column:
+    return (
+        F.when(F.col("speaker") == F.col("perspective"), F.lit(f"{OPEN}assistant\n"))
+        .when(F.col("speaker").isin(*system_roles), F.lit(f"{OPEN}system\n"))
+        .otherwise(F.concat(F.lit(f"{OPEN}user name="), _head(F.col("speaker")), F.lit("\n")))
+    )
+
+
 def rotate_perspectives(turns: DataFrame, system_roles: tuple[str, ...] = SYSTEM_ROLES, partitions: int | None = None) -> DataFrame:
     """Segments (conv_id, perspective, position, turn, speaker, segment, mask_start, mask_end, start).
 
@@ -44,41 +52,42 @@ def rotate_perspectives(turns: DataFrame, system_roles: tuple[str, ...] = SYSTEM
     rows = turns.select(
         "conv_id", "turn", speaker.alias("speaker"), F.coalesce("text", F.lit("")).alias("text"), F.xxhash64("conv_id").alias("ck")
     ).withColumn("uid", F.monotonically_increasing_id())
-    order = ["turn", "speaker", "text", "uid"]
-    # Ranges cut one long conversation anywhere; written out once, since range bounds are sampled.
-    rows = checkpointed(rows.repartitionByRange(n, "ck", "conv_id", *order).withColumn("pid", F.spark_partition_id()))
-
+    order = ["ck", "conv_id", "turn", "speaker", "text", "uid"]
+    # Ranges cut one long conversation anywhere. Sorted ranges give every turn a number in the order of all turns; they
+    # are written out once, since range bounds are sampled.
+    sorted_rows = rows.repartitionByRange(n, *order).sortWithinPartitions(*order)
+    rows = checkpointed(sorted_rows.drop("uid").withColumn("seq", F.monotonically_increasing_id()))
+
+    # Places are found on lengths alone; texts are joined at the end, by number.
+    plain = F.length(_safe(F.col("text"))) + F.lit(len(CLOSE))
+    slim = rows.select("seq", "ck", "conv_id", "speaker", plain.cast("long").alias("body"), F.hash("ck").alias("k"))
     who = rows.where(~F.col("speaker").isin(*system_roles)).select("ck", "conv_id", F.col("speaker").alias("perspective")).distinct()
     who = who.withColumn("k", F.hash("ck"))
-    views = rows.withColumn("k", F.hash("ck")).alias("r").join(
-        who.alias("w"), (F.col("r.k") == F.col("w.k")) & F.col("r.conv_id").eqNullSafe(F.col("w.conv_id"))
-    ).select("r.conv_id", "r.ck", "r.pid", "perspective", *(f"r.{c}" for c in order))
-    own = F.col("speaker") == F.col("perspective")
-    header = (
-        F.when(own, F.lit(f"{OPEN}assistant\n"))
-        .when(F.col("speaker").isin(*system_roles), F.lit(f"{OPEN}system\n"))
-        .otherwise(F.concat(F.lit(f"{OPEN}user name="), _head(F.col("speaker")), F.lit("\n")))
+    views = slim.alias("r").join(who.alias("w"), (F.col("r.k") == F.col("w.k")) & F.col("r.conv_id").eqNullSafe(F.col("w.conv_id"))).select(
+        "seq", "r.ck", "r.conv_id", "perspective", "body", _header(system_roles).alias("header"), F.shiftright("seq", 33).alias("range")
     )
-    views = views.withColumn("header", header).withColumn("segment", F.concat("header", _safe(F.col("text")), F.lit(CLOSE)))
-    views = views.withColumn("chars", F.length("segment").cast("long"))
+    views = views.withColumn("chars", F.length("header") + F.col("body"))
 
-    keys = ["ck", "conv_id", "perspective", "pid"]
-    local = Window.partitionBy(*keys).orderBy(*order)
+    keys = ["ck", "conv_id", "perspective", "range"]
+    local = Window.partitionBy(*keys).orderBy("seq")
     views = views.withColumns({
         "at": F.row_number().over(local).cast("long") - 1,
         "before": F.coalesce(F.sum("chars").over(local.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)),
     })
     # One row per dialogue and range; a dialogue has at most as many as there are ranges.
     parts = views.groupBy(*keys).agg(F.count(F.lit(1)).alias("n"), F.sum("chars").alias("c"))
-    earlier = Window.partitionBy("ck", "conv_id", "perspective").orderBy("pid").rowsBetween(Window.unboundedPreceding, -1)
+    earlier = Window.partitionBy("ck", "conv_id", "perspective").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
     base = parts.select(
         *(F.col(k).alias(f"b_{k}") for k in keys), F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("b_n"), F.coalesce(F.sum("c").over(earlier), F.lit(0)).alias("b_c")
     )
     on = [F.col(k).eqNullSafe(F.col(f"b_{k}")) if k == "conv_id" else F.col(k) == F.col(f"b_{k}") for k in keys]
-    start = F.when(own, F.length("header")).otherwise(0)
-    return views.join(base, on).select(
-        "conv_id", "perspective", (F.col("at") + F.col("b_n")).alias("position"), "turn", "speaker", "segment",
-        start.alias("mask_start"), F.when(own, F.length("segment")).otherwise(0).alias("mask_end"), (F.col("before") + F.col("b_c")).alias("start"),
+    placed = views.join(base, on).select(
+        F.col("seq").alias("p_seq"), "perspective", "header", (F.col("at") + F.col("b_n")).alias("position"), (F.col("before") + F.col("b_c")).alias("start")
+    )
+    own = F.col("speaker") == F.col("perspective")
+    return rows.join(placed, F.col("seq") == F.col("p_seq")).withColumn("segment", F.concat("header", _safe(F.col("text")), F.lit(CLOSE))).select(
+        "conv_id", "perspective", "position", "turn", "speaker", "segment",
+        F.when(own, F.length("header")).otherwise(0).alias("mask_start"), F.when(own, F.length("segment")).otherwise(0).alias("mask_end"), "start",
     )
 
 
