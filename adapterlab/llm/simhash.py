@@ -131,6 +131,6 @@ def keep_representatives(documents: DataFrame, marked: DataFrame | None = None)
     Rows that share a doc_id count as one document; one of them stays.
     """
     marked = near_duplicates(documents) if marked is None else marked
-    kept = marked.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("kept_id")).distinct()
-    with_id = documents.join(kept, F.col("doc_id") == F.col("kept_id"), "left_semi").dropDuplicates(["doc_id"])
+    kept = marked.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("__kept_id")).distinct()
+    with_id = documents.join(kept, F.col("doc_id") == F.col("__kept_id"), "left_semi").dropDuplicates(["doc_id"])
     return with_id.unionByName(documents.where(F.col("doc_id").isNull()))

@@ -26,6 +26,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -35,6 +36,7 @@ GROUP_BYTES = 4 << 20
 BLOCK = 1 << 18
 REFINED = 1 << 18  # bytes refined at once, beside the first bucket that crosses it
 LOCAL_CONTENTS, BUCKET_CONTENTS = 64, 4096  # beyond these, a bucket is cut down to single strings
+GROUP = "__group"  # a column of our own, beside whatever columns the documents have
 KEEP, REPEAT, REFINE, SINGLE = 0, 1, 2, 3
 U = np.uint64
 ENTRY = np.dtype([("h", "<u8"), ("c", "<u8"), ("doc", "<i8"), ("hot", "u1")])
@@ -134,10 +136,15 @@ def bytes_of(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
     return data[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
+def ordered(table: pa.Table) -> pa.Table:
+    """Rows by id (null first), then text; equal ones are alike."""
+    keys = pa.table({"doc_id": table.column("doc_id"), "text": table.column("text")})
+    return table.take(pc.sort_indices(keys, [("doc_id", "ascending"), ("text", "ascending")], null_placement="at_start"))
+
+
 def analyse(table: pa.Table, buckets: int, length: int) -> Group:
     """The same for the same rows in any order, so that it can be made again when the verdicts come."""
-    table = table.append_column("_no", pa.array(np.arange(table.num_rows)))
-    table = table.sort_by([("doc_id", "ascending"), ("text", "ascending"), ("_no", "ascending")]).drop_columns(["_no"])
+    table = ordered(table)
     data, offsets = bytes_of(table)
     ids = table.column("doc_id").fill_null(np.iinfo(np.int64).min).to_numpy()
     runs = find_runs(data, offsets, length)
@@ -213,7 +220,7 @@ ASK_SQL = "bucket long, g long, kind int, head binary, body binary"
 
 def _announce(buckets: int, length: int):
     def run(table: pa.Table) -> pa.Table:
-        group, g = analyse(table, buckets, length), table.column("g")[0].as_py()
+        group, g = analyse(table, buckets, length), table.column(GROUP)[0].as_py()
         pairs = [(b, group.entries[group.cuts[b] : group.cuts[b + 1]]) for b in np.flatnonzero(np.diff(group.cuts)).tolist()]
         return _pack([(b, g, 0, e.tobytes(), b"") for b, e in pairs], ASK)
 
@@ -246,7 +253,7 @@ def _ask(buckets: int, length: int):
     def run(docs: pa.Table, told: pa.Table) -> pa.Table:
         if not docs.num_rows:
             return _pack([], ASK)
-        group, g = analyse(docs, buckets, length), docs.column("g")[0].as_py()
+        group, g = analyse(docs, buckets, length), docs.column(GROUP)[0].as_py()
         verdict = np.zeros(len(group.entries), np.uint8)
         for b, v in zip(told.column("bucket").to_pylist(), told.column("head").to_pylist()):
             verdict[group.cuts[b] : group.cuts[b + 1]] = np.frombuffer(v, np.uint8)
@@ -364,8 +371,7 @@ def _cut(length: int, with_text: bool, schema: pa.Schema):
     def run(docs: pa.Table, told: pa.Table) -> pa.Table:
         if not docs.num_rows:
             return schema.empty_table()
-        table = docs.append_column("_no", pa.array(np.arange(docs.num_rows)))
-        table = table.sort_by([("doc_id", "ascending"), ("text", "ascending"), ("_no", "ascending")]).drop_columns(["_no"])
+        table = ordered(docs)
         data, offsets = bytes_of(table)
         n = len(data)
         change = np.zeros(n + 1, np.int64)
@@ -406,17 +412,17 @@ def _deduplicated(documents: DataFrame, length: int, with_text: bool) -> DataFra
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     groups = max(1, -(-size // GROUP_BYTES))
     rows = documents if with_text else documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    rows = rows.withColumn("doc_id", F.col("doc_id").cast("long")).withColumn("g", F.pmod(F.xxhash64("doc_id", "text"), F.lit(groups)))
-    docs = rows.repartition(parts, "g")  # used three times, exchanged once
+    rows = rows.withColumn("doc_id", F.col("doc_id").cast("long")).withColumn(GROUP, F.pmod(F.xxhash64("doc_id", "text"), F.lit(groups)))
+    docs = rows.repartition(parts, GROUP)  # used three times, exchanged once
 
-    asked = docs.groupBy("g").applyInArrow(_announce(groups, length), ASK_SQL)
+    asked = docs.groupBy(GROUP).applyInArrow(_announce(groups, length), ASK_SQL)
     told = asked.groupBy("bucket").applyInArrow(_judge_contents, ASK_SQL)
-    asked = docs.groupBy("g").cogroup(told.groupBy("g")).applyInArrow(_ask(groups, length), ASK_SQL)
+    asked = docs.groupBy(GROUP).cogroup(told.groupBy("g")).applyInArrow(_ask(groups, length), ASK_SQL)
     told = asked.groupBy("bucket").applyInArrow(_refine_runs(length), ASK_SQL)
     fields = [T.StructField("doc_id", T.LongType()), *(T.StructField(n, T.LongType()) for n in ("n_bytes", "n_removed", "n_spans")), T.StructField("kept_sha256", T.StringType())]
-    schema = T.StructType([f for f in rows.schema.fields if f.name != "g"]) if with_text else T.StructType(fields)
+    schema = T.StructType([f for f in rows.schema.fields if f.name != GROUP]) if with_text else T.StructType(fields)
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in schema.fields])
-    return docs.groupBy("g").cogroup(told.groupBy("g")).applyInArrow(_cut(length, with_text, to_arrow_schema(schema)), schema)
+    return docs.groupBy(GROUP).cogroup(told.groupBy("g")).applyInArrow(_cut(length, with_text, to_arrow_schema(schema)), schema)
 
 
 def repeated_bytes(documents: DataFrame, length: int = LENGTH) -> DataFrame:
