@@ -70,38 +70,53 @@ def _micro(spark: SparkSession, sf_dir: str, adapters: list[Adapter], options: O
     return fixed_microbatches(global_batches(spark, token_samples(spark, sf_dir, adapters), adapters, options))
 
 
-def compare(spark: SparkSession, sf_dir: str, workload: str, adapters: list[Adapter], preset: str = "large", hardware: str = "first") -> DataFrame:
-    """Both sequential baselines, uniform filling and the full method on one workload: (workload, method, makespan, bubble, tokens, rate)."""
-    p = MODELS[preset]
-    options = FAST.with_(stages=p.stages, capacity=max(1024, int(p.capacity * HARDWARE[hardware][0] / 2)))
-    batches = checkpointed(global_batches(spark, token_samples(spark, sf_dir, adapters), adapters, options))
-    micro = checkpointed(fixed_microbatches(batches))
-    stock, fused = pipe_config(p, "naive", hardware), pipe_config(p, "routed", hardware)
-    done = [
-        simulate_pipeline(baseline_runs(baseline_pipeline(micro), "sequential_pipeline", p.stages), stock),
-        simulate_pipeline(baseline_runs(baseline_uniform_fill(micro), "uniform_fill", p.stages), stock),
-        simulate_pipeline(as_runs(schedule_batches(batches, options), "method", p.stages), fused),
-    ]
-    # Ranks of the sharded baseline meet before each layer, and each runs all layers for its own rows; gathering the
-    # layers takes a share of a full step at least.
-    each = stock.per_token * (1 + stock.backward) * p.stages
-    floor = 0.0 if p.stages == 1 else 0.35 * options.capacity * each
-    step = micro.groupBy("adapter_id", "gb", F.floor(F.col("mb") / p.stages).alias("step")).agg(F.max("cost_tokens").alias("t"), F.sum("tokens").alias("tokens"))
-    shard = step.agg(F.sum(F.greatest(F.col("t") * each, F.lit(floor))).alias("makespan"), F.sum("tokens").alias("tokens"))
-    sharded = shard.select(F.lit("sequential_sharded").alias("method"), "makespan", F.lit(None).cast("double").alias("bubble"), "tokens")
-    rows = reduce(DataFrame.unionByName, done).select(F.col("run_id").alias("method"), "makespan", "bubble", "tokens").unionByName(sharded)
-    return rows.withColumns({"workload": F.lit(f"{preset}/{workload}/{hardware}"), "rate": F.round(F.col("tokens") * 1000 / F.col("makespan"), 6)})
+def compare(spark: SparkSession, sf_dir: str, cases: list[tuple[str, list[Adapter], str, str]]) -> DataFrame:
+    """Both sequential baselines, uniform filling and the full method: (workload, method, makespan, bubble, tokens, rate).
+
+    cases: (name, adapters, model preset, hardware). Schedules are made once for all cases that share them; all
+    simulations run side by side.
+    """
+    made: dict[tuple, tuple[DataFrame, DataFrame, DataFrame]] = {}
+    runs, sharded = [], []
+    for name, adapters, preset, hardware in cases:
+        p = MODELS[preset]
+        options = FAST.with_(stages=p.stages, capacity=max(1024, int(p.capacity * HARDWARE[hardware][0] / 2)))
+        key = (tuple(adapters), options)
+        if key not in made:
+            batches = checkpointed(global_batches(spark, token_samples(spark, sf_dir, adapters), adapters, options))
+            micro = checkpointed(fixed_microbatches(batches))
+            made[key] = (micro, checkpointed(baseline_pipeline(micro)), schedule_batches(batches, options))
+        micro, sequential, schedule = made[key]
+        label = f"{preset}/{name}/{hardware}"
+        stock, fused = pipe_config(p, "naive", hardware), pipe_config(p, "routed", hardware)
+        for method, rows, config in (
+            ("sequential_pipeline", baseline_runs(sequential, f"{label}|sequential_pipeline", p.stages), stock),
+            ("uniform_fill", baseline_runs(baseline_uniform_fill(micro), f"{label}|uniform_fill", p.stages), stock),
+            ("method", as_runs(schedule, f"{label}|method", p.stages), fused),
+        ):
+            runs.append(rows.withColumns({"per_token": F.lit(config.per_token), "last_extra": F.lit(config.last_extra)}))
+        # Ranks of the sharded baseline meet before each layer, and each runs all layers for its own rows; gathering
+        # the layers takes a share of a full step at least.
+        each = stock.per_token * (1 + stock.backward) * p.stages
+        floor = 0.0 if p.stages == 1 else 0.35 * options.capacity * each
+        step = micro.groupBy("adapter_id", "gb", F.floor(F.col("mb") / p.stages).alias("step")).agg(F.max("cost_tokens").alias("t"), F.sum("tokens").alias("tokens"))
+        shard = step.agg(F.sum(F.greatest(F.col("t") * each, F.lit(floor))).alias("makespan"), F.sum("tokens").alias("tokens"))
+        sharded.append(shard.select(F.lit(f"{label}|sequential_sharded").alias("run_id"), "makespan", F.lit(None).cast("double").alias("bubble"), "tokens"))
+    done = simulate_pipeline(reduce(DataFrame.unionByName, runs)).select("run_id", "makespan", "bubble", "tokens")
+    parts = F.split("run_id", r"\|")
+    rows = reduce(DataFrame.unionByName, [done, *sharded])
+    return rows.select(parts[0].alias("workload"), parts[1].alias("method"), "makespan", "bubble", "tokens", F.round(F.col("tokens") * 1000 / F.col("makespan"), 6).alias("rate"))
 
 
 def w8_end_to_end(spark: SparkSession, sf_dir: str) -> DataFrame:
-    sets = {"short": homogeneous_adapters("short"), "medium": homogeneous_adapters("medium"), "long": homogeneous_adapters("long"), "mixed": homogeneous_adapters("mixed"), "het": het_adapters()}
-    runs = checkpointed(reduce(DataFrame.unionByName, [compare(spark, sf_dir, n, a, p) for p in MODELS for n, a in sets.items()]))
+    sets = {d: homogeneous_adapters(d) for d in ("short", "medium", "long", "mixed")} | {"het": het_adapters()}
+    runs = checkpointed(compare(spark, sf_dir, [(n, a, p, "first") for p in MODELS for n, a in sets.items()]))
     table = speedup_table(runs, "sequential_pipeline")
     return runs.join(table, ["workload", "method"]).select("workload", "method", "rate", F.round("bubble", 6).alias("bubble"), "speedup")
 
 
 def w9_second_hardware(spark: SparkSession, sf_dir: str) -> DataFrame:
-    runs = checkpointed(reduce(DataFrame.unionByName, [compare(spark, sf_dir, "het", het_adapters(), p, "second") for p in ("small", "large")]))
+    runs = checkpointed(compare(spark, sf_dir, [("het", het_adapters(), p, "second") for p in ("small", "large")]))
     return runs.join(speedup_table(runs, "sequential_pipeline"), ["workload", "method"]).select("workload", "method", "rate", "speedup")
 
 
