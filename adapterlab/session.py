@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def local_session(cores: int = 4, partitions: int = 8) -> SparkSession:
@@ -26,5 +27,10 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def broadcast_within(df: DataFrame, rows: int = 1_000_000) -> DataFrame:
+    """A broadcast hint if the frame has at most `rows` rows (a count from file footers, for a plain scan); else none."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))

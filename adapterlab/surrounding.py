@@ -16,6 +16,7 @@ from adapterlab import oracles as Q
 from adapterlab.functions.tokens import pad_to
 from adapterlab.registry import batches, query, samples
 from adapterlab.operators import packing as P
+from adapterlab.session import broadcast_within
 from adapterlab.sources.tables import load, register_views
 from adapterlab.sources.weights import WeightSource
 from adapterlab.streaming import arrivals as A
@@ -106,7 +107,7 @@ add("split_by_hash", "SELECT doc_id, substr(md5('7-' || doc_id::VARCHAR), 1, 2)
 # Joins
 orders = lambda s, d: load(s, d, "orders").select("o_orderkey", "o_custkey", "o_totalprice")
 lines = lambda s, d: load(s, d, "lineitem").select("l_orderkey", "l_quantity", "l_suppkey")
-add("broadcast_join", "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1", lambda s, d: orders(s, d).join(F.broadcast(load(s, d, "customer").select("c_custkey", "c_mktsegment")), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n")))
+add("broadcast_join", "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1", lambda s, d: orders(s, d).join(broadcast_within(load(s, d, "customer").select("c_custkey", "c_mktsegment")), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n")))
 for _hint in ("merge", "shuffle_hash"):
     add(f"join_{_hint}", "SELECT o_orderkey, CAST(sum(l_quantity) AS BIGINT) AS q FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1", lambda s, d, h=_hint: orders(s, d).join(lines(s, d).hint(h), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderkey").agg(F.sum("l_quantity").cast("bigint").alias("q")))
 add("left_join", "SELECT d.doc_id, quality FROM documents d LEFT JOIN labels l USING (doc_id)", lambda s, d: load(s, d, "documents").select("doc_id").join(load(s, d, "labels").select("doc_id", "quality"), "doc_id", "left"))
@@ -114,7 +115,7 @@ add("full_join", "SELECT coalesce(d.doc_id, p.page_id) AS id, d.doc_id IS NOT NU
 add("semi_join", "SELECT doc_id FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)", lambda s, d: load(s, d, "documents").select("doc_id").join(load(s, d, "labels"), "doc_id", "left_semi"))
 add("anti_join", "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)", lambda s, d: load(s, d, "documents").select("doc_id").join(load(s, d, "labels"), "doc_id", "left_anti"))
 add("grid_join", "SELECT CAST(s AS INT) AS stages, CAST(c AS INT) AS capacity FROM (VALUES (1), (2), (4)) a(s), (VALUES (2048), (4096)) b(c)", lambda s, d: s.createDataFrame([(1,), (2,), (4,)], "stages int").crossJoin(F.broadcast(s.createDataFrame([(2048,), (4096,)], "capacity int"))))
-add("theta_join", "SELECT r.r_regionkey, n.n_nationkey FROM region r JOIN nation n ON n.n_nationkey >= r.r_regionkey * 5 AND n.n_nationkey < r.r_regionkey * 5 + 5", lambda s, d: load(s, d, "region").select("r_regionkey").join(F.broadcast(load(s, d, "nation").select("n_nationkey")), (F.col("n_nationkey") >= F.col("r_regionkey") * 5) & (F.col("n_nationkey") < F.col("r_regionkey") * 5 + 5)))
+add("theta_join", "SELECT r.r_regionkey, n.n_nationkey FROM region r JOIN nation n ON n.n_nationkey >= r.r_regionkey * 5 AND n.n_nationkey < r.r_regionkey * 5 + 5", lambda s, d: load(s, d, "region").select("r_regionkey").join(broadcast_within(load(s, d, "nation").select("n_nationkey")), (F.col("n_nationkey") >= F.col("r_regionkey") * 5) & (F.col("n_nationkey") < F.col("r_regionkey") * 5 + 5)))
 
 
 def _range_join(spark, sf_dir, width: int = 512):
