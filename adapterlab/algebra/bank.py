@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from adapterlab.sources.tables import load
-from adapterlab.sources.weights import K, N, base_matrix, down_matrix, up_matrix
+from adapterlab.sources.weights import K, N, down_matrix, up_matrix
 
 
 @dataclass(frozen=True)

@@ -19,10 +19,10 @@ from adapterlab.operators.packing import bin_loads, pack_batches, solver_report
 from adapterlab.operators.schedule import build_schedule, schedule_counts
 from adapterlab.plans.planner import Options, as_runs, global_batches, schedule_batches
 from adapterlab.plans.tuner import evaluate, scaling_study
-from adapterlab.samples import Adapter, adapters_frame, dataset_lengths, het_adapters, homogeneous_adapters, token_samples
+from adapterlab.samples import Adapter, dataset_lengths, het_adapters, homogeneous_adapters, token_samples
 from adapterlab.session import checkpointed
 from adapterlab.simulate.pipeline import PipeConfig, simulate_pipeline
-from adapterlab.simulate.presets import HARDWARE, MODELS, kernel_factor, pipe_config
+from adapterlab.simulate.presets import HARDWARE, MODELS, pipe_config
 from adapterlab.simulate.sharded import ideal_run
 from adapterlab.sources.tables import load
 from adapterlab.sources.weights import base_matrix
@@ -263,6 +263,3 @@ def merge_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
         row = schedule_counts(made).select(F.lit(scope).alias("scope"), "microbatches", "noops", "merged")
         out = row if out is None else out.unionByName(row)
     return out
-
-
-__all__ = ["adapters_frame", "kernel_factor"]

@@ -24,8 +24,8 @@ from adapterlab.plans import planner
 from adapterlab.plans.tuner import LAYOUTS, best_layout, profile_layouts
 from adapterlab.samples import adapters_frame, clean_samples, het_adapters, quarantine, token_samples
 from adapterlab.session import broadcast_within, checkpointed
-from adapterlab.simulate.pipeline import PipeConfig, simulate_pipeline
-from adapterlab.simulate.sharded import ideal_run, simulate_dp, simulate_sharded, simulate_single
+from adapterlab.simulate.pipeline import simulate_pipeline
+from adapterlab.simulate.sharded import simulate_dp, simulate_sharded, simulate_single
 from adapterlab.sources.weights import K, N, base_matrix, down_matrix, up_matrix
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -409,6 +409,3 @@ def _rollup(spark, sf_dir):
     rows = rows.join(load(spark, sf_dir, "customer").select("c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey"))
     rows = rows.join(broadcast_within(load(spark, sf_dir, "nation")), F.col("c_nationkey") == F.col("n_nationkey")).join(broadcast_within(load(spark, sf_dir, "region")), F.col("n_regionkey") == F.col("r_regionkey"))
     return rows.rollup("r_name", "n_name").agg(F.count(F.lit(1)).alias("orders"), F.sum("q").cast("bigint").alias("tokens"))
-
-
-__all__ = ["QUERIES", "SQL", "PipeConfig", "ideal_run", "query"]

@@ -14,7 +14,7 @@ from pyspark.sql.window import Window
 
 from adapterlab import oracles as Q
 from adapterlab.functions.tokens import pad_to
-from adapterlab.registry import batches, query, samples
+from adapterlab.registry import batches, query
 from adapterlab.operators import packing as P
 from adapterlab.session import broadcast_within
 from adapterlab.sources.tables import load, register_views
@@ -285,5 +285,3 @@ add("recursive_query", """WITH RECURSIVE s AS (SELECT CAST(n_nationkey AS BIGINT
 w(k, bin, used) AS (SELECT CAST(-1 AS BIGINT), CAST(0 AS BIGINT), CAST(0 AS BIGINT)
 UNION ALL SELECT s.k, CASE WHEN w.used + s.t > 300 THEN w.bin + 1 ELSE w.bin END, CASE WHEN w.used + s.t > 300 THEN s.t ELSE w.used + s.t END FROM w JOIN s ON s.k = w.k + 1)
 SELECT k, bin FROM w WHERE k >= 0""", _recursive)
-
-__all__ = ["samples"]
