@@ -7,8 +7,10 @@ from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from adapterlab.operators.grouping import adapter_stats
+from adapterlab.operators.numbering import running
 from adapterlab.plans.planner import Options, as_runs, global_batches, schedule_batches
 from adapterlab.samples import Adapter
 from adapterlab.session import checkpointed
@@ -78,6 +80,24 @@ def balanced_clusters(samples: DataFrame, clusters: int) -> DataFrame:
     return samples.sparkSession.createDataFrame(rows, "adapter_id string, tokens bigint, cluster int")
 
 
+def for_replicas(schedule: DataFrame, runs: DataFrame, replicas: int) -> DataFrame:
+    """Runs in which every replica gets as many microbatches of each batch: batches are filled up with no-ops.
+
+    Replicas take microbatches in turn and step together, so one that has fewer in a batch waits for the others.
+    """
+    slots = schedule.select("pos", "gb", "group_id").distinct()
+    index = F.row_number().over(Window.partitionBy("gb", "group_id").orderBy("pos")) - 1  # a batch is bounded by its size
+    whole = (F.ceil(F.col("n") / replicas) * replicas).cast("bigint")
+    batches = slots.groupBy("gb", "group_id").agg(F.min("pos").alias("first"), F.count(F.lit(1)).alias("n")).withColumn("whole", whole)
+    batches = checkpointed(running(batches, [], ["first"], "whole", "base"))
+    placed = slots.withColumn("index", index).join(batches.select("gb", "group_id", "base"), ["gb", "group_id"]).select("pos", (F.col("base") + F.col("index")).alias("at"))
+    real = runs.join(placed, "pos").withColumn("pos", F.col("at")).drop("at")
+    extra = batches.where("whole > n").select(F.explode(F.sequence(F.col("base") + F.col("n"), F.col("base") + F.col("whole") - 1)).alias("pos"))
+    like = runs.select("run_id", "stages").distinct()  # one run
+    empty = F.array().cast(runs.schema["keys"].dataType)
+    return real.unionByName(extra.crossJoin(F.broadcast(like)).select("run_id", "pos", F.lit(0).alias("cost_tokens"), F.lit(0).alias("real_tokens"), empty.alias("keys"), "stages"))
+
+
 def scaling_study(spark: SparkSession, samples: DataFrame, adapters: list[Adapter], devices: tuple[int, ...] = (4, 8, 16), stages: int = 4, options: Options = Options(), sync: float = 0.0) -> DataFrame:
     """Data-parallel against job scaling: (mode, devices, makespan, tokens, rate_per_device).
 
@@ -91,7 +111,8 @@ def scaling_study(spark: SparkSession, samples: DataFrame, adapters: list[Adapte
         replicas = d // stages
         wide = [replace(a, global_batch_size=a.global_batch_size * replicas) for a in adapters]
         spaced = options.with_(stages=stages, gap=(stages - 1) * replicas)
-        runs = as_runs(schedule_batches(global_batches(spark, samples, wide, spaced), spaced), f"dp/{d}", stages, options.multiple)
+        schedule = checkpointed(schedule_batches(global_batches(spark, samples, wide, spaced), spaced))
+        runs = for_replicas(schedule, as_runs(schedule, f"dp/{d}", stages, options.multiple), replicas)
         dp = simulate_pipeline(runs, PipeConfig(sync=sync), replicas=replicas).select(F.lit("data_parallel").alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens")
         part = F.pmod(F.crc32("order_key"), F.lit(replicas)).cast("string")
         jobs = checkpointed(samples.withColumn("adapter_id", F.concat_ws("#", "adapter_id", part)))
