@@ -12,6 +12,7 @@ from adapterlab.operators.grouping import adapter_stats, assign_global_batches,
 from adapterlab.operators.packing import pack_batches
 from adapterlab.operators.schedule import build_schedule
 from adapterlab.samples import Adapter, adapters_frame, oversize, token_samples
+from adapterlab.simulate.pipeline import PipeConfig, simulate_pipeline
 
 
 @dataclass(frozen=True)
@@ -53,10 +54,23 @@ def plan_tables(spark: SparkSession, sf_dir: str, adapters: list[Adapter], optio
     return plan(spark, token_samples(spark, sf_dir, adapters), adapters, options)
 
 
-def as_runs(schedule: DataFrame, run_id: str, stages: int, multiple: int = 64) -> DataFrame:
-    """A schedule in the form that the simulator takes."""
-    per = schedule.groupBy("pos", "adapter_id", "batch").agg(F.sum("tok_len").alias("t"))
-    adapter = schedule.groupBy("pos", "adapter_id").agg(F.sum("tok_len").alias("t"))
-    cost = adapter.groupBy("pos").agg(F.sum(pad_to(F.col("t"), multiple)).alias("cost_tokens"), F.sum("t").alias("real_tokens"))
-    keys = per.groupBy("pos").agg(F.collect_list(F.when(F.col("adapter_id").isNotNull(), F.struct("adapter_id", "batch"))).alias("keys"))
-    return cost.join(keys, "pos").select(F.lit(run_id).alias("run_id"), "pos", "cost_tokens", "real_tokens", "keys", F.lit(stages).alias("stages"))
+def as_runs(schedule: DataFrame, run_id: str, stages: int, multiple: int = 64, by_segment: bool = False) -> DataFrame:
+    """A schedule in the form that the simulator takes; by_segment: a run for each segment."""
+    name = F.concat_ws("/", F.lit(run_id), F.col("segment").cast("string")) if by_segment else F.lit(run_id)
+    rows = schedule.withColumn("run_id", name)
+    per = rows.groupBy("run_id", "pos", "adapter_id", "batch").agg(F.sum("tok_len").alias("t"))
+    adapter = rows.groupBy("run_id", "pos", "adapter_id").agg(F.sum("tok_len").alias("t"))
+    cost = adapter.groupBy("run_id", "pos").agg(F.sum(pad_to(F.col("t"), multiple)).alias("cost_tokens"), F.sum("t").alias("real_tokens"))
+    keys = per.groupBy("run_id", "pos").agg(F.collect_list(F.when(F.col("adapter_id").isNotNull(), F.struct("adapter_id", "batch"))).alias("keys"))
+    return cost.join(keys, ["run_id", "pos"]).select("run_id", "pos", "cost_tokens", "real_tokens", "keys", F.lit(stages).alias("stages"))
+
+
+def simulate_schedule(schedule: DataFrame, stages: int, config: PipeConfig = PipeConfig(), multiple: int = 64) -> DataFrame:
+    """(makespan, busy, bubble, microbatches, tokens) of a schedule of any length: segments are simulated side by side.
+
+    The pipeline is taken to drain at each seam, so the makespan is an upper bound; one segment gives the exact value.
+    No task holds more than one segment.
+    """
+    each = simulate_pipeline(as_runs(schedule, "s", stages, multiple, by_segment=True), config)
+    total = each.agg(*[F.sum(c).alias(c) for c in ("makespan", "busy", "microbatches", "tokens")])
+    return total.select("makespan", "busy", F.round(1 - F.col("busy") / (stages * F.col("makespan")), 6).alias("bubble"), "microbatches", "tokens")

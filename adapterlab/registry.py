@@ -245,6 +245,7 @@ def _multiset(spark, sf_dir):
 
 
 query(None, "merge_pass")(W.merge_counts)
+query(None, "simulate_segments")(lambda s, d: planner.simulate_schedule(flagship_schedule(s, d), 4))
 
 # Baselines and simulators
 

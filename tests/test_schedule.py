@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from adapterlab.errors import SchemaMismatch, Unsupported
 from adapterlab.operators import baselines, grouping, numbering, schedule
 from adapterlab.operators.schedule import Micro, merge_pass, order_micros, verify_and_fix
-from adapterlab.plans.planner import Options, as_runs, global_batches, plan, schedule_batches
+from adapterlab.plans.planner import Options, as_runs, global_batches, plan, schedule_batches, simulate_schedule
 from adapterlab.samples import adapters_frame, het_adapters, oversize, token_samples
 from adapterlab.schemas import SAMPLES, require
 from adapterlab.simulate.pipeline import PipeConfig, simulate, simulate_pipeline, uniform_bubble
@@ -139,6 +139,17 @@ def test_methods_rank_as_reported(spark):
     assert ours.bubble < fill.bubble < seq.bubble and ours.tokens == fill.tokens == seq.tokens
 
 
+def test_segments_bound_the_whole_run(spark, sf_dir):
+    a = het_adapters(8)
+    batches = global_batches(spark, token_samples(spark, sf_dir, a), a)
+    one = schedule_batches(batches, Options(nodes=0, segment=None)).cache()
+    whole, alone = simulate_pipeline(as_runs(one, "w", 4)).first(), simulate_schedule(one, 4).first()
+    assert abs(whole.makespan - alone.makespan) < 1e-6 and whole.tokens == alone.tokens
+    cut = schedule_batches(batches, Options(nodes=0, segment=4)).cache()
+    parts = simulate_schedule(cut, 4).first()
+    assert parts.makespan >= simulate_pipeline(as_runs(cut, "c", 4)).first().makespan - 1e-6 and parts.tokens == whole.tokens
+
+
 def test_plan_does_not_depend_on_partitions_or_names(spark, sf_dir):
     a, o = het_adapters(8), Options(nodes=20)
     samples = token_samples(spark, sf_dir, a)
