@@ -15,6 +15,7 @@ from adapterlab.llm.decontaminate import drop_leaked
 from adapterlab.llm.packing import pack_documents
 from adapterlab.llm.quality import fit_quality, keep_quality
 from adapterlab.llm.queries import tokenizer_file
+from adapterlab.llm.shingles import similar_components
 from adapterlab.llm.simhash import keep_representatives
 from adapterlab.llm.suffixes import remove_repeats
 
@@ -25,8 +26,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays."""
-    return keep_representatives(docs)
+    """One document of each group stays; five-word shingles with a similarity of 0.8 or more link two documents."""
+    return keep_representatives(docs, similar_components(docs))
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
