@@ -202,25 +202,65 @@ def _consistent(t: Template, item: Item, hits: dict[int, list[int]], width: int,
         # Words put in or left out move a copy to diagonals close by.
         near = [p for e in order if abs(e - d) <= max(2, n // 5) for p in diagonals[e]]
         keys = {j for _, j in near}
-        whole = [h for h, places in item.at.items() if any(j in keys for j in places)]
-        if len(whole) < similarity * len(item.at):
+        whole = sum(1 for places in item.at.values() if any(j in keys for j in places))
+        if whole < similarity * len(item.at):
             continue
-        pairs = {(i + s, j + s) for i, j in near for s in range(width) if item.template.kinds[j + s] != WORD}
+        pairs = [(i, j) for i, j in _aligned(t, item.template, near, width) if item.template.kinds[j] != WORD]
         there: dict[int, Counter] = defaultdict(Counter)
         back: dict[int, Counter] = defaultdict(Counter)
         for i, j in pairs:
             a, b = int(item.template.codes[j]), int(t.codes[i])
             there[a][b] += 1
             back[b][a] += 1
-        fit = sum(1 for i, j in pairs if there[int(item.template.codes[j])].most_common(1)[0][0] == int(t.codes[i]) and back[int(t.codes[i])].most_common(1)[0][0] == int(item.template.codes[j]))
+        usual = {a: c.most_common(1)[0][0] for a, c in there.items()}
+        origin = {b: c.most_common(1)[0][0] for b, c in back.items()}
+        fit = sum(usual[int(item.template.codes[j])] == int(t.codes[i]) and origin[int(t.codes[i])] == int(item.template.codes[j]) for i, j in pairs)
         if pairs and fit < similarity * len(pairs):
             continue
         changed = sum(1 for i, j in pairs if item.template.codes[j] != t.codes[i])
-        if best is None or (len(whole), -changed) > (best[0], -best[2]):
-            best = (len(whole), len(pairs), changed)
+        if best is None or (whole, -changed) > (best[0], -best[2]):
+            best = (whole, len(pairs), changed)
+        if best[0] == len(item.at) and not best[2]:
+            break  # nothing can be better
     return best
 
 
+def _aligned(t: Template, item: Template, near: list[tuple[int, int]], width: int) -> list[tuple[int, int]]:
+    """(place in the text, place in the item) of the tokens in the windows met, rising in both, so that no token counts twice.
+
+    Of all such alignments one with the most tokens, where each change of the diagonal costs a token; equal values decide ties.
+    """
+    rows: dict[int, set[int]] = defaultdict(set)
+    for i, j in near:
+        for s in range(width):
+            rows[j + s].add(i + s)
+    low = min(min(r) for r in rows.values())
+    m = max(max(r) for r in rows.values()) - low + 2
+    before, before_at = np.zeros(m), np.full(m, -1)  # best chain that ends before a place of the text, and its last token
+    along: dict[int, tuple[float, int]] = {}  # the same for each diagonal
+    tokens: list[tuple[int, int, int]] = []
+    for j in sorted(rows):
+        now, now_at = np.full(m, -1.0), np.full(m, -1)
+        for i in sorted(rows[j]):
+            score, last = along.get(i - j, (-1.0, -1))
+            if (other := before[i - low] - (before_at[i - low] >= 0)) > score:
+                score, last = other, int(before_at[i - low])
+            score += 1 + 0.1 * (t.codes[i] == item.codes[j])
+            tokens.append((i, j, last))
+            along[i - j] = (score, len(tokens) - 1)
+            now[i - low + 1], now_at[i - low + 1] = score, len(tokens) - 1
+        better = now > before
+        before, before_at = np.where(better, now, before), np.where(better, now_at, before_at)
+        top = np.maximum.accumulate(before)
+        spot = np.maximum.accumulate(np.where(np.concatenate([[True], before[1:] > top[:-1]]), np.arange(m), 0))
+        before, before_at = top, before_at[spot]
+    out, k = [], int(before_at[-1])
+    while k >= 0:
+        out.append(tokens[k][:2])
+        k = tokens[k][2]
+    return out
+
+
 def _blocks(benchmark: DataFrame) -> Iterator[list[tuple[int, str | None]]]:
     """Items, streamed to the driver in blocks of a bounded size; each block is one pass over the documents."""
     block, chars = [], 0
