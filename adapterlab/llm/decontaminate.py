@@ -23,6 +23,7 @@ from adapterlab.llm.common import texts, with_small_batches
 
 WINDOW, SIMILARITY = 5, 0.8
 MIN_WORDS = 2  # words that are no placeholders, in a window
+FEW = 5  # items with fewer windows are found by their exact words as well
 BLOCK_CHARS = 32_000_000  # benchmark text that is sent to all tasks at once
 ITEM_ROWS = 50_000
 
@@ -91,8 +92,12 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(29))
 
 
-def template(text: str | None, codes: Codes, names: bool = True) -> Template:
-    """names=False: capitals name nothing, as in copies written all in capitals or all in small letters."""
+def templates(text: str | None, codes: Codes) -> tuple[Template, Template, Template]:
+    """Three forms: capitals name something inside sentences; at their start as well; nowhere.
+
+    The second meets names that start a sentence and copies whose sentences start elsewhere, the third copies in all
+    small letters.
+    """
     words = (text or "").replace("\n", f" {LINE} ").split()
     raw = np.fromiter(map(codes.__getitem__, words), np.int64, len(words))
     flags = raw & 255
@@ -114,10 +119,15 @@ def template(text: str | None, codes: Codes, names: bool = True) -> Template:
     # Where most words of a sentence are capitals, capitals name nothing.
     if len(raw):
         loud = np.bincount(sentence, capital) > 0.5 * np.bincount(sentence)
-        capital &= ~first & ~loud[sentence] & names
-    kinds = np.where(number, NUM, np.where(unit, UNIT, np.where(capital, NAME, WORD)))
+        capital &= ~loud[sentence]
     own = raw.view(np.uint64) >> np.uint64(8)
-    return Template(_mix(np.where(kinds == WORD, own, kinds.astype(np.uint64))), kinds, own)
+    plain = np.where(number, NUM, np.where(unit, UNIT, WORD))
+
+    def form(names: np.ndarray) -> Template:
+        kinds = np.where(names & (plain == WORD), NAME, plain)
+        return Template(_mix(np.where(kinds == WORD, own, kinds.astype(np.uint64))), kinds, own)
+
+    return form(capital & ~first), form(capital), form(np.zeros(len(raw), bool))
 
 
 def windows(t: Template, width: int = WINDOW) -> np.ndarray:
@@ -133,6 +143,15 @@ def windows(t: Template, width: int = WINDOW) -> np.ndarray:
     return np.where(words >= MIN_WORDS, h | np.uint64(1), np.uint64(0))
 
 
+def word_windows(t: Template, width: int = WINDOW) -> np.ndarray:
+    """Hash of the words of the window at each token, whatever their types."""
+    n = max(0, len(t.codes) - width + 1)
+    h = np.zeros(n, np.uint64)
+    for j in range(width):
+        h = _mix(h * np.uint64(0x9E3779B97F4A7C15) + t.codes[j : j + n])
+    return h
+
+
 @dataclass
 class Item:
     row: int
@@ -150,33 +169,55 @@ class Index:
         codes = Codes()
         self.items: list[Item] = []
         self.by_window: dict[int, list[int]] = defaultdict(list)
+        self.exact: dict[int, list[Item]] = defaultdict(list)  # items with few windows, by the words of their first
         for row, (item_id, text) in enumerate(items):
-            forms = [template(text, codes), template(text, codes, names=False)]
-            for t in forms[: 1 + bool((forms[0].kinds == NAME).any())]:
+            forms = templates(text, codes)
+            most = 0
+            for f, t in enumerate(forms):
+                if any((t.kinds == forms[g].kinds).all() for g in range(f)):
+                    continue
                 at: dict[int, list[int]] = defaultdict(list)
                 for i, h in enumerate(windows(t, width).tolist()):
                     if h:
                         at[h].append(i)
+                most = max(most, len(at))
                 if at:
                     for h in at:
                         self.by_window[h].append(len(self.items))
                     self.items.append(Item(row, item_id, t, at))
+            if most < FEW and len(forms[0].codes) >= width:
+                self.exact[int(word_windows(forms[0], width)[0])].append(Item(row, item_id, forms[0], {}))
         keys = np.fromiter(self.by_window, np.uint64, len(self.by_window))
         self.seen = np.zeros(1 << self.BITS, bool)
         self.seen[(keys >> np.uint64(64 - self.BITS)).astype(np.int64)] = True
+        self.seen_exact = np.zeros(1 << self.BITS, bool)
+        keys = np.fromiter(self.exact, np.uint64, len(self.exact))
+        self.seen_exact[(keys >> np.uint64(64 - self.BITS)).astype(np.int64)] = True
+
+    def _spots(self, h: np.ndarray, seen: np.ndarray) -> Iterator[tuple[int, int]]:
+        spots = np.flatnonzero(seen[(h >> np.uint64(64 - self.BITS)).astype(np.int64)])
+        return zip(spots.tolist(), h[spots].tolist())
 
-    def matches(self, t: Template, width: int, similarity: float) -> Iterator[tuple[int, int, int, int, int]]:
+    def matches(self, text: str | None, codes: Codes, width: int, similarity: float) -> Iterator[tuple[int, int, int, int, int]]:
         """(item_id, windows met, windows of the item, slots, slots with another value)."""
-        h = windows(t, width)
-        spots = np.flatnonzero(self.seen[(h >> np.uint64(64 - self.BITS)).astype(np.int64)])
-        hits: dict[int, list[int]] = defaultdict(list)
-        for i, key in zip(spots.tolist(), h[spots].tolist()):
-            if key in self.by_window:
-                hits[key].append(i)
-        if not hits:
-            return
-        met = Counter(k for key in hits for k in self.by_window[key])
+        forms = templates(text, codes)
+        t, hits, before = forms[0], defaultdict(list), None
+        for form in forms:
+            if before is not None and (form.kinds == before).all():
+                continue
+            before = form.kinds
+            for i, key in self._spots(windows(form, width), self.seen):
+                if key in self.by_window:
+                    hits[key].append(i)
         best: dict[int, tuple[int, int, int, int, int]] = {}
+        if self.exact:
+            for i, key in self._spots(word_windows(t, width), self.seen_exact):
+                for item in self.exact.get(key, ()):
+                    n = len(item.template.codes)
+                    if np.array_equal(t.codes[i : i + n], item.template.codes):
+                        best[item.row] = (item.item_id, n - width + 1, n - width + 1, int((item.template.kinds != WORD).sum()), 0)
+        hits = {key: sorted(set(places)) for key, places in hits.items() if places}
+        met = Counter(k for key in hits for k in self.by_window[key])
         for k, n in sorted(met.items()):
             item = self.items[k]
             if n < similarity * len(item.at):
@@ -282,8 +323,8 @@ def find_leaks(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW,
 
     (doc_id, item_id, matched, windows, similarity, slots, changed_slots): windows of the item met and in all, their
     ratio, slots compared and slots with another value than the item's. Null and empty texts match nothing, nor
-    do items with no window of `width` tokens of which MIN_WORDS are plain words. Repeated documents or items give
-    a row each. Other columns are not read.
+    do items of fewer than `width` tokens. Items with fewer than FEW windows of MIN_WORDS plain words are found by their
+    exact words as well, all windows met. Repeated documents or items give a row each. Other columns are not read.
     """
     spark = documents.sparkSession
     docs = with_small_batches(documents).select(F.col("doc_id").cast("long").alias("doc_id"), "text")
@@ -296,7 +337,7 @@ def find_leaks(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW,
             for batch in batches:
                 rows = []
                 for i, text in enumerate(texts(batch.column("text"))):
-                    rows += [(i, *m) for m in index.matches(template(text, codes), width, similarity)]
+                    rows += [(i, *m) for m in index.matches(text, codes, width, similarity)]
                 at, item, met, of, slots, changed = ([*x] for x in zip(*rows)) if rows else ([], [], [], [], [], [])
                 arrays = [
                     batch.column("doc_id").take(pa.array(at, pa.int64())), pa.array(item, pa.int64()), pa.array(met, pa.int32()), pa.array(of, pa.int32()),
@@ -318,7 +359,7 @@ def drop_leaked(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW,
         def leaked(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
             index, codes = Index(sent.value, width), Codes()
             for column in batches:
-                yield pd.Series([next(index.matches(template(t, codes), width, similarity), None) is not None for t in column], dtype=bool)
+                yield pd.Series([next(index.matches(t, codes, width, similarity), None) is not None for t in column], dtype=bool)
 
         return leaked
 

@@ -30,3 +30,16 @@ def test_repeating_templates_align_token_by_token(spark, item):
     got = found(spark, [item, f"Before it. {changed} After it.", f"Before it. {inserted}", mixed, "Nothing of this kind here, only words."], [item])
     assert {(0, 0), (1, 0)} <= set(got) and (4, 0) not in got and (3, 0) not in got
     assert got[0, 0].changed_slots == 0 and got[0, 0].similarity == 1 and got[1, 0].changed_slots >= 4
+
+
+NAMED = "Alice has 3 red apples. Alice buys 5 more apples. How many apples does Alice have now?"
+SHORT = "What is the capital of France?"
+DIGITS = "3 1 4 1 5 9 2"
+CODES = "Paris Rome 12 Berlin 7 Oslo"
+
+
+def test_names_that_start_sentences_and_items_with_few_windows(spark):
+    docs = [NAMED.replace("Alice", "Carol"), NAMED.lower(), f'as they asked, "{SHORT}"', f"and so on ({SHORT.lower()}", f"in order: {CODES}, they said", CODES.replace("7", "8"), "What is the colour of France?", NAMED.upper(), f"digits {DIGITS} follow", DIGITS.replace("9", "8")]
+    got = found(spark, docs, [NAMED, SHORT, CODES, DIGITS, "Paris 12"])
+    assert set(got) == {(0, 0), (1, 0), (2, 1), (3, 1), (4, 2), (5, 2), (7, 0), (8, 3)}
+    assert got[0, 0].changed_slots >= 3 and got[4, 2].similarity == 1
