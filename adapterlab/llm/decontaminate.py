@@ -238,10 +238,19 @@ def _consistent(t: Template, item: Item, hits: dict[int, list[int]], width: int,
                 diagonals[i - j].append((i, j))
     n = len(item.template.keys)
     order = sorted(diagonals)
-    best = None
-    for d in sorted(order, key=lambda d: -len(diagonals[d]))[:64] if len(order) > 64 else order:
-        # Words put in or left out move a copy to diagonals close by.
-        near = [p for e in order if abs(e - d) <= max(2, n // 5) for p in diagonals[e]]
+    reach = max(2, n // 5)  # words put in or left out move a copy to diagonals close by
+    best, lo, hi, held, seen = None, 0, 0, 0, None
+    for d in order:
+        while hi < len(order) and order[hi] <= d + reach:
+            held += len(diagonals[order[hi]])
+            hi += 1
+        while order[lo] < d - reach:
+            held -= len(diagonals[order[lo]])
+            lo += 1
+        if held < similarity * len(item.at) or (lo, hi) == seen:
+            continue
+        seen = lo, hi
+        near = [p for e in order[lo:hi] for p in diagonals[e]]
         keys = {j for _, j in near}
         whole = sum(1 for places in item.at.values() if any(j in keys for j in places))
         if whole < similarity * len(item.at):

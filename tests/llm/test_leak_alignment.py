@@ -43,3 +43,14 @@ def test_names_that_start_sentences_and_items_with_few_windows(spark):
     got = found(spark, docs, [NAMED, SHORT, CODES, DIGITS, "Paris 12"])
     assert set(got) == {(0, 0), (1, 0), (2, 1), (3, 1), (4, 2), (5, 2), (7, 0), (8, 3)}
     assert got[0, 0].changed_slots >= 3 and got[4, 2].similarity == 1
+
+
+def test_edited_copy_among_many_repeats_of_a_part(spark):
+    r = random.Random(5)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(5))
+    item = [word() for _ in range(30)]
+    text = []
+    for _ in range(100):
+        text += [*item[:18], *(word() for _ in range(40))]
+    text += [*item[:15], "inserted", *item[15:]] + [word() for _ in range(20)]
+    assert set(found(spark, [" ".join(text), " ".join(text[: 58 * 100])], [" ".join(item)])) == {(0, 0)}
