@@ -1,8 +1,8 @@
 """Main-text extraction by tag-path ratios.
 
 Text length and punctuation are summed for each root-to-leaf tag path of a page; both ratios are smoothed along
-the page and fused, and paths above a threshold hold the content. The smallest element around nearly all of that
-content is the article: its short blocks (headings, one-line paragraphs) count as well, its menus, forms,
+the page and fused, and paths above a threshold hold the content. The smallest element around all of that content
+and the unlinked sentences beside it, or the article that the page names, is the article: its short blocks (headings, one-line paragraphs) count as well, its menus, forms,
 notices, adverts and comments do not.
 """
 
@@ -46,8 +46,9 @@ TOKEN = re.compile(
 NAMES = re.compile(r"""(?:^|[\s"'/])(class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
 HIDDEN = re.compile(r"""(?:^|\s)hidden(?=[\s=/]|$)|aria-hidden\s*=\s*["']?true|display\s*:\s*none""", re.I)
 WORD = re.compile(r"[A-Z]?[a-z]+|[A-Z]+(?![a-z])")
+SENTENCE = re.compile(r"(?:\S+\s+){4,}\S*[.!?…。！？](?:\s|\W*$)")
 SMOOTH = np.array([0.06, 0.24, 0.4, 0.24, 0.06])
-SHARE = 0.9
+SHARE = 0.9  # of the content, in an article that the page names
 
 
 @dataclass
@@ -170,21 +171,20 @@ def main_text(page: str | None) -> str:
             for k in x.inside:
                 weight[k] += len(x.text)
     whole = sum(len(x.text) for x in leaves if x.path in chosen)
-    around = [k for k, w in weight.items() if w >= SHARE * whole and elements[k].tag not in ("p", "b", "i", "em", "strong", "span", "a", "font", "u", *HEADINGS)]
+    # Unlinked sentences beside the content, though on paths below the threshold, belong to the article.
+    held = [set(x.inside) for x in leaves if x.path in chosen or (not x.linked and SENTENCE.search(x.text))]
+    common = set.intersection(*held) if held else set()
+    around = [k for k in common if elements[k].tag not in ("p", "b", "i", "em", "strong", "span", "a", "font", "u", *HEADINGS)]
     article = max(around, key=lambda k: len(elements[k].parents), default=None)
     articles = [k for k, e in enumerate(elements) if e.tag in ("article", "main") and weight[k] >= SHARE * whole]
     if articles:  # the page says itself where the article is
         article = max(articles, key=lambda k: len(elements[k].parents))
-    if article is None or elements[article].tag in ("html", "body"):
-        spots = [i for i, x in enumerate(leaves) if x.path in chosen]
-        heads = lambda x: any(elements[k].tag in HEADINGS for k in x.inside)
-        first = spots[0] if spots else 0
-        while first and heads(leaves[first - 1]):
-            first -= 1
-        inside = [x for i, x in enumerate(leaves) if x.path in chosen or (spots and first <= i <= spots[-1] and not x.linked)]
-    else:
-        all_links = {x.block for x in leaves if x.linked} - {x.block for x in leaves if not x.linked and x.text.strip()}
-        inside = [x for x in leaves if article in x.inside and (x.path in chosen or x.block not in all_links)]
+    # Blocks of nothing but links are menus, unless they are headings, paragraphs or amid the content.
+    mixed = {x.block for x in leaves if not x.linked and x.text.strip()}
+    spots = [i for i, x in enumerate(leaves) if x.path in chosen]
+    spoken = lambda x: any(elements[k].tag in HEADINGS or elements[k].tag == "p" for k in x.inside)
+    stays = lambda i, x: x.block in mixed or spoken(x) or (spots and spots[0] < i < spots[-1])
+    inside = [x for i, x in enumerate(leaves) if x.path in chosen or ((article is None or article in x.inside) and stays(i, x))]
     blocks: dict[int, list[str]] = {}
     for x in inside:
         blocks.setdefault(x.block, []).append(x.text)
