@@ -10,6 +10,7 @@ result is exact.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from decimal import Decimal
 
 import numpy as np
 import pandas as pd
@@ -24,17 +25,37 @@ SCALE, K, EVERY = 256, 5, 50
 PIVOTS, SAMPLE = 32, 4096  # the pivots are fitted on at most SAMPLE vectors
 ROWS, QUERIES, SHARE = 2048, 512, 64  # vectors of an annulus, queries of a block, query blocks of a task
 NONE = -(1 << 62)  # no score yet
-LIMIT = 1 << 27  # components beyond this would not fit exact 64-bit scores
+LIMIT = 1 << 27  # vectors with components beyond this are scored through wide integers, beside the index
 
 
 def integer_vectors(embeddings: DataFrame, scale: int = SCALE) -> DataFrame:
-    """(vec_id, v): floor(scale * x) of each component; vectors that are null or hold null or non-finite ones are left out."""
+    """(vec_id, v): floor(scale * x) of each component, of vectors within LIMIT; null and non-finite ones are left out."""
     x = F.col("embedding")
     fine = F.forall(x, lambda c: c.isNotNull() & ~F.isnan(c) & (F.abs(c.cast("double")) < float(LIMIT / scale)))
     rows = embeddings.where(F.col("vec_id").isNotNull() & x.isNotNull() & F.coalesce(fine, F.lit(False)))
     return rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.transform(x, lambda c: F.floor(c.cast("double") * scale)).alias("v"))
 
 
+def wide_vectors(embeddings: DataFrame, scale: int = SCALE) -> DataFrame:
+    """(vec_id, w, large): the same of every finite vector, as doubles, and whether it is beyond LIMIT."""
+    x = F.col("embedding")
+    finite = F.forall(x, lambda c: c.isNotNull() & ~F.isnan(c) & (F.abs(c.cast("double")) < float("inf")))
+    rows = embeddings.where(F.col("vec_id").isNotNull() & x.isNotNull() & F.coalesce(finite, F.lit(False)))
+    y = F.transform(x, lambda c: c.cast("double") * scale)
+    whole = F.transform(y, lambda c: F.when(F.abs(c) < float(1 << 53), F.floor(F.when(F.abs(c) < float(1 << 53), c)).cast("double")).otherwise(c))
+    return rows.select(F.col("vec_id").cast("long").alias("vec_id"), whole.alias("w"), F.exists(y, lambda c: F.abs(c) >= float(LIMIT)).alias("large"))
+
+
+def _wide_scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Exact products through Python's integers; what no long holds stays beyond the longs."""
+    top = 10**38 - 1
+    for batch in batches:
+        q, x = batch.column("q"), batch.column("x")
+        s = [sum(int(a) * int(b) for a, b in zip(q[i].as_py(), x[i].as_py())) for i in range(batch.num_rows)]
+        scores = pa.array([Decimal(max(-top, min(top, v))) for v in s], pa.decimal128(38, 0))
+        yield pa.RecordBatch.from_arrays([batch.column("query_id"), batch.column("vec_id"), scores], names=["query_id", "vec_id", "score"])
+
+
 def _matrix(column, dim: int) -> np.ndarray:
     out = np.zeros((len(column), dim), np.int64)
     lengths = np.array([len(v) for v in column], np.int64)
@@ -146,8 +167,29 @@ def top_k(embeddings: DataFrame, k: int = K, every: int = EVERY, scale: int = SC
     count as padded with zeros. Repeated rows of one id count once, by its first vector. A table with fewer candidates
     gives them all; an empty one gives no row. Other columns are not read.
     """
-    spark = embeddings.sparkSession
+    wide = wide_vectors(embeddings, scale)
+    large = checkpointed(wide.where("large").select("vec_id").distinct())
     raw = integer_vectors(embeddings, scale)
+    order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+    if large.isEmpty():
+        return _indexed(raw, k, every, pivots)
+    # Pairs with a large vector are scored each; the index holds the others.
+    small = _indexed(raw.join(large, "vec_id", "left_anti"), k, every, pivots).select("query_id", "vec_id", F.col("score").cast("decimal(38,0)").alias("score"))
+    firsts = wide.groupBy("vec_id").agg(F.min("w").alias("w"))
+    marked = firsts.join(large.select("vec_id", F.lit(True).alias("large")), "vec_id", "left").withColumn("large", F.coalesce("large", F.lit(False)))
+    q = marked.where(F.col("vec_id") % every == 0).select(F.col("vec_id").alias("query_id"), F.col("w").alias("q"), F.col("large").alias("q_large"))
+    x = marked.select("vec_id", F.col("w").alias("x"), "large")
+    some = q.where("q_large").crossJoin(x).unionByName(q.where("NOT q_large").crossJoin(x.where("large"))).where("query_id <> vec_id")
+    scored = some.select("query_id", "vec_id", "q", "x").mapInArrow(_wide_scores, "query_id long, vec_id long, score decimal(38,0)")
+    ranked = small.unionByName(scored).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    fits = F.abs("score") < F.lit(1 << 62).cast("decimal(38,0)") * 2
+    score = F.when(fits, F.when(fits, F.col("score")).cast("long")).otherwise(F.raise_error(F.lit("a score among the best does not fit a long")).cast("long"))
+    return ranked.select("query_id", "rank", "vec_id", score.alias("score"))
+
+
+def _indexed(raw: DataFrame, k: int, every: int, pivots: int) -> DataFrame:
+    """The same for integer vectors within LIMIT."""
+    spark = raw.sparkSession
     vectors = raw.groupBy("vec_id").agg(F.min("v").alias("v"))
     norm = F.aggregate("v", F.lit(0).cast("double"), lambda a, c: a + c.cast("double") * c.cast("double"))
     facts = raw.agg(F.max(F.size("v")).alias("dim"), F.max(norm).alias("m2"), F.count(F.lit(1)).alias("n")).first()
