@@ -22,7 +22,7 @@ from adapterlab.operators import packing as P
 from adapterlab.operators import schedule as S
 from adapterlab.plans import planner
 from adapterlab.plans.tuner import LAYOUTS, best_layout, profile_layouts
-from adapterlab.samples import adapters_frame, clean_samples, het_adapters, quarantine, token_samples
+from adapterlab.samples import adapters_frame, clean_samples, het_adapters, oversize_counts, quarantine, token_samples
 from adapterlab.session import broadcast_within, checkpointed
 from adapterlab.simulate.pipeline import simulate_pipeline
 from adapterlab.simulate.sharded import simulate_dp, simulate_sharded, simulate_single
@@ -70,6 +70,8 @@ query(f"""WITH {Q.SAMPLES} SELECT dataset, count(*) AS n, CAST(sum(tok_len) AS B
   quantile_cont(tok_len, 0.5) AS p50, quantile_cont(tok_len, 0.95) AS p95, min(tok_len) AS shortest, max(tok_len) AS longest FROM samples GROUP BY 1""", "length_profile")(lambda s, d: B.length_profile(samples(s, d)))
 query(f"WITH {Q.SAMPLES} SELECT dataset, tok_len // 128 AS bucket, count(*) AS n FROM samples GROUP BY 1, 2", "length_histogram")(lambda s, d: B.length_histogram(samples(s, d)))
 query(f"WITH {Q.SAMPLES} SELECT adapter_id, CAST(sum(tok_len) AS BIGINT) AS real_tokens, CAST(sum({Q.pad('tok_len')}) AS BIGINT) AS padded_tokens FROM samples GROUP BY 1", "padded_lengths")(lambda s, d: B.padded_lengths(samples(s, d)))
+query(f"""WITH {Q.SAMPLES} SELECT adapter_id, count(*) AS n_samples, count(*) FILTER (tok_len > {Q.C}) AS n_oversize, CAST(sum(tok_len) AS BIGINT) AS tokens,
+  CAST(sum(greatest(tok_len - {Q.C}, 0)) AS BIGINT) AS lost_tokens FROM samples GROUP BY 1""", "oversize_counts")(lambda s, d: oversize_counts(samples(s, d), Q.C))
 query(f"""WITH {Q.NUMBERED} SELECT adapter_id, rn // 4 AS mb, count(*) AS n, CAST(sum(tok_len) AS BIGINT) AS real_tokens, max(tok_len) * count(*) AS padded_tokens,
   CAST(max(tok_len) * count(*) - sum(tok_len) AS BIGINT) AS waste FROM numbered GROUP BY 1, 2""", "pad_batches")(lambda s, d: B.pad_batches(samples(s, d)))
 PRESPLIT = f"""{Q.NUMBERED},

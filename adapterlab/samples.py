@@ -107,6 +107,14 @@ def oversize(samples: DataFrame, capacity: int, mode: str = "truncate") -> tuple
     raise ValueError(f"unknown mode {mode}")
 
 
+def oversize_counts(samples: DataFrame, capacity: int) -> DataFrame:
+    """(adapter_id, n_samples, n_oversize, tokens, lost_tokens): what truncation to the capacity takes from each adapter."""
+    return samples.groupBy("adapter_id").agg(
+        F.count(F.lit(1)).alias("n_samples"), F.count_if(F.col("tok_len") > capacity).alias("n_oversize"), F.sum("tok_len").alias("tokens"),
+        F.sum(F.greatest(F.col("tok_len") - capacity, F.lit(0).cast("bigint"))).alias("lost_tokens"),
+    )
+
+
 def clean_samples(spark: SparkSession, sf_dir: str, width: int = 8) -> DataFrame:
     """Documents with a good label, no earlier exact copy and no benchmark window of `width` words: (doc_id, tok_len)."""
     docs = load(spark, sf_dir, "documents").where(F.col("text").isNotNull())
