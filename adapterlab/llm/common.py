@@ -2,8 +2,13 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
+import uuid
 import zlib
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
+from itertools import count
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,12 +21,45 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """The cluster's shared folder if it names one, else (tests) a folder of our own."""
-    if spark.conf.get("spark.checkpoint.dir", None):
+    """The cluster's shared folder if it names one, else, in local mode alone, a folder of our own."""
+    sc = spark.sparkContext
+    if spark.conf.get("spark.checkpoint.dir", None) or not sc._jsc.sc().getCheckpointDir().isEmpty():
         return
+    if not re.fullmatch(r"local(\[.*\])?", sc.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    sc.setCheckpointDir(tempfile.mkdtemp(prefix="adapterlab-checkpoint-"))
+
+
+def shared_folder(spark: SparkSession, name: str) -> str:
+    """A new path in the checkpoint folder, for a table of our own."""
+    ensure_checkpoint_dir(spark)
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="adapterlab-checkpoint-"))
+        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir"))
+    return f"{sc._jsc.sc().getCheckpointDir().get()}/{name}-{uuid.uuid4().hex}"
+
+
+@contextmanager
+def tables(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """Writes frames as Parquet, far smaller than a checkpoint's rows, and reads them again; all go at the end of the block."""
+    folder = shared_folder(spark, "tables")
+    n = count()
+
+    def written(df: DataFrame) -> DataFrame:
+        path = f"{folder}/{next(n)}"
+        df.write.parquet(path)
+        return spark.read.schema(df.schema).parquet(path)
+
+    try:
+        yield written
+    finally:
+        path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def broadcast_within(df: DataFrame, rows: int = 1_000_000) -> DataFrame:
+    """A broadcast hint if the frame has at most `rows` rows, narrow ones; else it is joined by a shuffle."""
+    return F.broadcast(df) if df.count() <= rows else df
 
 
 def checkpointed(df: DataFrame) -> DataFrame:

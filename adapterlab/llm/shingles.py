@@ -1,9 +1,17 @@
-"""Near duplicates by the similarity of word shingles, exact.
+"""Near duplicates for a corpus: SimHash candidates, decided and completed by the similarity of word shingles.
 
-Two texts are near copies if their sets of shingles have a Jaccard similarity of 0.8 or more. Under any fixed order
-of the shingles such sets share one of their first fifths, so these are dealt by shingle and meet there; common
-shingles, told from a sample, come last in the order. Each text first meets only the first one of its bucket, which
-ties large groups together; then all pairs of different groups meet. Every pair that meets is decided on whole sets.
+Two texts are near copies if their sets of five-word shingles have a Jaccard similarity of 0.8 or more. Candidates come
+from fingerprints by multi-index hashing (`simhash.near_links`), and from shingles, since most pairs near 0.8 differ in
+more bits than any index of fingerprints can afford:
+
+* Under any fixed order of the shingles, similar sets share one of their first fifths; common shingles, told from a
+  sample, come last in it. Texts that share one of their very first shingles meet a few others of that bucket each, which
+  ties large groups together before anything is compared pair by pair.
+* Then the first fifths are dealt by shingle, and texts of different groups meet there, first a few others each, at last
+  all. Buckets of one group are left out, large ones are cut into cells that meet two by two.
+
+Each pair is decided on whole sets; counts of the shingles in 128 ranges, an upper bound, spare most of the others.
+The nodes of the graph are distinct texts, so rows that share a doc_id but not the text are different documents.
 """
 
 from __future__ import annotations
@@ -12,136 +20,210 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import checkpointed, texts, with_small_batches
-from adapterlab.llm.simhash import components
+from adapterlab.llm.common import broadcast_within, checkpointed, tables, texts, with_small_batches
+from adapterlab.llm.simhash import SEED, components, majority, near_links, shingle_hashes
 
-SEED, WORDS = 42, 5
+WORDS = 5
 OF, IN = 4, 5  # the similarity as a fraction, so that all bounds are exact
 SAMPLE, COMMON = 4000, 50_000  # texts whose shingles are counted, shingles that come last; both only steer the order
-PAIRS = 1 << 20  # pairs of one bucket looked at at once
+FIRST, SHIFTS = 4, (1, 2, 4, 8, 16, 32)  # shingles of a text that tie groups, distances of the texts it meets in a bucket
+CELL = 4096  # rows of a bucket that meet in one place
+RANGES = 128
+DIGEST = "__near_digest"
 
 
 def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
     """Sorted hashes of the distinct word shingles; a shorter text is one shingle, one without words has none."""
     parts = (text or "").encode("utf-8", "surrogatepass").lower().split()  # bytes, as in fingerprints
-    if not parts:
-        return np.zeros(0, np.uint64)
-    joined = b" ".join(parts)
-    ends = np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)) + 1)
-    starts = np.concatenate([[0], ends[:-1]])
-    k = min(words, len(parts))
-    digest = xxhash.xxh64_intdigest
-    spans = zip(starts[: len(parts) - k + 1].tolist(), (ends[k - 1 :] - 1).tolist())
-    return np.unique(np.fromiter((digest(joined[a:b], SEED) for a, b in spans), np.uint64, len(parts) - k + 1))
+    return np.unique(shingle_hashes(parts, words, SEED)) if parts else np.zeros(0, np.uint64)
 
 
 def similar(a: np.ndarray, b: np.ndarray) -> bool:
     if not len(a) or not len(b):
         return len(a) == len(b)
+    if IN * min(len(a), len(b)) < OF * max(len(a), len(b)):
+        return False
     return (OF + IN) * len(np.intersect1d(a, b, assume_unique=True)) >= OF * (len(a) + len(b))
 
 
-def _marks(documents: DataFrame, words: int) -> DataFrame:
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            sets = [shingles(t, words).tobytes() for t in texts(batch.column("text"))]
-            arrays = [batch.column("doc_id"), pa.array([xxhash.xxh3_128_digest(s) for s in sets], pa.binary()), pa.array(sets, pa.binary())]
-            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "digest", "shingles"])
+def profile(s: np.ndarray) -> np.ndarray:
+    """How many shingles fall in each range of hashes; empty for sets too large to count so."""
+    return np.bincount(s >> np.uint64(57), minlength=RANGES).astype("<u2") if len(s) < 1 << 16 else np.zeros(0, "<u2")
+
+
+def may_be_similar(a: np.ndarray, b: np.ndarray) -> bool:
+    """False only if even all that could be shared range by range is too little."""
+    if not len(a) or not len(b):
+        return True
+    return (OF + IN) * int(np.minimum(a, b).sum(dtype=np.int64)) >= OF * int(a.sum(dtype=np.int64) + b.sum(dtype=np.int64))
+
+
+def _with_digest(documents: DataFrame) -> DataFrame:
+    return documents.withColumn(DIGEST, F.unhex(F.md5(F.coalesce(F.col("text"), F.lit("")))))
+
 
-    docs = with_small_batches(documents).select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id IS NOT NULL")
-    return docs.mapInArrow(run, "doc_id long, digest binary, shingles binary")
+def _nodes(documents: DataFrame) -> DataFrame:
+    """(node, doc_id, digest, copies): one row per distinct text; its smallest id and how many rows have both."""
+    rows = _with_digest(documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")).where("doc_id IS NOT NULL")
+    each = rows.groupBy("doc_id", F.col(DIGEST).alias("digest")).agg(F.count(F.lit(1)).alias("copies"))
+    firsts = each.groupBy("digest").agg(F.min(F.struct("doc_id", "copies")).alias("first"))
+    return firsts.select(F.monotonically_increasing_id().alias("node"), "first.doc_id", "digest", "first.copies")
 
 
-def _common(sets: DataFrame) -> np.ndarray:
-    """The shingles found most often in a sample of the texts, the less common first."""
+def _texts_of(documents: DataFrame, nodes: DataFrame) -> DataFrame:
+    """(node, text) of the nodes, by one pass over the documents; rows with the same id and text give one each."""
+    rows = _with_digest(documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text"))
+    wanted = nodes.select("node", F.col("doc_id").alias("n_id"), F.col("digest").alias("n_digest"))
+    joined = rows.join(broadcast_within(wanted), (F.col("doc_id") == F.col("n_id")) & (F.col(DIGEST) == F.col("n_digest")))
+    return with_small_batches(joined).select("node", "text")
+
+
+def _common(sample: DataFrame, words: int) -> np.ndarray:
+    """The shingles found most often in the texts, the less common first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for s in batch.column("shingles").to_pylist():
-                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(s, "<i8"))], names=["token"])
+            for t in texts(batch.column("text")):
+                yield pa.RecordBatch.from_arrays([pa.array(shingles(t, words).view(np.int64))], names=["token"])
 
-    sample = sets.orderBy(F.xxhash64("rep"), "rep").limit(SAMPLE).select("shingles")
-    counts = sample.mapInArrow(run, "token long").groupBy("token").count().where("count > 2")
+    counts = sample.select("text").mapInArrow(run, "token long").groupBy("token").count().where("count > 2")
     rows = counts.orderBy(F.col("count").desc(), "token").limit(COMMON).toPandas()
     return rows["token"].to_numpy(np.int64)[::-1].copy().view(np.uint64)
 
 
-def _entries(sets: DataFrame, common: np.ndarray) -> DataFrame:
-    """(token, rep, n, pos): the first shingles of each set, as many as it must share one of with a similar set."""
+def _marks(found: DataFrame, common: np.ndarray, words: int) -> DataFrame:
+    """(node, n, bits, profile, tokens): size, fingerprint, counts by range, and the shingles it may be found by, in order."""
     order = np.argsort(common)
     ordered = common[order]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for rep, raw in zip(batch.column("rep").to_pylist(), batch.column("shingles").to_pylist()):
-                s = np.frombuffer(raw, "<u8")
+            n, bits, profiles, tokens = [], [], [], []
+            for t in texts(batch.column("text")):
+                parts = (t or "").encode("utf-8", "surrogatepass").lower().split()
+                every = shingle_hashes(parts, words, SEED) if parts else np.zeros(0, np.uint64)
+                s = np.unique(every)
                 rank = np.zeros(len(s), np.int64)
-                if len(ordered):
+                if len(ordered) and len(s):
                     at = np.minimum(np.searchsorted(ordered, s), len(ordered) - 1)
                     rank = np.where(ordered[at] == s, order[at] + 1, 0)
-                first = s[np.argsort(rank, kind="stable")][: len(s) - -(-OF * len(s) // IN) + 1]
-                m = len(first)
-                arrays = [pa.array(first.view(np.int64)), pa.array(np.full(m, rep, np.int64)), pa.array(np.full(m, len(s), np.int32)), pa.array(np.arange(m, dtype=np.int32))]
-                yield pa.RecordBatch.from_arrays(arrays, names=["token", "rep", "n", "pos"])
-
-    return sets.where(F.length("shingles") > 0).select("rep", "shingles").mapInArrow(run, "token long, rep long, n int, pos int")
-
-
-def _may_meet(n: np.ndarray, pos: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-    """Whether sizes, and what follows if this is the first shingle that both share, leave room for similarity."""
-    rest = np.minimum(n[i] - pos[i], n[j] - pos[j])
-    return (IN * np.minimum(n[i], n[j]) >= OF * np.maximum(n[i], n[j])) & ((OF + IN) * rest >= OF * (n[i] + n[j]))
-
-
-def _bucket_pairs(token, rep, n, pos, group) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs of places in sorted buckets; group None: each with the first of its bucket, else all of different groups."""
-    head = np.flatnonzero(np.concatenate([[True], token[1:] != token[:-1]]))
-    size = np.diff(np.append(head, len(token)))
-    if group is None:
-        j = np.arange(len(token))
-        i = np.repeat(head, size)
-        keep = (rep[i] != rep[j]) & (IN * np.minimum(n[i], n[j]) >= OF * np.maximum(n[i], n[j]))
-        yield i[keep], j[keep]
-        return
-    mixed = np.minimum.reduceat(group, head) != np.maximum.reduceat(group, head)
-    for h, m in zip(head[mixed].tolist(), size[mixed].tolist()):
-        step = max(1, PAIRS // m)
-        for a in range(0, m, step):
-            i, j = np.nonzero(group[h + a : h + min(m, a + step), None] < group[None, h : h + m])
-            i, j = i + h + a, j + h
-            keep = _may_meet(n, pos, i, j)
-            yield i[keep], j[keep]
-
-
-def _met(entries: DataFrame, grouped: bool) -> DataFrame:
-    """Distinct (a, b), a < b, of sets that meet in a bucket."""
-    columns = ["token", "rep", "n", "pos", *(["root"] if grouped else [])]
+                first = s[np.argsort(rank, kind="stable")][: len(s) - -(-OF * len(s) // IN) + 1] if len(s) else s
+                n.append(len(s))
+                bits.append(majority(every))
+                profiles.append(profile(s).tobytes())
+                tokens.append(first.tobytes())
+            arrays = [batch.column("node"), pa.array(n, pa.int32()), pa.array(np.array(bits, np.uint64).view(np.int64)), pa.array(profiles, pa.binary()), pa.array(tokens, pa.binary())]
+            yield pa.RecordBatch.from_arrays(arrays, names=["node", "n", "bits", "profile", "tokens"])
+
+    return found.mapInArrow(run, "node long, n int, bits long, profile binary, tokens binary")
+
+
+def _entries(marks: DataFrame, most: int | None = None) -> DataFrame:
+    """(token, node, n, pos): a row for each of the first shingles, or `most` of them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = None  # the last bucket may go on in the next batch
+        for batch in batches:
+            for i in range(0, batch.num_rows, 1024):
+                some = batch.slice(i, 1024)
+                sets = [np.frombuffer(t, "<i8")[:most] for t in some.column("tokens").to_pylist()]
+                m = np.fromiter(map(len, sets), np.int64, len(sets))
+                pos = np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m)
+                arrays = [np.concatenate(sets), np.repeat(some.column("node").to_numpy(), m), np.repeat(some.column("n").to_numpy(), m), pos.astype(np.int32)]
+                yield pa.RecordBatch.from_arrays([pa.array(a) for a in arrays], names=["token", "node", "n", "pos"])
+
+    return marks.where("n > 0").select("node", "n", "tokens").mapInArrow(run, "token long, node long, n int, pos int")
+
+
+def _alike_in_size(n: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    return IN * np.minimum(n[i], n[j]) >= OF * np.maximum(n[i], n[j])
+
+
+def _pairs(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    pairs = np.unique(np.sort(np.stack([a, b], axis=1), axis=1), axis=0)
+    return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+
+
+def _neighbours(rows: DataFrame) -> DataFrame:
+    """Distinct (a, b), a < b: each text with the first of its bucket and with a few before it, of other groups than its own.
+
+    Buckets of any size stream, in an order of their own; what they miss is left to the last step.
+    """
+    columns = ["token", "node", "n", "root"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [np.zeros(0, np.int64)] * 4  # rows of the last bucket that the next batch may meet, its first one in front
+        for batch in batches:
+            fresh = len(held[0])
+            token, node, n, root = (np.concatenate([h, batch.column(c).to_numpy().astype(np.int64)]) for h, c in zip(held, columns))
+            if not len(token):
+                continue
+            at = np.arange(fresh, len(token))
+            head = np.maximum.accumulate(np.where(np.concatenate([[True], token[1:] != token[:-1]]), np.arange(len(token)), 0))
+            i, j = (np.concatenate(x) for x in zip((head[at], at), *((at - k, at) for k in SHIFTS)))
+            keep = (i >= 0) & (i < j)
+            i, j = i[keep], j[keep]
+            keep = (token[i] == token[j]) & (root[i] != root[j]) & _alike_in_size(n, i, j)
+            if keep.any():
+                yield _pairs(node[i[keep]], node[j[keep]])
+            last = np.unique(np.concatenate([[head[-1]], np.arange(max(head[-1], len(token) - max(SHIFTS)), len(token))]))
+            held = [token[last], node[last], n[last], root[last]]
+
+    dealt = rows.select(*columns, F.xxhash64("node", "token").alias("h")).repartitionByRange("token", "h").sortWithinPartitions("token", "h")
+    return dealt.select(*columns).mapInArrow(run, "a long, b long").distinct()
+
+
+def _rooted(entries: DataFrame, roots: DataFrame) -> DataFrame:
+    joined = entries.drop("root").join(roots.select(F.col("node").alias("r_node"), "root"), F.col("node") == F.col("r_node"), "left")
+    return joined.select("token", "node", "n", "pos", F.coalesce("root", "node").alias("root"))
+
+
+def _mixed(rooted: DataFrame, written) -> DataFrame:
+    """The rows of buckets that hold several groups, with the number of blocks of CELL rows that such a bucket has."""
+    size = rooted.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("rows")).where("lo <> hi")
+    mixed = written(size.select(F.col("token").alias("m_token"), F.ceil(F.col("rows") / CELL).cast("int").alias("blocks")))
+    return written(rooted.drop("blocks").join(broadcast_within(mixed), F.col("token") == F.col("m_token")).drop("m_token"))
+
+
+def _across(mixed: DataFrame) -> DataFrame:
+    """Distinct (a, b), a < b: texts of different groups that meet in a bucket, where their sizes and places leave room."""
+    mine = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    rows = mixed.withColumn("block", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.withColumn("x", F.least("block", "other")).withColumn("y", F.greatest("block", "other"))
+    columns = ["token", "x", "y", "block", "node", "n", "pos", "root"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None  # the last cell may go on in the next batch
         for batch in _with_end(batches):
             if batch is not None:
-                now = [batch.column(c).to_numpy() for c in columns]
-                held = now if held is None else [np.concatenate(x) for x in zip(held, now)]
-                cut = int(np.searchsorted(held[0], held[0][-1])) if len(held[0]) else 0
+                now = [batch.column(c).to_numpy().astype(np.int64) for c in columns]
+                held = now if held is None else [np.concatenate(p) for p in zip(held, now)]
+                if not len(held[0]):
+                    continue
             elif held is None:
                 return
-            else:
-                cut = len(held[0])
-            whole, held = [x[:cut] for x in held], [x[cut:] for x in held]
-            if not cut:
-                continue
-            token, rep, n, pos = whole[0], whole[1], whole[2].astype(np.int64), whole[3].astype(np.int64)
-            for i, j in _bucket_pairs(token, rep, n, pos, whole[4] if grouped else None):
-                if len(i):
-                    pairs = np.unique(np.sort(np.stack([rep[i], rep[j]], axis=1), axis=1), axis=0)
-                    yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
-
-    dealt = entries.select(*columns).repartition("token").sortWithinPartitions("token", "n", "rep")
+            keys = np.stack(held[:3])
+            new = np.concatenate([[True], (keys[:, 1:] != keys[:, :-1]).any(axis=0)])[: len(held[0])]
+            edges = [*np.flatnonzero(new).tolist(), len(held[0])]
+            if batch is not None:
+                edges.pop()
+            found = [[], []]
+            for a, b in zip(edges, edges[1:]):
+                _, x, y, block, node, n, pos, root = (c[a:b] for c in held)
+                i, j = np.nonzero(root[:, None] < root[None, :])
+                rest = np.minimum(n[i] - pos[i], n[j] - pos[j])  # what can follow if this is the first shingle that both share
+                keep = _alike_in_size(n, i, j) & ((OF + IN) * rest >= OF * (n[i] + n[j]))
+                if x[0] != y[0]:  # cells of two blocks: those within a block meet in a cell of their own
+                    keep &= block[i] != block[j]
+                found[0].append(node[i[keep]])
+                found[1].append(node[j[keep]])
+            if sum(map(len, found[0])):
+                yield _pairs(*map(np.concatenate, found))
+            held = [c[edges[-1] :] for c in held] if batch is not None else None
+
+    dealt = rows.select(*columns).repartition("token", "x", "y").sortWithinPartitions("token", "x", "y", "block", "node")
     return dealt.mapInArrow(run, "a long, b long").distinct()
 
 
@@ -150,39 +232,79 @@ def _with_end(batches: Iterator) -> Iterator:
     yield None
 
 
-def _similar_pairs(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """The pairs whose whole sets are similar."""
+def _both(pairs: DataFrame, of: DataFrame, column: str) -> DataFrame:
+    x = of.select(F.col("node").alias("x_node"), F.col(column).alias("x"))
+    y = of.select(F.col("node").alias("y_node"), F.col(column).alias("y"))
+    return pairs.join(x, F.col("a") == F.col("x_node")).join(y, F.col("b") == F.col("y_node")).select("a", "b", "x", "y")
+
 
+def _that(pairs: DataFrame, dtype: str, test) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             x, y = (batch.column(c) for c in ("x", "y"))
-            good = [similar(np.frombuffer(x[i].as_py(), "<u8"), np.frombuffer(y[i].as_py(), "<u8")) for i in range(batch.num_rows)]
+            good = [test(np.frombuffer(x[i].as_py(), dtype), np.frombuffer(y[i].as_py(), dtype)) for i in range(batch.num_rows)]
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    x = sets.select(F.col("rep").alias("a"), F.col("shingles").alias("x"))
-    y = sets.select(F.col("rep").alias("b"), F.col("shingles").alias("y"))
-    return pairs.join(x, "a").join(y, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long").distinct()
+    return pairs.mapInArrow(run, "a long, b long")
 
 
-def similar_components(documents: DataFrame, words: int = WORDS) -> DataFrame:
-    """(doc_id, component_id), one row per distinct doc_id: the smallest doc_id reachable over similar texts.
+def _decided(pairs: DataFrame, marks: DataFrame, documents: DataFrame, nodes: DataFrame, words: int, written) -> DataFrame:
+    """The pairs whose whole sets are similar."""
+    likely = written(_that(_both(pairs, marks, "profile"), "<u2", may_be_similar))
+    named = likely.select(F.col("a").alias("l_node")).unionByName(likely.select(F.col("b").alias("l_node"))).distinct()
+    wanted = nodes.join(broadcast_within(named), F.col("node") == F.col("l_node"), "left_semi")
 
-    Null and empty texts are alike. Rows with a null doc_id take no part; texts that share a doc_id are one document.
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingles(t, words).tobytes() for t in texts(batch.column("text"))]
+            yield pa.RecordBatch.from_arrays([batch.column("node"), pa.array(sets, pa.binary())], names=["node", "shingles"])
+
+    sets = written(_texts_of(documents, checkpointed(wanted)).mapInArrow(run, "node long, shingles binary"))
+    return written(_that(_both(likely, sets, "shingles"), "<u8", similar).distinct())
+
+
+def similar_texts(documents: DataFrame, words: int = WORDS) -> DataFrame:
+    """(doc_id, digest, copies, component): one row per distinct text, under its smallest doc_id; equal components are linked.
+
+    Null and empty texts are one text, and texts without words are alike. Rows with a null doc_id take no part.
+    """
+    spark = documents.sparkSession
+    with tables(spark) as written:
+        nodes = written(_nodes(documents))
+        every = max(1, nodes.count() // SAMPLE)
+        sample = nodes.where(F.pmod(F.xxhash64("digest"), F.lit(every)) == 0)
+        marks = written(_marks(_texts_of(documents, nodes), _common(_texts_of(documents, sample), words), words))
+        marks = marks.dropDuplicates(["node"]) if nodes.where("copies > 1").take(1) else marks
+        wordless = marks.where("n = 0").select("node")
+        links = wordless.crossJoin(wordless.agg(F.min("node").alias("a"))).select("a", F.col("node").alias("b")).where("a < b")  # one row on the other side
+        prints = marks.where("n > 0").groupBy("bits").agg(F.min("node").alias("rep"))
+        same = marks.where("n > 0").select(F.col("bits").alias("m_bits"), "node").join(prints, F.col("m_bits") == F.col("bits")).where("node <> rep")
+        close = near_links(checkpointed(prints)).unionByName(same.select(F.least("rep", "node").alias("a"), F.greatest("rep", "node").alias("b")))
+        decided = lambda pairs: _decided(pairs, marks, documents, nodes, words, written)
+        alone = _entries(marks, FIRST).withColumn("root", F.col("node"))
+        tied = decided(close.unionByName(_neighbours(alone)).distinct()).unionByName(links)
+        mixed = _mixed(_rooted(_entries(marks), components(tied)), written)
+        tied = tied.unionByName(decided(_neighbours(mixed)))
+        mixed = _mixed(_rooted(mixed, components(tied)), written)
+        roots = components(tied.unionByName(decided(_across(mixed))))
+        return checkpointed(
+            nodes.join(roots.withColumnRenamed("node", "r_node"), F.col("node") == F.col("r_node"), "left").select(
+                "doc_id", "digest", "copies", F.coalesce("root", "node").alias("component")
+            )
+        )
+
+
+def keep_one_of_similar(documents: DataFrame, words: int = WORDS) -> DataFrame:
+    """One document of each group of similar texts, all columns: the text with the smallest doc_id (then digest).
+
+    Rows without an id stay. Rows that share both id and text are one document, of which the row with the smallest hash of
+    all columns stays; rows that share an id but not the text are different documents.
     """
-    marks = checkpointed(_marks(documents, words))
-    plain = marks.select("doc_id", "digest").distinct()
-    classes = checkpointed(plain.groupBy("digest").agg(F.min("doc_id").alias("rep")))
-    # Copies share a class from the start, and ids with several texts tie their classes together.
-    named = plain.join(classes, "digest").select("doc_id", "rep").distinct()
-    firsts = classes.select("digest", F.col("rep").alias("doc_id"))
-    sets = marks.join(firsts, ["doc_id", "digest"], "left_semi").dropDuplicates(["doc_id", "digest"]).select(F.col("doc_id").alias("rep"), "shingles")
-    sets = checkpointed(sets)
-    entries = checkpointed(_entries(sets, _common(sets)))
-    links = named.where("doc_id <> rep").select(F.col("rep").alias("a"), F.col("doc_id").alias("b"))
-    stars = checkpointed(_similar_pairs(_met(entries, False), sets))
-    roots = components(stars)
-    rooted = entries.join(roots.withColumnRenamed("node", "rep"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
-    cross = _similar_pairs(_met(rooted, True), sets)
-    last = components(links.unionByName(stars).unionByName(cross))
-    ids = plain.select("doc_id").distinct()
-    return ids.join(last, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("root", "doc_id").alias("component_id"))
+    found = similar_texts(documents, words)
+    first = found.groupBy("component").agg(F.min(F.struct("doc_id", "digest", "copies")).alias("k"))
+    kept = broadcast_within(checkpointed(first.select(F.col("k.doc_id").alias("__near_id"), F.col("k.digest").alias("__near_kept"), F.col("k.copies").alias("__near_copies"))))
+    rows = _with_digest(documents).join(kept, (F.col("doc_id").cast("long") == F.col("__near_id")) & (F.col(DIGEST) == F.col("__near_kept")))
+    once = rows.where("__near_copies = 1").select(*documents.columns)
+    whole = F.struct(*documents.columns)
+    again = rows.where("__near_copies > 1").groupBy("__near_id", "__near_kept").agg(F.min_by(whole, F.xxhash64(*documents.columns)).alias("row")).select("row.*")
+    return once.unionByName(again).unionByName(documents.where(F.col("doc_id").isNull()))

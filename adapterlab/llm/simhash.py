@@ -14,7 +14,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from adapterlab.llm.common import checkpointed, texts, with_small_batches
@@ -27,13 +27,22 @@ def fingerprint(text: str | None, words: int = WORDS, seed: int = SEED) -> int:
     parts = (text or "").encode("utf-8", "surrogatepass").lower().split()  # bytes: ASCII white space and letters only
     if not parts:
         return 0
+    return majority(shingle_hashes(parts, words, seed))
+
+
+def shingle_hashes(parts: list[bytes], words: int, seed: int = SEED) -> np.ndarray:
+    """Hash of each run of so many words, repeats included; fewer words are one run."""
     joined = b" ".join(parts)
     ends = np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)) + 1)
     starts = np.concatenate([[0], ends[:-1]])
     k = min(words, len(parts))
     spans = zip(starts[: len(parts) - k + 1].tolist(), (ends[k - 1 :] - 1).tolist())
     digest = xxhash.xxh64_intdigest
-    h = np.fromiter((digest(joined[a:b], seed) for a, b in spans), np.uint64, len(parts) - k + 1)
+    return np.fromiter((digest(joined[a:b], seed) for a, b in spans), np.uint64, len(parts) - k + 1)
+
+
+def majority(h: np.ndarray) -> int:
+    """The bits set in over half the hashes."""
     ones = np.zeros(64, np.int64)
     for i in range(0, len(h), 4096):
         block = h[i : i + 4096]
@@ -83,19 +92,21 @@ def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
         m = pairs.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("c"), F.least("u", "m").alias("m"))
         return pairs.withColumn("hu", F.hash("u")).join(m.withColumn("hc", F.hash("c")), (F.col("hu") == F.col("hc")) & (F.col("u") == F.col("c")))
 
-    def state(edges: DataFrame) -> tuple:
-        return tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
+    def settled(edges: DataFrame) -> tuple[DataFrame, tuple]:
+        """The edges, written, and what tells two states apart, gathered while they are written."""
+        seen = Observation()
+        told = edges.observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h"))
+        edges = checkpointed(told)
+        return edges, (seen.get["n"], seen.get["h"])
 
-    edges = checkpointed(links.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct())
-    before = state(edges)
+    edges, before = settled(links.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct())
     for _ in range(max_rounds):
         both = edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v")))
         large = smallest_around(both).where("v > u").select(F.col("m").alias("a"), F.col("v").alias("b")).where("a < b").distinct()
         down = large.select(F.col("b").alias("u"), F.col("a").alias("v"))
         near = smallest_around(down)
         tied = near.select(F.col("m").alias("a"), F.col("v").alias("b")).unionByName(near.select(F.col("m").alias("a"), F.col("u").alias("b")))
-        edges = checkpointed(tied.where("a < b").distinct())
-        now = state(edges)
+        edges, now = settled(tied.where("a < b").distinct())
         if now == before:
             return edges.select(F.col("b").alias("node"), F.col("a").alias("root"))
         before = now
@@ -123,14 +134,3 @@ def near_duplicates(documents: DataFrame, distance: int = DISTANCE, words: int =
     return joined.select(
         "doc_id", F.lower(F.lpad(F.hex("bits"), 16, "0")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id")
     )
-
-
-def keep_representatives(documents: DataFrame, marked: DataFrame | None = None) -> DataFrame:
-    """One document of each class, all columns: the one with the smallest doc_id. Rows without an id stay.
-
-    Rows that share a doc_id count as one document; one of them stays.
-    """
-    marked = near_duplicates(documents) if marked is None else marked
-    kept = marked.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("__kept_id")).distinct()
-    with_id = documents.join(kept, F.col("doc_id") == F.col("__kept_id"), "left_semi").dropDuplicates(["doc_id"])
-    return with_id.unionByName(documents.where(F.col("doc_id").isNull()))

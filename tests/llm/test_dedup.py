@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from adapterlab.llm import simhash, suffixes
+from adapterlab.llm import shingles, simhash, suffixes
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, g long, k int"
 
@@ -175,6 +175,6 @@ def test_components_of_a_long_chain_and_a_star(spark):
 
 def test_representatives(spark):
     rows = [(5, "a b c d"), (3, "A b c d"), (None, "a b c d"), (9, "other words here now"), (9, "other words here now")]
-    kept = simhash.keep_representatives(docs_of(spark, rows)).select("doc_id", "lang", F.col("k")).collect()
+    kept = shingles.keep_one_of_similar(docs_of(spark, rows)).select("doc_id", "lang", F.col("k")).collect()
     assert sorted(r["doc_id"] for r in kept if r["doc_id"] is not None) == [3, 9] and len(kept) == 3
     assert simhash.near_duplicates(docs_of(spark, [])).count() == 0

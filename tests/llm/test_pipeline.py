@@ -2,7 +2,7 @@
 
 import random
 
-from adapterlab.llm import decontaminate, simhash, suffixes
+from adapterlab.llm import decontaminate, shingles, suffixes
 
 import corpus_pipeline
 
@@ -22,8 +22,10 @@ def test_stages_on_small_tables(spark, sf_dir):
         after = {r.doc_id: r.text for r in out.select("doc_id", "text").collect()}
         assert set(after) <= set(before)
         if name == "near_duplicates":
-            marks = {i: simhash.fingerprint(t) for i, t in before.items()}
-            assert not any((marks[i] ^ marks[j]).bit_count() <= 3 for i in after for j in after if i < j)
+            sets = {i: set(shingles.shingles(before[i]).tolist()) for i in before}
+            alike = lambda a, b: len(a & b) * 5 >= 4 * len(a | b)
+            assert not any(alike(sets[i], sets[j]) for i in after for j in after if i < j)
+            assert all(any(alike(sets[i], sets[j]) for j in before if j < i) for i in set(before) - set(after))
         if name == "repeated_passages":
             assert set(after) == set(before)
             told = {r.doc_id: r.n_removed for r in suffixes.repeated_bytes(docs).collect()}

@@ -14,28 +14,27 @@ def five_words(text):
     return {" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
 
 
-def brute(rows, similarity=0.8):
-    root = {i: i for i, _ in rows}
+def brute(rows):
+    """Component of each (id, text), named by its smallest (id, text)."""
+    keys = sorted({(i, t or "") for i, t in rows})
+    root = {k: k for k in keys}
 
-    def find(i):
-        while root[i] != i:
-            i = root[i]
-        return i
+    def find(k):
+        while root[k] != k:
+            k = root[k]
+        return k
 
-    sets = [(i, five_words(t)) for i, t in rows]
+    sets = [(k, five_words(k[1])) for k in keys]
     for i, a in sets:
         for j, b in sets:
-            if i == j or (len(a & b) * 5 >= 4 * len(a | b)):
+            if len(a & b) * 5 >= 4 * len(a | b):
                 x, y = sorted((find(i), find(j)))
                 root[y] = x
-    return {i: find(i) for i in root}
+    return {k: find(k) for k in keys}
 
 
-@pytest.mark.parametrize("common,pairs", [(50_000, 1 << 20), (0, 5)])
-def test_lightly_edited_copies_form_groups(spark, monkeypatch, common, pairs):
-    monkeypatch.setattr(shingles, "COMMON", common)
-    monkeypatch.setattr(shingles, "PAIRS", pairs)
-    r = random.Random(3)
+def rows_of(seed=3):
+    r = random.Random(seed)
     word = lambda: "".join(r.choice("abcdefgh") for _ in range(4))
     line = " ".join(word() for _ in range(30))
     base = [" ".join(word() for _ in range(r.choice([6, 40, 150]))) for _ in range(8)]
@@ -45,10 +44,48 @@ def test_lightly_edited_copies_form_groups(spark, monkeypatch, common, pairs):
         for _ in range(r.randint(0, 1 + len(t) // 30)):
             t[r.randrange(len(t))] = word()
         rows.append((i, f"{' '.join(t)} {line if i % 3 == 0 else ''}"))
-    rows += [(200, None), (201, ""), (202, "one"), (203, "One "), (7, rows[8][1])]
-    docs = spark.createDataFrame([*rows, (None, "x")], "doc_id long, text string")
-    got = {x.doc_id: x.component_id for x in shingles.similar_components(docs).collect()}
+    return [*rows, (200, None), (201, ""), (202, "one"), (203, "One "), (7, rows[8][1]), (7, "another text of that id"), (204, " \n"), (5, rows[5][1])]
+
+
+@pytest.mark.parametrize("common,cell,first", [(50_000, 4096, 4), (0, 7, 1)])
+def test_lightly_edited_copies_form_groups(spark, monkeypatch, common, cell, first):
+    monkeypatch.setattr(shingles, "COMMON", common)
+    monkeypatch.setattr(shingles, "CELL", cell)
+    monkeypatch.setattr(shingles, "FIRST", first)
+    rows = rows_of()
+    docs = spark.createDataFrame([*rows, (None, "x"), (None, "x")], "doc_id long, text string")
     want = brute(rows)
-    assert got == want and len(set(want.values())) > 12
-    kept = {x.doc_id for x in corpus_pipeline.near_duplicates(spark, docs, "").collect()}
-    assert kept == set(want.values()) | {None}
+    kept = sorted((x.doc_id, x.text or "") for x in corpus_pipeline.near_duplicates(spark, docs, "").collect() if x.doc_id is not None)
+    assert kept == sorted(set(want.values())) and len(kept) > 12
+    assert corpus_pipeline.near_duplicates(spark, docs, "").where("doc_id IS NULL").count() == 2
+    by = {}
+    for x in shingles.similar_texts(docs).collect():
+        by.setdefault(x.component, set()).add(x.doc_id)
+    groups = {}
+    for (i, t), r in want.items():
+        groups.setdefault(r, {}).setdefault(t, i)
+    assert len(by) == len(groups) and sorted(map(min, by.values())) == sorted(min(g.values()) for g in groups.values())
+
+
+def test_groups_do_not_need_neighbours_or_fingerprints(spark, monkeypatch):
+    """What is exact is the last step; without candidates from the others the groups are the same."""
+    rows = rows_of(5)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    monkeypatch.setattr(shingles, "near_links", lambda classes: classes.select("rep", "rep").toDF("a", "b").where("a < b"))
+    monkeypatch.setattr(shingles, "_neighbours", lambda rows: rows.select("node", "node").toDF("a", "b").where("a < b"))
+    kept = sorted((x.doc_id, x.text or "") for x in shingles.keep_one_of_similar(docs).collect())
+    assert kept == sorted(set(brute(rows).values()))
+
+
+def test_range_counts_never_reject_similar_sets():
+    r = random.Random(2)
+    import numpy as np
+
+    for n in (1, 5, 40, 3000):
+        a = np.unique(np.array([r.getrandbits(64) for _ in range(n)], np.uint64))
+        for lost in range(0, n // 5 + 1, max(1, n // 20)):
+            b = a[lost:]
+            if shingles.similar(a, b):
+                assert shingles.may_be_similar(shingles.profile(a), shingles.profile(b))
+    a, b = (np.array([r.getrandbits(64) for _ in range(400)], np.uint64) for _ in "ab")
+    assert not shingles.may_be_similar(shingles.profile(np.unique(a)), shingles.profile(np.unique(b)))
