@@ -6,17 +6,14 @@ packed pieces. Rows are written between stages, so that each stage starts from f
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 
-from adapterlab.llm.common import ensure_checkpoint_dir, table
+from adapterlab.llm.common import shared_folder, table
 from adapterlab.llm.decontaminate import drop_leaked
 from adapterlab.llm.packing import pack_documents
 from adapterlab.llm.quality import fit_quality, keep_quality
 from adapterlab.llm.queries import tokenizer_file
-from adapterlab.llm.shingles import similar_components
-from adapterlab.llm.simhash import keep_representatives
+from adapterlab.llm.shingles import keep_one_of_similar
 from adapterlab.llm.suffixes import remove_repeats
 
 
@@ -26,8 +23,11 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays; five-word shingles with a similarity of 0.8 or more link two documents."""
-    return keep_representatives(docs, similar_components(docs))
+    """One document of each group stays; five-word shingles with a similarity of 0.8 or more link two documents.
+
+    Fingerprints within three bits are candidates, found by multi-index hashing; what they miss is found by shingles.
+    """
+    return keep_one_of_similar(docs)
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -55,8 +55,7 @@ ORACLE_SQL = None  # trees and packing have no SQL form; tests compare the stage
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    ensure_checkpoint_dir(spark)
-    folder = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/pipeline-{uuid.uuid4().hex}"
+    folder = shared_folder(spark, "pipeline")
     docs = table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
