@@ -4,28 +4,33 @@ Numbers, names and units become typed placeholders. Windows of five template tok
 benchmark in a hash join, and a document holds an item if at least 0.8 of the item's windows are met and the
 values in the slots can be mapped onto each other one to one. So a question comes up again even when its
 figures and names were changed, while texts that merely share a phrase do not.
+
+The benchmark's windows are a table; only a bit set of fixed size is sent to all tasks, so that a document gives a row
+just for the windows that may be there. Texts that meet enough windows of an item are read again, each with its items,
+to compare the slots.
 """
 
 from __future__ import annotations
 
 import re
 from collections import Counter, defaultdict
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import xxhash
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import texts, with_small_batches
+from adapterlab.llm.common import broadcast_within, checkpointed, tables, texts, with_small_batches
 
 WINDOW, SIMILARITY = 5, 0.8
 MIN_WORDS = 2  # words that are no placeholders, in a window
 FEW = 5  # items with fewer windows are found by their exact words as well
-BLOCK_CHARS = 32_000_000  # benchmark text that is sent to all tasks at once
-ITEM_ROWS = 50_000
+BITS = 22  # of a window's hash, for the bit set of the benchmark's windows
+CHUNK = 1 << 20  # characters of documents coded at once, beside the text that crosses it
+ITEMS = 4096  # items a task keeps ready
 
 # Unit words and number words.
 UNITS = frozenset(
@@ -74,17 +79,19 @@ class Codes(dict):
                 flags |= IS_NUMBER | IS_UNIT if m[2].lower() in UNITS else 0
             elif low in UNITS:
                 flags |= IS_UNIT
-        # Documents and items are coded in one process, so its own string hash will do.
-        code = hash(low) >> 8 << 8 | flags
+        code = (xxhash.xxh3_64_intdigest(low.encode("utf-8", "surrogatepass")) & ~255 | flags) - (1 << 63)
         self[word] = code
         return code
 
 
 @dataclass
 class Template:
+    """Template tokens of one text or of several, one after the other."""
+
     keys: np.ndarray  # hash of each token, placeholders by their type
     kinds: np.ndarray
     codes: np.ndarray  # hash of each token's own word
+    text: np.ndarray  # which text a token belongs to, rising
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -92,14 +99,21 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(29))
 
 
-def templates(text: str | None, codes: Codes) -> tuple[Template, Template, Template]:
+def templates(some: Iterable[str | None], codes: Codes) -> tuple[Template, Template, Template]:
     """Three forms: capitals name something inside sentences; at their start as well; nowhere.
 
     The second meets names that start a sentence and copies whose sentences start elsewhere, the third copies in all
     small letters.
     """
-    words = (text or "").replace("\n", f" {LINE} ").split()
+    words: list[str] = []
+    sizes = []
+    for text in some:
+        before = len(words)
+        words += (text or "").replace("\n", f" {LINE} ").split()
+        words.append(LINE)  # a text's end ends a sentence
+        sizes.append(len(words) - before)
     raw = np.fromiter(map(codes.__getitem__, words), np.int64, len(words))
+    of = np.repeat(np.arange(len(sizes)), sizes)
     flags = raw & 255
     # A sentence starts after an end mark, at a new line, and at the beginning.
     breaks = (flags & (ENDS | IS_LINE)) != 0
@@ -111,9 +125,9 @@ def templates(text: str | None, codes: Codes) -> tuple[Template, Template, Templ
     kept = np.flatnonzero(keep)
     if len(kept):
         first[kept] = np.concatenate([[True], sentence[kept[1:]] != sentence[kept[:-1]]])
-    raw, flags, first, sentence = raw[keep], flags[keep], first[keep], sentence[keep]
+    raw, flags, first, sentence, of = raw[keep], flags[keep], first[keep], sentence[keep], of[keep]
     number = (flags & IS_NUMBER) != 0
-    after = np.concatenate([[False], number[:-1]])[: len(raw)]
+    after = np.concatenate([[False], number[:-1] & (of[1:] == of[:-1])])[: len(raw)]
     unit = ((flags & IS_UNIT) != 0) & after & ~number
     capital = ((flags & CAPITAL) != 0) & ~number
     # Where most words of a sentence are capitals, capitals name nothing.
@@ -121,115 +135,112 @@ def templates(text: str | None, codes: Codes) -> tuple[Template, Template, Templ
         loud = np.bincount(sentence, capital) > 0.5 * np.bincount(sentence)
         capital &= ~loud[sentence]
     own = raw.view(np.uint64) >> np.uint64(8)
-    plain = np.where(number, NUM, np.where(unit, UNIT, WORD))
+    plain = np.where(number, NUM, np.where(unit, UNIT, WORD)).astype(np.int8)
 
     def form(names: np.ndarray) -> Template:
-        kinds = np.where(names & (plain == WORD), NAME, plain)
-        return Template(_mix(np.where(kinds == WORD, own, kinds.astype(np.uint64))), kinds, own)
+        kinds = np.where(names & (plain == WORD), np.int8(NAME), plain)
+        return Template(_mix(np.where(kinds == WORD, own, kinds.astype(np.uint64))), kinds, own, of)
 
     return form(capital & ~first), form(capital), form(np.zeros(len(raw), bool))
 
 
-def windows(t: Template, width: int = WINDOW) -> np.ndarray:
-    """Hash of the window at each token; zero for windows with too few words."""
-    n = len(t.keys) - width + 1
+def _hashed(tokens: np.ndarray, text: np.ndarray, width: int) -> np.ndarray:
+    """Odd hash of the window at each token; zero where it would cross into the next text."""
+    n = len(tokens) - width + 1
     if n <= 0:
         return np.zeros(0, np.uint64)
     h = np.zeros(n, np.uint64)
-    words = np.zeros(n, np.int64)
     for j in range(width):
-        h = _mix(h * np.uint64(0x9E3779B97F4A7C15) + t.keys[j : j + n])
-        words += t.kinds[j : j + n] == WORD
-    return np.where(words >= MIN_WORDS, h | np.uint64(1), np.uint64(0))
+        h = _mix(h * np.uint64(0x9E3779B97F4A7C15) + tokens[j : j + n])
+    return np.where(text[:n] == text[width - 1 :], h | np.uint64(1), np.uint64(0))
+
+
+def windows(t: Template, width: int = WINDOW) -> np.ndarray:
+    """Hash of the window at each token; zero for windows with too few words."""
+    h = _hashed(t.keys, t.text, width)
+    words = np.concatenate([[0], np.cumsum(t.kinds == WORD)])
+    return np.where(words[width:] - words[:-width] >= MIN_WORDS, h, np.uint64(0)) if len(h) else h
 
 
 def word_windows(t: Template, width: int = WINDOW) -> np.ndarray:
-    """Hash of the words of the window at each token, whatever their types."""
-    n = max(0, len(t.codes) - width + 1)
-    h = np.zeros(n, np.uint64)
-    for j in range(width):
-        h = _mix(h * np.uint64(0x9E3779B97F4A7C15) + t.codes[j : j + n])
-    return h
+    """Hash of the words of the window at each token, whatever their types; other hashes than those of `windows`."""
+    h = _hashed(t.codes, t.text, width)
+    return np.where(h != 0, _mix(h) | np.uint64(1), h)
+
+
+def _distinct_forms(forms: tuple[Template, ...]) -> list[Template]:
+    return [t for f, t in enumerate(forms) if not any(np.array_equal(t.kinds, forms[g].kinds) for g in range(f))]
 
 
 @dataclass
-class Item:
-    row: int
-    item_id: int
+class Form:
+    """One form of an item."""
+
     template: Template
     at: dict[int, list[int]]  # window -> its places
 
 
-class Index:
-    """Windows of a block of benchmark items, ready for look-ups."""
+@dataclass
+class Item:
+    forms: list[Form]
+    exact: Template | None  # for items with few windows: their words count as they are
+
+
+def item_of(text: str | None, codes: Codes, width: int = WINDOW) -> Item:
+    forms, every = [], templates([text], codes)
+    for t in _distinct_forms(every):
+        at: dict[int, list[int]] = defaultdict(list)
+        for i, h in enumerate(windows(t, width).tolist()):
+            if h:
+                at[h].append(i)
+        if at:
+            forms.append(Form(t, at))
+    few = max((len(f.at) for f in forms), default=0) < FEW
+    return Item(forms, every[0] if few and len(every[0].codes) >= width else None)
+
+
+class Text:
+    """A document's windows by hash, all forms together."""
+
+    def __init__(self, text: str | None, codes: Codes, width: int):
+        forms = templates([text], codes)
+        self.template, self.width = forms[0], width
+        found = [windows(t, width) for t in _distinct_forms(forms)]
+        self.by_hash = _sorted_places(np.concatenate(found), np.concatenate([np.arange(len(h)) for h in found]))
+        words = word_windows(forms[0], width)
+        self.by_words = _sorted_places(words, np.arange(len(words)))
+
+    @staticmethod
+    def places(of: tuple[np.ndarray, np.ndarray], key: int) -> list[int]:
+        lo, hi = np.searchsorted(of[0], np.uint64(key), "left"), np.searchsorted(of[0], np.uint64(key), "right")
+        return np.unique(of[1][lo:hi]).tolist()
+
+    def match(self, item: Item, similarity: float) -> tuple[int, int, int, int] | None:
+        """(windows met, windows of the item, slots, slots with another value), or None."""
+        best = None
+        if (t := item.exact) is not None:
+            n = len(t.codes)
+            for i in self.places(self.by_words, int(word_windows(t, self.width)[0])):
+                if np.array_equal(self.template.codes[i : i + n], t.codes):
+                    best = (n - self.width + 1, n - self.width + 1, int((t.kinds != WORD).sum()), 0)
+                    break
+        for form in item.forms:
+            hits = {key: places for key in form.at if (places := self.places(self.by_hash, key))}
+            if len(hits) < similarity * len(form.at):
+                continue
+            if (found := _consistent(self.template, form, hits, self.width, similarity)) is not None:
+                row = (found[0], len(form.at), found[1], found[2])
+                if best is None or row[0] * best[1] > best[0] * row[1]:
+                    best = row
+        return best
 
-    BITS = 22
 
-    def __init__(self, items: list[tuple[int, str | None]], width: int):
-        codes = Codes()
-        self.items: list[Item] = []
-        self.by_window: dict[int, list[int]] = defaultdict(list)
-        self.exact: dict[int, list[Item]] = defaultdict(list)  # items with few windows, by the words of their first
-        for row, (item_id, text) in enumerate(items):
-            forms = templates(text, codes)
-            most = 0
-            for f, t in enumerate(forms):
-                if any((t.kinds == forms[g].kinds).all() for g in range(f)):
-                    continue
-                at: dict[int, list[int]] = defaultdict(list)
-                for i, h in enumerate(windows(t, width).tolist()):
-                    if h:
-                        at[h].append(i)
-                most = max(most, len(at))
-                if at:
-                    for h in at:
-                        self.by_window[h].append(len(self.items))
-                    self.items.append(Item(row, item_id, t, at))
-            if most < FEW and len(forms[0].codes) >= width:
-                self.exact[int(word_windows(forms[0], width)[0])].append(Item(row, item_id, forms[0], {}))
-        keys = np.fromiter(self.by_window, np.uint64, len(self.by_window))
-        self.seen = np.zeros(1 << self.BITS, bool)
-        self.seen[(keys >> np.uint64(64 - self.BITS)).astype(np.int64)] = True
-        self.seen_exact = np.zeros(1 << self.BITS, bool)
-        keys = np.fromiter(self.exact, np.uint64, len(self.exact))
-        self.seen_exact[(keys >> np.uint64(64 - self.BITS)).astype(np.int64)] = True
-
-    def _spots(self, h: np.ndarray, seen: np.ndarray) -> Iterator[tuple[int, int]]:
-        spots = np.flatnonzero(seen[(h >> np.uint64(64 - self.BITS)).astype(np.int64)])
-        return zip(spots.tolist(), h[spots].tolist())
-
-    def matches(self, text: str | None, codes: Codes, width: int, similarity: float) -> Iterator[tuple[int, int, int, int, int]]:
-        """(item_id, windows met, windows of the item, slots, slots with another value)."""
-        forms = templates(text, codes)
-        t, hits, before = forms[0], defaultdict(list), None
-        for form in forms:
-            if before is not None and (form.kinds == before).all():
-                continue
-            before = form.kinds
-            for i, key in self._spots(windows(form, width), self.seen):
-                if key in self.by_window:
-                    hits[key].append(i)
-        best: dict[int, tuple[int, int, int, int, int]] = {}
-        if self.exact:
-            for i, key in self._spots(word_windows(t, width), self.seen_exact):
-                for item in self.exact.get(key, ()):
-                    n = len(item.template.codes)
-                    if np.array_equal(t.codes[i : i + n], item.template.codes):
-                        best[item.row] = (item.item_id, n - width + 1, n - width + 1, int((item.template.kinds != WORD).sum()), 0)
-        hits = {key: sorted(set(places)) for key, places in hits.items() if places}
-        met = Counter(k for key in hits for k in self.by_window[key])
-        for k, n in sorted(met.items()):
-            item = self.items[k]
-            if n < similarity * len(item.at):
-                continue
-            if (found := _consistent(t, item, hits, width, similarity)) is not None:
-                row = (item.item_id, found[0], len(item.at), found[1], found[2])
-                if item.row not in best or row[1] * best[item.row][2] > best[item.row][1] * row[2]:
-                    best[item.row] = row
-        yield from best.values()
+def _sorted_places(h: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    order = np.argsort(h, kind="stable")
+    return h[order], at[order]
 
 
-def _consistent(t: Template, item: Item, hits: dict[int, list[int]], width: int, similarity: float) -> tuple[int, int, int] | None:
+def _consistent(t: Template, item: Form, hits: dict[int, list[int]], width: int, similarity: float) -> tuple[int, int, int] | None:
     """Looks for the item around each diagonal (place in the text minus place in the item); None if it is nowhere whole."""
     diagonals: dict[int, list[tuple[int, int]]] = defaultdict(list)
     for key, places in item.at.items():
@@ -311,20 +322,117 @@ def _aligned(t: Template, item: Template, near: list[tuple[int, int]], width: in
     return out
 
 
-def _blocks(benchmark: DataFrame) -> Iterator[list[tuple[int, str | None]]]:
-    """Items, streamed to the driver in blocks of a bounded size; each block is one pass over the documents."""
-    block, chars = [], 0
-    for r in benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").where("text IS NOT NULL").toLocalIterator():
-        if block and (chars + len(r["text"]) > BLOCK_CHARS or len(block) >= ITEM_ROWS):
-            yield block
-            block, chars = [], 0
-        block.append((r["item_id"], r["text"]))
-        chars += len(r["text"])
-    if block:
-        yield block
+DIGEST = "__leak_digest"
+MATCHES = "doc_id long, item_id long, matched int, windows int, similarity double, slots int, changed_slots int"
+CHECKED = f"{DIGEST} binary, item_id long, matched int, windows int, similarity double, slots int, changed_slots int"
+
 
+def _digest() -> Column:
+    return F.unhex(F.md5(F.coalesce(F.col("text"), F.lit("")))).alias(DIGEST)
 
-MATCHES = "doc_id long, item_id long, matched int, windows int, similarity double, slots int, changed_slots int"
+
+def _item_windows(items: DataFrame, width: int, similarity: float) -> DataFrame:
+    """(window, item, form, need): the distinct windows of each form, and how many of them a text must meet."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codes = Codes()
+        for batch in batches:
+            for key, text in zip(batch.column("item").to_pylist(), texts(batch.column("text"))):
+                item = item_of(text, codes, width)
+                rows = [(f, list(form.at), int(np.ceil(similarity * len(form.at)))) for f, form in enumerate(item.forms)]
+                if item.exact is not None:
+                    rows.append((-1, word_windows(item.exact, width)[:1].tolist(), 1))
+                for f, found, need in rows:
+                    m = len(found)
+                    arrays = [np.array(found, np.uint64).view(np.int64), np.full(m, key, np.int64), np.full(m, f, np.int32), np.full(m, need, np.int32)]
+                    yield pa.RecordBatch.from_arrays([pa.array(a) for a in arrays], names=["window", "item", "form", "need"])
+
+    return items.select("item", "text").mapInArrow(run, "window long, item long, form int, need int")
+
+
+def _bit_set(wanted: DataFrame) -> bytes:
+    """One bit for each value of the first BITS bits of a window; 2 ** BITS numbers at most come to the driver."""
+    slots = wanted.select(F.shiftrightunsigned("window", 64 - BITS).alias("slot")).distinct().toPandas()["slot"].to_numpy(np.int64)
+    seen = np.zeros(1 << BITS, bool)
+    seen[slots] = True
+    return np.packbits(seen).tobytes()
+
+
+def _chunks(column: Iterable[str]) -> Iterator[list[str]]:
+    some, chars = [], 0
+    for t in column:
+        some.append(t)
+        chars += len(t)
+        if chars >= CHUNK:
+            yield some
+            some, chars = [], 0
+    if some:
+        yield some
+
+
+def _hits(documents: DataFrame, bits, width: int) -> DataFrame:
+    """Distinct (digest, window) of the texts' windows whose bit is set."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen, codes = np.unpackbits(np.frombuffer(bits.value, np.uint8)).view(bool), Codes()
+        shift = np.uint64(64 - BITS)
+
+        def among(h: np.ndarray, t: Template) -> tuple[np.ndarray, np.ndarray]:
+            spots = np.flatnonzero(seen[(h >> shift).astype(np.int64)])
+            spots = spots[h[spots] != 0]
+            return t.text[spots], h[spots]
+
+        for batch in batches:
+            row = 0
+            for some in _chunks(texts(batch.column("text"))):
+                forms = templates(some, codes)
+                found = [among(windows(t, width), t) for t in forms] + [among(word_windows(forms[0], width), forms[0])]
+                at, h = (np.concatenate(x) for x in zip(*found))
+                if len(at):
+                    pairs = np.unique(np.stack([at.astype(np.uint64), h], axis=1), axis=0)
+                    yield pa.RecordBatch.from_arrays([batch.column(DIGEST).take(pa.array(row + pairs[:, 0].astype(np.int64))), pa.array(pairs[:, 1].copy().view(np.int64))], names=[DIGEST, "window"])
+                row += len(some)
+
+    return with_small_batches(documents).select(_digest(), "text").mapInArrow(run, f"{DIGEST} binary, window long").distinct()
+
+
+def _compare(width: int, similarity: float):
+    codes, ready = Codes(), {}
+
+    def run(text: pa.Table, items: pa.Table) -> pa.Table:
+        rows = []
+        if text.num_rows and items.num_rows:
+            digest, document = text.column(DIGEST)[0].as_py(), Text(text.column("text")[0].as_py(), codes, width)
+            for key, item_id, body in zip(*(items.column(c).to_pylist() for c in ("item", "item_id", "item_text"))):
+                if key not in ready:
+                    if len(ready) >= ITEMS:
+                        ready.clear()
+                    ready[key] = item_of(body, codes, width)
+                if (m := document.match(ready[key], similarity)) is not None:
+                    rows.append((digest, item_id, m[0], m[1], m[0] / m[1], m[2], m[3]))
+        types = [pa.binary(), pa.int64(), pa.int32(), pa.int32(), pa.float64(), pa.int32(), pa.int32()]
+        names = [x.split()[0] for x in CHECKED.split(", ")]
+        return pa.table([pa.array(c, t) for c, t in zip(zip(*rows) if rows else [[]] * len(types), types)], names=names)
+
+    return run
+
+
+def _leaks(documents: DataFrame, benchmark: DataFrame, width: int, similarity: float) -> DataFrame:
+    """CHECKED: a row for each distinct text and item found in it."""
+    spark = documents.sparkSession
+    with tables(spark) as written:
+        items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").where("text IS NOT NULL")
+        items = written(items.withColumn("item", F.monotonically_increasing_id()))
+        wanted = written(_item_windows(items, width, similarity))
+        hits = _hits(documents, spark.sparkContext.broadcast(_bit_set(wanted)), width)
+        met = hits.join(broadcast_within(wanted), "window").groupBy(DIGEST, "item", "form").agg(F.count(F.lit(1)).alias("met"), F.max("need").alias("need"))
+        pairs = written(met.where("met >= need").select(DIGEST, "item").distinct())
+        named = broadcast_within(pairs.select(F.col(DIGEST).alias("p_digest")).distinct())
+        found = documents.select("text", _digest()).join(named, F.col(DIGEST) == F.col("p_digest"), "left_semi")
+        found = found.groupBy(DIGEST).agg(F.first("text").alias("text"))  # texts of one digest are equal
+        bodies = pairs.join(items.select(F.col("item").alias("i_item"), "item_id", F.col("text").alias("item_text")), F.col("item") == F.col("i_item"))
+        asked = bodies.select(DIGEST, "item", "item_id", "item_text")
+        return checkpointed(found.groupBy(DIGEST).cogroup(asked.groupBy(DIGEST)).applyInArrow(_compare(width, similarity), CHECKED))
 
 
 def find_leaks(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW, similarity: float = SIMILARITY) -> DataFrame:
@@ -335,44 +443,16 @@ def find_leaks(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW,
     do items of fewer than `width` tokens. Items with fewer than FEW windows of MIN_WORDS plain words are found by their
     exact words as well, all windows met. Repeated documents or items give a row each. Other columns are not read.
     """
-    spark = documents.sparkSession
-    docs = with_small_batches(documents).select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    out = None
-    for items in _blocks(benchmark):
-        sent = spark.sparkContext.broadcast(items)  # bounded by BLOCK_CHARS
-
-        def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            index, codes = Index(sent.value, width), Codes()
-            for batch in batches:
-                rows = []
-                for i, text in enumerate(texts(batch.column("text"))):
-                    rows += [(i, *m) for m in index.matches(text, codes, width, similarity)]
-                at, item, met, of, slots, changed = ([*x] for x in zip(*rows)) if rows else ([], [], [], [], [], [])
-                arrays = [
-                    batch.column("doc_id").take(pa.array(at, pa.int64())), pa.array(item, pa.int64()), pa.array(met, pa.int32()), pa.array(of, pa.int32()),
-                    pa.array([m / n for m, n in zip(met, of)], pa.float64()), pa.array(slots, pa.int32()), pa.array(changed, pa.int32()),
-                ]
-                yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "item_id", "matched", "windows", "similarity", "slots", "changed_slots"])
-
-        found = docs.mapInArrow(run, MATCHES)
-        out = found if out is None else out.unionByName(found)
-    return spark.createDataFrame([], MATCHES) if out is None else out
+    found = _leaks(documents, benchmark, width, similarity).withColumnRenamed(DIGEST, "l_digest")
+    docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), _digest())
+    return docs.join(broadcast_within(found), F.col(DIGEST) == F.col("l_digest")).select(*(x.split()[0] for x in MATCHES.split(", ")))
 
 
 def drop_leaked(documents: DataFrame, benchmark: DataFrame, width: int = WINDOW, similarity: float = SIMILARITY) -> DataFrame:
-    """The rows of `documents`, all columns, that hold no benchmark item; no shuffle."""
-    spark, kept = documents.sparkSession, with_small_batches(documents)
-
-    def leaked_in(sent):
-        @F.pandas_udf("boolean")
-        def leaked(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-            index, codes = Index(sent.value, width), Codes()
-            for column in batches:
-                yield pd.Series([next(index.matches(t, codes, width, similarity), None) is not None for t in column], dtype=bool)
-
-        return leaked
-
-    for items in _blocks(benchmark):
-        leaked = leaked_in(spark.sparkContext.broadcast(items))  # bounded by BLOCK_CHARS
-        kept = kept.where(~leaked(F.coalesce("text", F.lit(""))))
-    return kept
+    """The rows of `documents`, all columns, that hold no benchmark item.
+
+    Rows with a null id, null or empty texts and repeated rows are kept or dropped by their text alone.
+    """
+    found = _leaks(documents, benchmark, width, similarity).select(F.col(DIGEST).alias("l_digest")).distinct()
+    rows = documents.withColumn(DIGEST, _digest())
+    return rows.join(broadcast_within(found), F.col(DIGEST) == F.col("l_digest"), "left_anti").select(*documents.columns)

@@ -54,3 +54,36 @@ def test_edited_copy_among_many_repeats_of_a_part(spark):
         text += [*item[:18], *(word() for _ in range(40))]
     text += [*item[:15], "inserted", *item[15:]] + [word() for _ in range(20)]
     assert set(found(spark, [" ".join(text), " ".join(text[: 58 * 100])], [" ".join(item)])) == {(0, 0)}
+
+
+def test_items_with_names_numbers_and_units_against_what_was_planted(spark):
+    """Items of words, names, numbers and units; copies with values renamed one to one are leaks, others are not."""
+    r = random.Random(11)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(5))
+    name = lambda: word().capitalize()
+    units = ["kg", "miles", "hours", "litres"]
+
+    def item():
+        return [r.choice([("w", word()), ("w", word()), ("w", word()), ("n", name()), ("u", (str(r.randint(2, 99)), r.choice(units)))]) for _ in range(22)]
+
+    def said(tokens):
+        return "It " + " ".join(v if k != "u" else " ".join(v) for k, v in tokens) + " so."
+
+    items = [item() for _ in range(12)]
+    docs, want = [], set()
+    for i, tokens in enumerate(items):
+        names, numbers, other = {}, {}, dict(zip(units, units[1:] + units[:1]))
+        same = [(k, names.setdefault(v, name()) if k == "n" else (numbers.setdefault(v[0], str(100 + len(numbers))), other[v[1]]) if k == "u" else v) for k, v in tokens]
+        cut = [(k, word() if k == "w" and j % 3 == 0 else v) for j, (k, v) in enumerate(tokens)]
+        for copy, leaks in ((tokens, True), (same, True), (cut, False)):
+            want |= {(len(docs), i)} if leaks else set()
+            docs.append(" ".join(word() for _ in range(15)) + ". " + said(copy) + " " + " ".join(word() for _ in range(15)))
+    assert set(found(spark, docs, [said(t) for t in items])) == want
+
+
+def test_codes_are_the_same_in_every_process():
+    import subprocess
+    import sys
+
+    told = [subprocess.run([sys.executable, "-c", "from adapterlab.llm.decontaminate import Codes; print(Codes()['Berlin,'])"], capture_output=True, text=True, env={"PYTHONHASHSEED": str(k), "PYTHONPATH": ":".join(sys.path)}).stdout for k in (1, 2)]
+    assert told[0] == told[1] and int(told[0]) == decontaminate.Codes()["Berlin,"]

@@ -166,7 +166,8 @@ def test_leaks_equal_brute_force_on_plain_words(spark, monkeypatch):
         docs.append((i, " ".join(t)))
     grams = lambda t: {tuple(t.split()[i : i + 5]) for i in range(len(t.split()) - 4)}
     want = {(d, i) for d, t in docs for i, q in items if grams(q) and len(grams(q) & grams(t)) >= 0.8 * len(grams(q))}
-    monkeypatch.setattr(decontaminate, "BLOCK_CHARS", 300)  # several passes
+    monkeypatch.setattr(decontaminate, "CHUNK", 300)
+    monkeypatch.setattr(decontaminate, "BITS", 4)  # nearly all windows reach the join
     got = decontaminate.find_leaks(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"))
     assert {(x.doc_id, x.item_id) for x in got.collect()} == want and want
 
