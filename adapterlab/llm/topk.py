@@ -2,9 +2,12 @@
 
 Vectors become integers, and inner products become distances: with M the largest norm, the vector
 (x, sqrt(M^2 - |x|^2)) is the nearer to (q, 0) the larger q.x is. Each vector is keyed by its nearest pivot and its
-distance from it, and sorted annuli of bounded size are the blocks of the index. A query block visits the annuli
-that the triangle inequality leaves open, nearest first, while its bounds tighten; scores are integers, so the
-result is exact.
+distance from it, and sorted annuli of bounded size are the blocks of the index. Queries are sorted the same way, so
+that a block of them looks at one region. It first visits the zone of annuli nearest to it; the scores found there
+tighten its bounds, and only what the triangle inequality then leaves open is visited, zone by zone, nearest annulus
+first, while the bounds go on to tighten. Scores are integers, so the result is exact.
+
+Pruning needs vectors that cluster: where all distances are nearly equal, every annulus stays open (`search_work`).
 """
 
 from __future__ import annotations
@@ -23,7 +26,8 @@ from adapterlab.llm.common import checkpointed
 
 SCALE, K, EVERY = 256, 5, 50
 PIVOTS, SAMPLE = 32, 4096  # the pivots are fitted on at most SAMPLE vectors
-ROWS, QUERIES, SHARE = 2048, 512, 64  # vectors of an annulus, queries of a block, query blocks of a task
+ROWS, ZONE = 512, 16  # vectors of an annulus, annuli of a zone
+QUERIES, SHARE = 256, 64  # queries of a block, query blocks that meet a zone in one task
 NONE = -(1 << 62)  # no score yet
 LIMIT = 1 << 27  # vectors with components beyond this are scored through wide integers, beside the index
 
@@ -98,7 +102,7 @@ def fit_pivots(sample: np.ndarray, pivots: int = PIVOTS, rounds: int = 5) -> np.
     return p
 
 
-BLOCKS = "block long, pivot int, lo double, hi double, n int, ids binary, vectors binary"
+BLOCKS = "zone long, block long, pivot int, lo double, hi double, n int, ids binary, vectors binary"
 
 
 def _blocks(dim: int, m2: float):
@@ -112,18 +116,25 @@ def _blocks(dim: int, m2: float):
                 for i in range(0, len(rows), ROWS):
                     r = rows.iloc[i : i + ROWS]
                     x = _matrix(r["v"], dim).astype("<i4")
-                    yield pd.DataFrame({"block": [(part << 32) + made], "pivot": [pivot], "lo": [r["distance"].min()], "hi": [r["distance"].max()], "n": [len(r)], "ids": [r["vec_id"].to_numpy("<i8").tobytes()], "vectors": [x.tobytes()]})
+                    yield pd.DataFrame({"zone": [(part << 32) + made // ZONE], "block": [(part << 32) + made], "pivot": [pivot], "lo": [r["distance"].min()], "hi": [r["distance"].max()], "n": [len(r)], "ids": [r["vec_id"].to_numpy("<i8").tobytes()], "vectors": [x.tobytes()]})
                     made += 1
 
     return run
 
 
+FOUND = "q_block long, query_id long, vec_id long, score long, annuli long, pairs long"
+
+
 def _visit(k: int, dim: int, m2: float, pivots: np.ndarray):
-    """Query blocks of one share against one annulus or several; emits what can still be among the k best."""
+    """Query blocks against the annuli of one zone, nearest first; emits what can still be among the k best.
+
+    A last row without ids tells how many annuli were scored, and how many pairs.
+    """
 
     def run(queries: pa.Table, annuli: pa.Table) -> pa.Table:
-        out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-        bodies = annuli.to_pylist()
+        out: list[tuple[np.ndarray, ...]] = []
+        scored = pairs = 0
+        bodies = annuli.to_pylist() if queries.num_rows else []
         for row in queries.to_pylist():
             qid, q = np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["vectors"], "<i4").reshape(-1, dim).astype(np.int64)
             bound = np.frombuffer(row["bounds"], "<i8").copy()  # the k-th best score known so far
@@ -139,23 +150,45 @@ def _visit(k: int, dim: int, m2: float, pivots: np.ndarray):
                 if not len(open_):
                     continue
                 ids, x = np.frombuffer(b["ids"], "<i8"), np.frombuffer(b["vectors"], "<i4").reshape(-1, dim).astype(np.int64)
+                scored, pairs = scored + 1, pairs + len(open_) * len(ids)
                 s = _scores(q[open_], x)
                 i, j = np.nonzero((s >= bound[open_][:, None]) & (ids[None, :] != qid[open_][:, None]))
                 if not len(i):
                     continue
                 order = np.lexsort((ids[j], -s[i, j], i))
                 i, j = i[order], j[order]
-                first = np.searchsorted(i, i, side="left")
-                top = np.arange(len(i)) - first < k
+                top = np.arange(len(i)) - np.searchsorted(i, i, side="left") < k
                 i, j = i[top], j[top]
-                out.append((qid[open_][i], ids[j], s[i, j]))
+                out.append((np.full(len(i), row["q_block"]), qid[open_][i], ids[j], s[i, j]))
                 rank = np.arange(len(i)) - np.searchsorted(i, i, side="left")
                 now = np.full((len(open_), k), NONE)
                 now[i, rank] = s[i, j]
                 best_s[open_] = -np.sort(-np.concatenate([best_s[open_], now], axis=1), axis=1)[:, :k]
                 bound[open_] = np.maximum(bound[open_], best_s[open_][:, -1])
-        cols = [np.concatenate(c) for c in zip(*out)] if out else [np.zeros(0, np.int64)] * 3
-        return pa.table({"query_id": pa.array(cols[0], pa.int64()), "vec_id": pa.array(cols[1], pa.int64()), "score": pa.array(cols[2], pa.int64())})
+        cols = [np.concatenate(c) for c in zip(*out)] if out else [np.zeros(0, np.int64)] * 4
+        n = len(cols[0])
+        named = [pa.array([*c.tolist(), None], pa.int64()) for c in cols] + [pa.array([None] * n + [v], pa.int64()) for v in (scored, pairs)]
+        return pa.table(named, names=[x.split()[0] for x in FOUND.split(", ")])
+
+    return run
+
+
+def _tightened(k: int):
+    """A query block with its bounds raised to the k-th best score of what it has found."""
+
+    def run(blocks: pa.Table, found: pa.Table) -> pa.Table:
+        if not blocks.num_rows:
+            return blocks.select(["q_block", "ids", "vectors", "bounds"])
+        row = blocks.to_pylist()[0]
+        ids, bound = np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["bounds"], "<i8").copy()
+        query, score = found.column("query_id").to_numpy(), found.column("score").to_numpy()
+        order = np.lexsort((-score, query))
+        query, score = query[order], score[order]
+        kth = np.flatnonzero(np.arange(len(query)) - np.searchsorted(query, query, side="left") == k - 1)
+        sorted_ids = np.argsort(ids)
+        at = sorted_ids[np.searchsorted(ids[sorted_ids], query[kth])]
+        bound[at] = np.maximum(bound[at], score[kth])
+        return pa.table({"q_block": [row["q_block"]], "ids": pa.array([row["ids"]], pa.binary()), "vectors": pa.array([row["vectors"]], pa.binary()), "bounds": pa.array([bound.astype("<i8").tobytes()], pa.binary())})
 
     return run
 
@@ -164,8 +197,10 @@ def top_k(embeddings: DataFrame, k: int = K, every: int = EVERY, scale: int = SC
     """(query_id, rank, vec_id, score): the k highest integer inner products of each query, ties to the smaller vec_id.
 
     Queries are the vectors whose id is divisible by `every`, candidates all vectors with another id. Shorter vectors
-    count as padded with zeros. Repeated rows of one id count once, by its first vector. A table with fewer candidates
-    gives them all; an empty one gives no row. Other columns are not read.
+    count as padded with zeros. Each row is a candidate, so rows that share an id may each be found; as queries they count
+    once, by the smallest vector. Finite components of 2^19 and more are scored exactly too, beside the index; a score among
+    the best that no long holds is an error. A table with fewer candidates gives them all; an empty one gives no row. Other
+    columns are not read.
     """
     wide = wide_vectors(embeddings, scale)
     large = checkpointed(wide.where("large").select("vec_id").distinct())
@@ -175,9 +210,9 @@ def top_k(embeddings: DataFrame, k: int = K, every: int = EVERY, scale: int = SC
         return _indexed(raw, k, every, pivots)
     # Pairs with a large vector are scored each; the index holds the others.
     small = _indexed(raw.join(large, "vec_id", "left_anti"), k, every, pivots).select("query_id", "vec_id", F.col("score").cast("decimal(38,0)").alias("score"))
-    firsts = wide.groupBy("vec_id").agg(F.min("w").alias("w"))
-    marked = firsts.join(large.select("vec_id", F.lit(True).alias("large")), "vec_id", "left").withColumn("large", F.coalesce("large", F.lit(False)))
-    q = marked.where(F.col("vec_id") % every == 0).select(F.col("vec_id").alias("query_id"), F.col("w").alias("q"), F.col("large").alias("q_large"))
+    marked = wide.drop("large").join(large.select("vec_id", F.lit(True).alias("large")), "vec_id", "left").withColumn("large", F.coalesce("large", F.lit(False)))
+    firsts = marked.where(F.col("vec_id") % every == 0).groupBy("vec_id", "large").agg(F.min("w").alias("q"))
+    q = firsts.select(F.col("vec_id").alias("query_id"), "q", F.col("large").alias("q_large"))
     x = marked.select("vec_id", F.col("w").alias("x"), "large")
     some = q.where("q_large").crossJoin(x).unionByName(q.where("NOT q_large").crossJoin(x.where("large"))).where("query_id <> vec_id")
     scored = some.select("query_id", "vec_id", "q", "x").mapInArrow(_wide_scores, "query_id long, vec_id long, score decimal(38,0)")
@@ -189,63 +224,106 @@ def top_k(embeddings: DataFrame, k: int = K, every: int = EVERY, scale: int = SC
 
 def _indexed(raw: DataFrame, k: int, every: int, pivots: int) -> DataFrame:
     """The same for integer vectors within LIMIT."""
+    searched = _searched(raw, k, every, pivots)
+    if searched is None:
+        return raw.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+    found = searched[0].where("pairs IS NULL")
+    order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+
+def search_work(embeddings: DataFrame, k: int = K, every: int = EVERY, scale: int = SCALE, pivots: int = PIVOTS) -> DataFrame:
+    """(annuli, annuli_scored, pairs, pairs_scored) of a search by the index, one row; annuli are counted once per query block."""
+    searched = _searched(integer_vectors(embeddings, scale), k, every, pivots)
+    names = "annuli long, annuli_scored long, pairs long, pairs_scored long"
+    if searched is None:
+        return embeddings.sparkSession.createDataFrame([(0, 0, 0, 0)], names)
+    found, index, blocks = searched
+    done = found.agg(F.sum("annuli").alias("annuli_scored"), F.sum("pairs").alias("pairs_scored"))
+    there = index.agg(F.count(F.lit(1)).alias("a"), F.sum("n").alias("n"))
+    asked = blocks.agg(F.count(F.lit(1)).alias("b"), F.sum(F.length("ids") / 8).cast("long").alias("q"))
+    return there.crossJoin(asked).crossJoin(done).select((F.col("a") * F.col("b")).alias("annuli"), "annuli_scored", (F.col("n") * F.col("q")).alias("pairs"), "pairs_scored")
+
+
+def _searched(raw: DataFrame, k: int, every: int, pivots: int) -> tuple[DataFrame, DataFrame, DataFrame] | None:
+    """FOUND, the index and the query blocks; None for an empty table."""
     spark = raw.sparkSession
-    vectors = raw.groupBy("vec_id").agg(F.min("v").alias("v"))
     norm = F.aggregate("v", F.lit(0).cast("double"), lambda a, c: a + c.cast("double") * c.cast("double"))
     facts = raw.agg(F.max(F.size("v")).alias("dim"), F.max(norm).alias("m2"), F.count(F.lit(1)).alias("n")).first()
-    result = "query_id long, rank int, vec_id long, score long"
     if not facts["n"]:
-        return spark.createDataFrame([], result)
+        return None
     dim, m2 = max(1, facts["dim"]), float(facts["m2"])
-    sample = vectors.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).toPandas()
+    sample = raw.orderBy(F.xxhash64("vec_id"), "vec_id", "v").limit(SAMPLE).toPandas()
     s_ids, s_vecs = sample["vec_id"].to_numpy(np.int64), _matrix(sample["v"], dim)
     points = fit_pivots(_lifted(s_vecs, m2), pivots)
 
-    @F.pandas_udf("pivot int, distance double")
-    def key(v: pd.Series) -> pd.DataFrame:
-        d = _distances(_lifted(_matrix(v, dim), m2), points)
-        at = d.argmin(axis=1)
-        return pd.DataFrame({"pivot": at.astype(np.int32), "distance": d[np.arange(len(d)), at]})
+    def keyed(vectors: DataFrame, lift: float) -> DataFrame:
+        @F.pandas_udf("pivot int, distance double")
+        def key(v: pd.Series) -> pd.DataFrame:
+            x = _matrix(v, dim)
+            d = _distances(_lifted(x, m2) if lift else np.concatenate([x.astype(np.float64), np.zeros((len(x), 1))], axis=1), points)
+            at = d.argmin(axis=1)
+            return pd.DataFrame({"pivot": at.astype(np.int32), "distance": d[np.arange(len(d)), at]})
+
+        found = vectors.withColumn("key", key("v")).select("vec_id", "v", "key.pivot", "key.distance")
+        return found.repartitionByRange("pivot", "distance", "vec_id").sortWithinPartitions("pivot", "distance", "vec_id")
 
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    keyed = vectors.withColumn("key", key("v")).select("vec_id", "v", "key.pivot", "key.distance")
-    index = checkpointed(keyed.repartitionByRange(parts, "pivot", "distance", "vec_id").mapInPandas(_blocks(dim, m2), BLOCKS))
+    index = checkpointed(keyed(raw, True).mapInPandas(_blocks(dim, m2), BLOCKS))
 
     def query_blocks(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         from pyspark import TaskContext
 
         made, part = 0, TaskContext.get().partitionId()
         for batch in batches:
-            for i in range(0, len(batch), QUERIES):
-                rows = batch.iloc[i : i + QUERIES]
-                ids, q = rows["vec_id"].to_numpy(np.int64), _matrix(rows["v"], dim)
-                s = _scores(q, s_vecs)
-                s[ids[:, None] == s_ids[None, :]] = NONE
-                # The k-th best in the sample: no annulus needs to be visited for less.
-                bounds = -np.sort(-s, axis=1)[:, k - 1] if s.shape[1] >= k else np.full(len(ids), NONE)
-                d = _distances(np.concatenate([q.astype(np.float64), np.zeros((len(q), 1))], axis=1), points)
-                norm2 = (q.astype(np.float64) ** 2).sum(axis=1)
+            for _, near in batch.groupby("pivot", sort=True):
+                for i in range(0, len(near), QUERIES):
+                    rows = near.iloc[i : i + QUERIES]
+                    ids, q = rows["vec_id"].to_numpy(np.int64), _matrix(rows["v"], dim)
+                    s = _scores(q, s_vecs)
+                    s[ids[:, None] == s_ids[None, :]] = NONE
+                    # The k-th best in the sample: no annulus needs to be visited for less.
+                    bounds = -np.sort(-s, axis=1)[:, k - 1] if s.shape[1] >= k else np.full(len(ids), NONE)
+                    yield pd.DataFrame({"q_block": [(part << 32) + made], "ids": [ids.astype("<i8").tobytes()], "vectors": [q.astype("<i4").tobytes()], "bounds": [bounds.astype("<i8").tobytes()]})
+                    made += 1
+
+    def with_reach(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        """What each block can still gain from, by pivot: distances that some query leaves open, and their mean."""
+        for batch in batches:
+            for row in batch.itertuples():
+                q, bounds = np.frombuffer(row.vectors, "<i4").reshape(-1, dim).astype(np.float64), np.frombuffer(row.bounds, "<i8")
+                d = _distances(np.concatenate([q, np.zeros((len(q), 1))], axis=1), points)
+                norm2 = (q * q).sum(axis=1)
                 r = np.where(bounds == NONE, np.inf, np.sqrt(np.maximum(0.0, norm2 + m2 - 2.0 * bounds) + 1e-6 * (norm2 + m2) + 1e-6))
-                reach = [{"pivot": p, "from": float((d[:, p] - r).min()), "to": float((d[:, p] + r).max())} for p in range(len(points))]
-                yield pd.DataFrame({"q_block": [(part << 32) + made], "ids": [ids.astype("<i8").tobytes()], "vectors": [q.astype("<i4").tobytes()], "bounds": [bounds.astype("<i8").tobytes()], "reach": [reach]})
-                made += 1
-
-    blocks = vectors.where(F.col("vec_id") % every == 0).coalesce(max(1, parts // 4)).mapInPandas(
-        query_blocks, "q_block long, ids binary, vectors binary, bounds binary, reach array<struct<pivot int, from double, to double>>"
-    )
-    blocks = checkpointed(blocks)
-    shares = max(1, -(-blocks.count() // SHARE))  # an annulus meets at most about SHARE query blocks in one task
-    share = F.pmod(F.hash("q_block"), F.lit(shares))
-    reach = blocks.select("q_block", share.alias("share"), F.explode("reach").alias("r"))
-    directory = index.select(F.col("block").alias("d_block"), F.col("pivot").alias("b_pivot"), "lo", "hi")
-    met = reach.join(directory, (F.col("r.pivot") == F.col("b_pivot")) & (F.col("lo") <= F.col("r.to")) & (F.col("hi") >= F.col("r.from")))
-    asked = met.select("q_block", "share", "d_block").join(blocks.select("q_block", "ids", "vectors", "bounds"), "q_block")
-    copies = index.select("block", "pivot", "lo", "hi", "ids", "vectors", F.explode(F.sequence(F.lit(0), F.lit(shares - 1))).alias("share"))
-    found = asked.groupBy("d_block", "share").cogroup(copies.groupBy("block", "share")).applyInArrow(
-        _visit(k, dim, m2, points), "query_id long, vec_id long, score long"
-    )
-    order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
-    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+                low, high, mean = (d - r[:, None]).min(axis=0), (d + r[:, None]).max(axis=0), d.mean(axis=0)
+                yield pd.DataFrame({"q_block": row.q_block, "r_pivot": np.arange(len(points), dtype=np.int32), "low": low, "high": high, "at": mean})
+
+    every_query = raw.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("v").alias("v"))
+    queries = "q_block long, ids binary, vectors binary, bounds binary"
+    blocks = checkpointed(keyed(every_query, False).mapInPandas(query_blocks, queries))
+    shares = max(1, -(-blocks.count() // SHARE))  # a zone meets at most about SHARE query blocks in one task
+    share = F.pmod(F.hash("q_block"), F.lit(shares)).alias("share")
+    directory = index.select("zone", F.col("pivot").alias("b_pivot"), "lo", "hi")
+
+    def opened(some: DataFrame) -> DataFrame:
+        """(q_block, zone, gap): the zones with an annulus that the bounds leave open, and the mean distance to the nearest of them."""
+        reach = some.mapInPandas(with_reach, "q_block long, r_pivot int, low double, high double, at double")
+        met = reach.join(directory, (F.col("r_pivot") == F.col("b_pivot")) & (F.col("lo") <= F.col("high")) & (F.col("hi") >= F.col("low")))
+        gap = F.greatest(F.lit(0.0), F.col("at") - F.col("hi"), F.col("lo") - F.col("at"))
+        return met.groupBy("q_block", "zone").agg(F.min(F.struct(gap.alias("gap"), F.abs(F.col("at") - F.col("lo")).alias("off"))).alias("near"))
+
+    def visited(zones: DataFrame, some: DataFrame) -> DataFrame:
+        asked = zones.select("q_block", F.col("zone").alias("a_zone"), share).join(some, "q_block")
+        wanted = zones.select("zone", share).distinct()  # annuli travel only to tasks that ask for them
+        copies = index.drop("n").join(wanted, "zone")
+        return asked.groupBy("a_zone", "share").cogroup(copies.groupBy("zone", "share")).applyInArrow(_visit(k, dim, m2, points), FOUND)
+
+    open_ = opened(blocks)
+    nearest = checkpointed(open_.groupBy("q_block").agg(F.min_by("zone", F.struct("near", "zone")).alias("zone")))
+    first = checkpointed(visited(nearest, blocks))
+    scores = first.where("pairs IS NULL").select(F.col("q_block").alias("f_block"), "query_id", "score")
+    tight = checkpointed(blocks.groupBy("q_block").cogroup(scores.groupBy("f_block")).applyInArrow(_tightened(k), queries))
+    rest = checkpointed(opened(tight).join(nearest, ["q_block", "zone"], "left_anti").select("q_block", "zone"))
+    return first.unionByName(visited(rest, tight)), index, blocks
 
 
 TOPK_SQL = """
@@ -255,7 +333,7 @@ WITH base AS (
     AND len(list_filter(embedding, lambda c: c IS NULL OR isnan(c) OR isinf(c))) = 0
 ), scored AS (
   SELECT q.vec_id AS query_id, x.vec_id, CAST(list_sum(list_transform(generate_series(1, len(q.v)), lambda i: q.v[i] * x.v[i])) AS BIGINT) AS score
-  FROM base q JOIN base x ON q.vec_id <> x.vec_id WHERE q.vec_id % 50 = 0
+  FROM (SELECT vec_id, min(v) AS v FROM base WHERE vec_id % 50 = 0 GROUP BY vec_id) q JOIN base x ON q.vec_id <> x.vec_id
 ), ranked AS (
   SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM scored
 )

@@ -260,19 +260,40 @@ def test_top_k_equals_brute_force(spark, monkeypatch):
     r = np.random.default_rng(3)
     v = np.concatenate([r.normal(size=(300, 8)), np.repeat(r.normal(size=(1, 8)), 60, axis=0), np.zeros((5, 8))]).astype(np.float32)
     rows = [(i, [float(c) for c in x]) for i, x in enumerate(v)]
-    bad = [(400, None), (450, [1.0] * 7 + [None]), (500, [float("nan")] * 8), (550, [float("inf")] * 8), (None, [1.0] * 8), (7, rows[7][1])]
-    df = spark.createDataFrame([(*x, 1) for x in rows + bad], "vec_id long, embedding array<float>, rank int")
+    bad = [(400, None), (450, [1.0] * 7 + [None]), (500, [float("nan")] * 8), (550, [float("inf")] * 8), (None, [1.0] * 8)]
+    again = [(7, rows[7][1]), (7, rows[9][1]), (100, rows[100][1])]  # candidates like any other; a query counts once
+    df = spark.createDataFrame([(*x, 1) for x in rows + bad + again], "vec_id long, embedding array<float>, rank int")
     got = [tuple(x) for x in topk.top_k(df).orderBy("query_id", "rank").collect()]
     w = np.floor(256 * v.astype(np.float64)).astype(np.int64)
     want = []
     for q in range(0, len(v), 50):
-        order = sorted((-int(w[q] @ w[x]), x) for x in range(len(v)) if x != q)[:5]
+        order = sorted((-int(w[q] @ w[y]), x) for x, y in [*((x, x) for x in range(len(v))), (7, 7), (7, 9), (100, 100)] if x != q)[:5]
         want += [(q, k + 1, x, -s) for k, (s, x) in enumerate(order)]
     assert got == want
     few = topk.top_k(df.where("vec_id in (0, 1, 2)")).collect()
     assert len(few) == 2 and topk.top_k(df.where("1 = 0")).count() == 0
 
 
+def test_bounds_leave_most_of_clustered_vectors_out(spark, monkeypatch):
+    for name, value in (("ROWS", 32), ("ZONE", 4), ("QUERIES", 16), ("PIVOTS", 64)):
+        monkeypatch.setattr(topk, name, value)
+    r = np.random.default_rng(4)
+    centres = r.normal(size=(64, 16))
+    v = centres[r.integers(0, 64, 8000)] + 0.03 * r.normal(size=(8000, 16))
+    v = (v / np.linalg.norm(v, axis=1)[:, None]).astype(np.float32)
+    df = spark.createDataFrame([(i, [float(c) for c in x]) for i, x in enumerate(v)], "vec_id long, embedding array<float>")
+    w = np.floor(256 * v.astype(np.float64)).astype(np.int64)
+    got = [tuple(x) for x in topk.top_k(df, pivots=64).orderBy("query_id", "rank").collect()]
+    want = []
+    for q in range(0, len(v), 50):
+        s = w @ w[q]
+        s[q] = -(1 << 60)
+        want += [(q, k + 1, int(x), int(s[x])) for k, x in enumerate(np.lexsort((np.arange(len(v)), -s))[:5])]
+    assert got == want
+    work = topk.search_work(df, pivots=64).first()
+    assert work.pairs == 8000 * 160 and work.pairs_scored < 0.1 * work.pairs and work.annuli_scored < 0.1 * work.annuli
+
+
 @pytest.mark.parametrize("name", sorted(queries.SQL))
 def test_sql_twins(spark, sf_dir, name):
     got = queries.QUERIES[name](spark, sf_dir).toPandas()
