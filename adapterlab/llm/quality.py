@@ -151,7 +151,11 @@ def _with_statistics(keep: list[str]):
 
 
 def fit_quality(documents: DataFrame, labels: DataFrame, params: QualityParams = QualityParams(), label: str = "quality") -> Forest:
-    """Learns from at most `train_per_class` labelled documents of each class, none of them held out."""
+    """Learns from at most `train_per_class` labelled documents of each class, none of them held out.
+
+    Null texts are empty, rows that repeat an id each count, null ids and null labels are left out (`training_ids`). Without
+    documents of both classes the forest has no tree and scores their share alone; other columns are not read.
+    """
     ids = training_ids(labels, label, params.train_per_class)
     train = with_small_batches(documents).select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("train_id"))
     schema = "doc_id long, y int, " + ", ".join(f"{s} double" for s in STATISTICS)
@@ -161,7 +165,10 @@ def fit_quality(documents: DataFrame, labels: DataFrame, params: QualityParams =
 
 
 def score_quality(documents: DataFrame, forest: Forest, threshold: float = 0.3) -> DataFrame:
-    """(doc_id, held_out, score, predicted) per row of `documents`; null and empty texts have statistics of zero."""
+    """(doc_id, held_out, score, predicted) per row of `documents`; null and empty texts have statistics of zero.
+
+    A null id is held out. Repeated rows are scored each, an empty table gives no row, other columns are not read.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -173,7 +180,10 @@ def score_quality(documents: DataFrame, forest: Forest, threshold: float = 0.3)
 
 
 def keep_quality(documents: DataFrame, forest: Forest, threshold: float = 0.3) -> DataFrame:
-    """The rows of `documents`, all columns, whose score reaches the threshold; one pass, no join."""
+    """The rows of `documents`, all columns, whose score reaches the threshold; one pass, no join.
+
+    Null texts are scored as empty ones; ids play no part, repeated rows stay or go together, whatever the columns are named.
+    """
 
     @F.pandas_udf("double")
     def score(column: pd.Series) -> pd.Series:

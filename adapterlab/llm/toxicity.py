@@ -87,34 +87,43 @@ def _selected(params: ToxicityParams, buckets: np.ndarray):
         column[buckets] = np.arange(len(buckets))
         for batch in batches:
             hits = [column[grams(t)] for t in batch["text"]]
-            yield pd.DataFrame({"doc_id": batch["doc_id"], "y": batch["y"], "cols": [np.sort(h[h >= 0]).astype(np.uint16).tobytes() for h in hits]})
+            yield pd.DataFrame({"doc_id": batch["doc_id"], "y": batch["y"], "cols": [np.sort(h[h >= 0]).astype("<i4").tobytes() for h in hits]})
 
     return run
 
 
-def _logistic(x: np.ndarray, y: np.ndarray, l2: float, steps: int) -> tuple[np.ndarray, float]:
-    """Accelerated gradient descent on the mean log loss; the step follows from the largest row norm."""
-    w, b = np.zeros(x.shape[1], np.float64), 0.0
-    step = 1.0 / (0.25 * (float((x * x).sum(axis=1).max(initial=0.0)) + 1.0) + l2)
+def _logistic(rows: np.ndarray, cols: np.ndarray, scale: np.ndarray, y: np.ndarray, l2: float, steps: int) -> tuple[np.ndarray, float]:
+    """Accelerated gradient descent on the mean log loss; the inputs are scale[c] at each (row, c), zero elsewhere."""
+    n, m = len(y), len(scale)
+    product = lambda w: np.bincount(rows, (w * scale)[cols], n)
+    loss = lambda w, z: float(np.logaddexp(0, -(2 * y - 1) * z).mean() + l2 / 2 * w @ w)
+    w, b, z = np.zeros(m), 0.0, np.zeros(n)  # z: margins, linear in w and b, so that mixtures of steps need no product
+    step = 1.0 / (0.25 * (float(np.bincount(rows, (scale * scale)[cols], n).max(initial=0.0)) + 1.0) + l2)
     step *= 8.0  # the bound is far from tight; backtracking below keeps it safe
-    loss = lambda w, b: float(np.logaddexp(0, -(2 * y - 1) * (x @ w + b)).mean() + l2 / 2 * w @ w)
-    vw, vb, last = w.copy(), b, loss(w, b)
+    vw, vb, vz, last = w, b, z, loss(w, z)
     for k in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(x @ vw + vb, -30, 30)))
-        gw, gb = x.T @ (p - y) / len(y) + l2 * vw, float((p - y).mean())
+        off = 1 / (1 + np.exp(-np.clip(vz, -30, 30))) - y
+        gw, gb = np.bincount(cols, off[rows], m) * scale / n + l2 * vw, float(off.mean())
+        if k and np.abs(gw).max(initial=abs(gb)) < 1e-6:
+            break
         nw, nb = vw - step * gw, vb - step * gb
-        now = loss(nw, nb)
+        nz = product(nw) + nb
+        now = loss(nw, nz)
         if now > last + 1e-9:
-            step, vw, vb = step / 2, w.copy(), b
+            step, vw, vb, vz = step / 2, w, b, z
             continue
-        m = k / (k + 3)
-        vw, vb = nw + m * (nw - w), nb + m * (nb - b)
-        w, b, last = nw, nb, now
+        mix = k / (k + 3)
+        vw, vb, vz = nw + mix * (nw - w), nb + mix * (nb - b), nz + mix * (nz - z)
+        w, b, z, last = nw, nb, nz, now
     return w, b
 
 
 def fit_toxicity(documents: DataFrame, labels: DataFrame, params: ToxicityParams = ToxicityParams(), label: str = "toxic") -> ToxicityModel:
-    """Learns from at most `train_per_class` labelled documents of each class, none of them held out."""
+    """Learns from at most `train_per_class` labelled documents of each class, none of them held out.
+
+    Null texts are empty, rows that repeat an id each count, null ids and null labels are left out (`training_ids`). Without
+    documents of both classes the model scores their share alone; other columns are not read.
+    """
     ids = training_ids(labels, label, params.train_per_class)
     train = with_small_batches(documents).select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("train_id"))
     train = checkpointed(train.select("doc_id", "text", "y"))
@@ -138,16 +147,17 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, params: ToxicityParams
     best = best[np.argsort(buckets[best])]
     buckets, ratio = buckets[best], ratio[best]
     seen = train.mapInPandas(_selected(params, buckets), "doc_id long, y int, cols binary").toPandas().sort_values(["doc_id", "y", "cols"])
-    x = np.zeros((len(seen), len(buckets)), np.float32)
-    for i, cols in enumerate(seen["cols"]):
-        c = np.frombuffer(cols, np.uint16)
-        x[i, c] = ratio[c]
-    w, bias = _logistic(x, seen["y"].to_numpy(np.float64), params.l2, params.steps)
+    hits = [np.frombuffer(c, "<i4") for c in seen["cols"]]
+    rows = np.repeat(np.arange(len(hits)), list(map(len, hits)))
+    w, bias = _logistic(rows, np.concatenate(hits), ratio, seen["y"].to_numpy(np.float64), params.l2, params.steps)
     return ToxicityModel(params, buckets, w * ratio, bias)
 
 
 def score_toxicity(documents: DataFrame, model: ToxicityModel, threshold: float = 0.5) -> DataFrame:
-    """(doc_id, held_out, score, predicted) per row of `documents`; null and empty texts score the bias alone."""
+    """(doc_id, held_out, score, predicted) per row of `documents`; null and empty texts score the bias alone.
+
+    A null id is held out. Repeated rows are scored each, an empty table gives no row, other columns are not read.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         grams, table = Grams(model.params), np.zeros(1 << model.params.bits)
