@@ -77,6 +77,7 @@ class Runs:
 
 def find_runs(data: np.ndarray, offsets: np.ndarray, length: int = LENGTH) -> Runs:
     window, n = length - GRAM + 1, len(data)
+    steps = -(-(length + window - 1 - 64) // 64)  # so that no byte of the longest run is left out
     found: list[tuple[np.ndarray, ...]] = []
     if n >= length:
         valid = np.ones(n, bool)
@@ -102,9 +103,10 @@ def find_runs(data: np.ndarray, offsets: np.ndarray, length: int = LENGTH) -> Ru
             end[:-1] &= ~ok[1:] | (anchor[1:] != anchor[:-1])
             first, last = np.flatnonzero(new), np.flatnonzero(end)
             p, size = anchor[first], last - first + length
-            c = g64[first] * U(0x9E3779B97F4A7C15) + g64[first + size // 2 - 32]
-            c = _mix(c) * U(0xC2B2AE3D27D4EB4F) + g64[first + size - 64]
-            c = _mix(c) + size.astype(U) * U(0x165667B19E3779F9) + (p - first).astype(U)
+            c = g64[first] * U(0x9E3779B97F4A7C15)
+            for k in range(1, steps):  # 64-byte grams over the whole run
+                c = _mix(c + g64[first + (size - 64) * k // steps]) * U(0xC2B2AE3D27D4EB4F)
+            c = _mix(c + g64[first + size - 64]) + size.astype(U) * U(0x165667B19E3779F9) + (p - first).astype(U)
             found.append((first + at, last + at, g32[p], _mix(c)))
     if not found:
         return Runs(*(np.zeros(0, np.int64) for _ in range(2)), *(np.zeros(0, U) for _ in range(2)))
@@ -210,6 +212,15 @@ def refine(data: np.ndarray, ends: np.ndarray, length: int = LENGTH) -> np.ndarr
     return pointer
 
 
+def string_hashes(g64: np.ndarray, at: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """Two hashes of each string that starts at `at`, over all its bytes; the first one that of its first gram."""
+    steps = max(1, -(-(length - 64) // 64))
+    y = g64[at + length - 64]
+    for k in range(1, steps):
+        y = _mix(y * U(0x9E3779B97F4A7C15) + g64[at + (length - 64) * k // steps])
+    return g64[at], y
+
+
 def _pack(rows: list[tuple], schema: pa.Schema) -> pa.Table:
     return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), schema.types)] if rows else [pa.array([], t) for t in schema.types], schema=schema)
 
@@ -286,11 +297,10 @@ def _ask(buckets: int, length: int):
                 pos = at[i : i + BLOCK]
                 lo, hi = int(pos[0]), int(pos[-1]) + length
                 if hi - lo > 8 * BLOCK:  # scattered: hash each string by itself
-                    g64 = [gram_hashes(raw[x : x + length])[1][[0, length - 64]] for x in pos.tolist()]
-                    one["x"][i : i + BLOCK], one["y"][i : i + BLOCK] = np.array(g64).T
+                    both = [string_hashes(gram_hashes(raw[x : x + length])[1], np.zeros(1, np.int64), length) for x in pos.tolist()]
+                    one["x"][i : i + BLOCK], one["y"][i : i + BLOCK] = (np.concatenate(h) for h in zip(*both))
                 else:
-                    g64 = gram_hashes(raw[lo:hi])[1]
-                    one["x"][i : i + BLOCK], one["y"][i : i + BLOCK] = g64[pos - lo], g64[pos - lo + length - 64]
+                    one["x"][i : i + BLOCK], one["y"][i : i + BLOCK] = string_hashes(gram_hashes(raw[lo:hi])[1], pos - lo, length)
             one["doc"], one["at"] = doc, at
             order = np.lexsort((one["at"], one["y"], one["x"]))
             one = one[order]
@@ -412,7 +422,9 @@ def _deduplicated(documents: DataFrame, length: int, with_text: bool) -> DataFra
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     groups = max(1, -(-size // GROUP_BYTES))
     rows = documents if with_text else documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    rows = rows.withColumn("doc_id", F.col("doc_id").cast("long")).withColumn(GROUP, F.pmod(F.xxhash64("doc_id", "text"), F.lit(groups)))
+    # Rows without an id may all have one text: their place spreads them. Rows with an id are dealt by what they hold.
+    place = F.when(F.col("doc_id").isNull(), F.monotonically_increasing_id())
+    rows = rows.withColumn("doc_id", F.col("doc_id").cast("long")).withColumn(GROUP, F.pmod(F.xxhash64("doc_id", "text", place), F.lit(groups)))
     docs = rows.repartition(parts, GROUP)  # used three times, exchanged once
 
     asked = docs.groupBy(GROUP).applyInArrow(_announce(groups, length), ASK_SQL)
@@ -428,7 +440,7 @@ def _deduplicated(documents: DataFrame, length: int, with_text: bool) -> DataFra
 def repeated_bytes(documents: DataFrame, length: int = LENGTH) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256) per row of `documents`.
 
-    Texts are UTF-8 bytes, null is empty. Earlier means a smaller doc_id (null first), or the same document and an
+    `length` is 64 at least. Texts are UTF-8 bytes, null is empty. Earlier means a smaller doc_id (null first), or the same document and an
     earlier start; rows that share a doc_id have a fixed order among themselves. Other columns are not read.
     """
     return _deduplicated(documents, length, with_text=False)

@@ -65,6 +65,36 @@ def test_repeats_equal_brute_force(spark, monkeypatch, group_bytes, local, bucke
     assert got == brute_repeats(rows)
 
 
+@pytest.mark.parametrize("length", [64, 113, 128, 200, 333])
+def test_repeats_of_other_lengths(spark, monkeypatch, length):
+    monkeypatch.setattr(suffixes, "GROUP_BYTES", 6000)
+    monkeypatch.setattr(suffixes, "LOCAL_CONTENTS", 2)
+    r = random.Random(length)
+    whole = [words(r, 140) for _ in range(4)]
+    rows = []
+    for i in range(50):
+        t = list(r.choice(whole))
+        for _ in range(r.randint(0, 6)):  # copies that differ in a byte here and there
+            t[r.randrange(len(t))] = "#"
+        rows.append((i, "".join(t)[r.randint(0, 50) :]))
+    got = {x[0]: tuple(x[1:]) for x in suffixes.repeated_bytes(docs_of(spark, rows), length).collect()}
+    assert got == brute_repeats(rows, length)
+
+
+def test_altered_runs_never_have_equal_hashes():
+    r = random.Random(9)
+    for length in (100, 128, 200, 400):
+        raw = bytes(r.randrange(97, 123) for _ in range(2 * length))
+        base = suffixes.find_runs(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]), length)
+        seen = set(zip(base.h.tolist(), base.c.tolist()))
+        for at in range(length - 8, length + 8):
+            other = raw[:at] + b"!" + raw[at + 1 :]
+            runs = suffixes.find_runs(np.frombuffer(other, np.uint8), np.array([0, len(other)]), length)
+            for a, b, h, c in zip(runs.first, runs.last, runs.h.tolist(), runs.c.tolist()):
+                if a <= at < b + length:
+                    assert (h, c) not in seen
+
+
 def test_refine_tells_strings_apart():
     r = random.Random(5)
     piece = bytes(r.choice(b"ab") for _ in range(150))
@@ -95,6 +125,8 @@ def test_repeats_of_empty_table_and_repeated_ids(spark):
     t = words(random.Random(1), 60)
     rows = suffixes.repeated_bytes(docs_of(spark, [(1, t), (1, t), (None, t), (None, None)])).collect()
     assert len(rows) == 4 and sum(r["n_removed"] > 0 for r in rows) == 2
+    rows = suffixes.repeated_bytes(docs_of(spark, [(None, t)] * 40)).collect()  # spread over groups, whole in one of them
+    assert len(rows) == 40 and sum(r["n_removed"] == 0 for r in rows) == 1 and {r["n_removed"] for r in rows} == {0, len(t.encode())}
 
 
 def brute_classes(rows, distance=3):
