@@ -57,7 +57,7 @@ def tables(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def broadcast_within(df: DataFrame, rows: int = 1_000_000) -> DataFrame:
+def broadcast_within(df: DataFrame, rows: int = 300_000) -> DataFrame:
     """A broadcast hint if the frame has at most `rows` rows, narrow ones; else it is joined by a shuffle."""
     return F.broadcast(df) if df.count() <= rows else df
 

@@ -122,7 +122,7 @@ def _marks(found: DataFrame, common: np.ndarray, words: int) -> DataFrame:
 
 
 def _entries(marks: DataFrame, most: int | None = None) -> DataFrame:
-    """(token, node, n, pos): a row for each of the first shingles, or `most` of them."""
+    """(token, node, n, pos, root): a row for each of the first shingles, or `most` of them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -131,10 +131,10 @@ def _entries(marks: DataFrame, most: int | None = None) -> DataFrame:
                 sets = [np.frombuffer(t, "<i8")[:most] for t in some.column("tokens").to_pylist()]
                 m = np.fromiter(map(len, sets), np.int64, len(sets))
                 pos = np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m)
-                arrays = [np.concatenate(sets), np.repeat(some.column("node").to_numpy(), m), np.repeat(some.column("n").to_numpy(), m), pos.astype(np.int32)]
-                yield pa.RecordBatch.from_arrays([pa.array(a) for a in arrays], names=["token", "node", "n", "pos"])
+                arrays = [np.concatenate(sets), np.repeat(some.column("node").to_numpy(), m), np.repeat(some.column("n").to_numpy(), m), pos.astype(np.int32), np.repeat(some.column("root").to_numpy(), m)]
+                yield pa.RecordBatch.from_arrays([pa.array(a) for a in arrays], names=["token", "node", "n", "pos", "root"])
 
-    return marks.where("n > 0").select("node", "n", "tokens").mapInArrow(run, "token long, node long, n int, pos int")
+    return marks.where("n > 0").select("node", "n", "tokens", "root").mapInArrow(run, "token long, node long, n int, pos int, root long")
 
 
 def _alike_in_size(n: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
@@ -175,22 +175,25 @@ def _neighbours(rows: DataFrame) -> DataFrame:
     return dealt.select(*columns).mapInArrow(run, "a long, b long").distinct()
 
 
-def _rooted(entries: DataFrame, roots: DataFrame) -> DataFrame:
-    joined = entries.drop("root").join(roots.select(F.col("node").alias("r_node"), "root"), F.col("node") == F.col("r_node"), "left")
-    return joined.select("token", "node", "n", "pos", F.coalesce("root", "node").alias("root"))
+def _rooted(rows: DataFrame, roots: DataFrame) -> DataFrame:
+    """With the group of each row's node as `root`; few nodes are in a group of several."""
+    named = broadcast_within(roots.select(F.col("node").alias("r_node"), F.col("root").alias("r_root")))
+    joined = rows.drop("root").join(named, F.col("node") == F.col("r_node"), "left")
+    return joined.withColumn("root", F.coalesce("r_root", "node")).drop("r_node", "r_root")
 
 
 def _mixed(rooted: DataFrame, written) -> DataFrame:
-    """The rows of buckets that hold several groups, with the number of blocks of CELL rows that such a bucket has."""
-    size = rooted.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("rows")).where("lo <> hi")
-    mixed = written(size.select(F.col("token").alias("m_token"), F.ceil(F.col("rows") / CELL).cast("int").alias("blocks")))
-    return written(rooted.drop("blocks").join(broadcast_within(mixed), F.col("token") == F.col("m_token")).drop("m_token"))
+    """The rows of buckets that hold several groups."""
+    mixed = written(rooted.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select(F.col("token").alias("m_token")))
+    return written(rooted.join(broadcast_within(mixed), F.col("token") == F.col("m_token")).drop("m_token"))
 
 
 def _across(mixed: DataFrame) -> DataFrame:
     """Distinct (a, b), a < b: texts of different groups that meet in a bucket, where their sizes and places leave room."""
+    size = mixed.groupBy("token").agg(F.ceil(F.count(F.lit(1)) / CELL).cast("int").alias("blocks")).where("blocks > 1").withColumnRenamed("token", "s_token")
     mine = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
-    rows = mixed.withColumn("block", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = mixed.join(broadcast_within(checkpointed(size)), F.col("token") == F.col("s_token"), "left").drop("s_token")
+    rows = rows.withColumn("blocks", F.coalesce("blocks", F.lit(1))).withColumn("block", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     rows = rows.withColumn("x", F.least("block", "other")).withColumn("y", F.greatest("block", "other"))
     columns = ["token", "x", "y", "block", "node", "n", "pos", "root"]
 
@@ -250,9 +253,15 @@ def _that(pairs: DataFrame, dtype: str, test) -> DataFrame:
 
 def _decided(pairs: DataFrame, marks: DataFrame, documents: DataFrame, nodes: DataFrame, words: int, written) -> DataFrame:
     """The pairs whose whole sets are similar."""
-    likely = written(_that(_both(pairs, marks, "profile"), "<u2", may_be_similar))
-    named = likely.select(F.col("a").alias("l_node")).unionByName(likely.select(F.col("b").alias("l_node"))).distinct()
-    wanted = nodes.join(broadcast_within(named), F.col("node") == F.col("l_node"), "left_semi")
+
+    def named(some: DataFrame) -> DataFrame:
+        ends = some.select(F.col("a").alias("l_node")).unionByName(some.select(F.col("b").alias("l_node")))
+        return broadcast_within(checkpointed(ends.distinct()))
+
+    pairs = written(pairs)
+    few = marks.select("node", "profile").join(named(pairs), F.col("node") == F.col("l_node"), "left_semi")
+    likely = written(_that(_both(pairs, few, "profile"), "<u2", may_be_similar))
+    wanted = nodes.join(named(likely), F.col("node") == F.col("l_node"), "left_semi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -281,9 +290,9 @@ def similar_texts(documents: DataFrame, words: int = WORDS) -> DataFrame:
         same = marks.where("n > 0").select(F.col("bits").alias("m_bits"), "node").join(prints, F.col("m_bits") == F.col("bits")).where("node <> rep")
         close = near_links(checkpointed(prints)).unionByName(same.select(F.least("rep", "node").alias("a"), F.greatest("rep", "node").alias("b")))
         decided = lambda pairs: _decided(pairs, marks, documents, nodes, words, written)
-        alone = _entries(marks, FIRST).withColumn("root", F.col("node"))
+        alone = _entries(marks.withColumn("root", F.col("node")), FIRST)
         tied = decided(close.unionByName(_neighbours(alone)).distinct()).unionByName(links)
-        mixed = _mixed(_rooted(_entries(marks), components(tied)), written)
+        mixed = _mixed(_entries(_rooted(marks, components(tied))), written)
         tied = tied.unionByName(decided(_neighbours(mixed)))
         mixed = _mixed(_rooted(mixed, components(tied)), written)
         roots = components(tied.unionByName(decided(_across(mixed))))

@@ -67,18 +67,21 @@ def near_links(classes: DataFrame, distance: int = DISTANCE, segments: int = SEG
         raise ValueError("segments must divide 64")
     width, radius = 64 // segments, distance // segments
     mask = F.lit((1 << width) - 1 if width < 64 else -1)
-    flips = [sum(1 << b for b in chosen) for r in range(radius + 1) for chosen in combinations(range(width), r)]
-    flips = [f - (1 << 64) if f >= 1 << 63 else f for f in flips]
+    # Of two keys that differ, the one with the highest of the differing bits set looks the other up: half a ball each.
+    flips = [(sum(1 << b for b in chosen), 1 << max(chosen, default=0)) for r in range(radius + 1) for chosen in combinations(range(width), r)]
+    signed = lambda x: x - (1 << 64) if x >= 1 << 63 else x
+    ball = F.array(*[F.struct(F.lit(signed(f)).cast("long").alias("f"), F.lit(signed(h if f else 0)).cast("long").alias("h")) for f, h in flips])
     keys = F.array(*[F.shiftrightunsigned("bits", width * s).bitwiseAND(mask) for s in range(segments)])
     table = classes.select("rep", "bits", F.posexplode(keys).alias("segment", "key"))
-    probes = table.select("rep", "bits", "segment", F.explode(F.transform(F.array(*map(F.lit, flips)), lambda f: F.col("key").bitwiseXOR(f))).alias("key"))
+    mine = F.filter(ball, lambda x: (x["h"] == 0) | (F.col("key").bitwiseAND(x["h"]) != 0))
+    probes = table.select("rep", "bits", "segment", F.explode(F.transform(mine, lambda x: F.col("key").bitwiseXOR(x["f"]))).alias("key"))
     p, t = probes.alias("p"), table.alias("t")
     met = p.join(
         t,
-        (F.col("p.segment") == F.col("t.segment")) & (F.col("p.key") == F.col("t.key")) & (F.col("p.rep") < F.col("t.rep"))
+        (F.col("p.segment") == F.col("t.segment")) & (F.col("p.key") == F.col("t.key")) & (F.col("p.rep") != F.col("t.rep"))
         & (F.bit_count(F.col("p.bits").bitwiseXOR(F.col("t.bits"))) <= distance),
     )
-    return met.select(F.col("p.rep").alias("a"), F.col("t.rep").alias("b")).distinct()
+    return met.select(F.least("p.rep", "t.rep").alias("a"), F.greatest("p.rep", "t.rep").alias("b")).distinct()
 
 
 def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
