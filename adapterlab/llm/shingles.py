@@ -10,7 +10,7 @@ more bits than any index of fingerprints can afford:
 * Then the first fifths are dealt by shingle, and texts of different groups meet there, first a few others each, at last
   all. Buckets of one group are left out, large ones are cut into cells that meet two by two.
 
-Each pair is decided on whole sets; counts of the shingles in 128 ranges, an upper bound, spare most of the others.
+Each pair is decided on whole sets; counts of the shingles by ranges of hashes, an upper bound, spare most of the others.
 The nodes of the graph are distinct texts, so rows that share a doc_id but not the text are different documents.
 """
 
@@ -31,7 +31,6 @@ OF, IN = 4, 5  # the similarity as a fraction, so that all bounds are exact
 SAMPLE, COMMON = 4000, 50_000  # texts whose shingles are counted, shingles that come last; both only steer the order
 FIRST, SHIFTS = 4, (1, 2, 4, 8, 16, 32)  # shingles of a text that tie groups, distances of the texts it meets in a bucket
 CELL = 4096  # rows of a bucket that meet in one place
-RANGES = 128
 DIGEST = "__near_digest"
 
 
@@ -50,15 +49,19 @@ def similar(a: np.ndarray, b: np.ndarray) -> bool:
 
 
 def profile(s: np.ndarray) -> np.ndarray:
-    """How many shingles fall in each range of hashes; empty for sets too large to count so."""
-    return np.bincount(s >> np.uint64(57), minlength=RANGES).astype("<u2") if len(s) < 1 << 16 else np.zeros(0, "<u2")
+    """How many shingles fall in each of 2 ** k ranges of hashes, two to four on average; empty if a byte cannot count them."""
+    k = max(4, (len(s) // 2).bit_length() - 1)
+    counts = np.bincount((s >> np.uint64(64 - k)).astype(np.int64), minlength=1 << k)
+    return counts.astype(np.uint8) if counts.max(initial=0) < 256 else np.zeros(0, np.uint8)
 
 
 def may_be_similar(a: np.ndarray, b: np.ndarray) -> bool:
     """False only if even all that could be shared range by range is too little."""
     if not len(a) or not len(b):
         return True
-    return (OF + IN) * int(np.minimum(a, b).sum(dtype=np.int64)) >= OF * int(a.sum(dtype=np.int64) + b.sum(dtype=np.int64))
+    least = min(len(a), len(b))
+    a, b = (x.reshape(least, -1).sum(axis=1, dtype=np.int64) for x in (a, b))
+    return (OF + IN) * int(np.minimum(a, b).sum()) >= OF * int(a.sum() + b.sum())
 
 
 def _with_digest(documents: DataFrame) -> DataFrame:
@@ -260,7 +263,7 @@ def _decided(pairs: DataFrame, marks: DataFrame, documents: DataFrame, nodes: Da
 
     pairs = written(pairs)
     few = marks.select("node", "profile").join(named(pairs), F.col("node") == F.col("l_node"), "left_semi")
-    likely = written(_that(_both(pairs, few, "profile"), "<u2", may_be_similar))
+    likely = written(_that(_both(pairs, few, "profile"), "u1", may_be_similar))
     wanted = nodes.join(named(likely), F.col("node") == F.col("l_node"), "left_semi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

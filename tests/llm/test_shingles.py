@@ -89,5 +89,7 @@ def test_range_counts_never_reject_similar_sets():
             b = a[lost:]
             if shingles.similar(a, b):
                 assert shingles.may_be_similar(shingles.profile(a), shingles.profile(b))
-    a, b = (np.array([r.getrandbits(64) for _ in range(400)], np.uint64) for _ in "ab")
-    assert not shingles.may_be_similar(shingles.profile(np.unique(a)), shingles.profile(np.unique(b)))
+    for n, m in ((400, 400), (5000, 4100), (33_000, 32_000)):
+        a, b = (np.unique(np.array([r.getrandbits(64) for _ in range(k)], np.uint64)) for k in (n, m))
+        assert not shingles.may_be_similar(shingles.profile(a), shingles.profile(b))
+    assert not len(shingles.profile(np.arange(300, dtype=np.uint64)))
