@@ -301,13 +301,14 @@ def bin_loads(items: DataFrame, multiple: int) -> DataFrame:
 def packing_violations(items: DataFrame, batches: DataFrame, capacity: int, multiple: int) -> DataFrame:
     """(kind, group_id, gb, detail) of every broken constraint; none for a right packing."""
     key = ["group_id", "gb", "adapter_id", "sample_id"]
-    once = items.groupBy(*key).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.lit("repeated").alias("kind"), "group_id", "gb", F.col("sample_id").cast("string").alias("detail"))
-    lost = batches.join(items, key, "left_anti").select(F.lit("lost"), "group_id", "gb", F.col("sample_id").cast("string"))
-    made = items.join(batches, key, "left_anti").select(F.lit("invented"), "group_id", "gb", F.col("sample_id").cast("string"))
+    have, want = items.select(*key, "tok_len"), batches.select(*key, "tok_len")  # a long sample has several rows
+    lost = want.exceptAll(have).select(F.lit("lost").alias("kind"), "group_id", "gb", F.col("sample_id").cast("string").alias("detail"))
+    extra = have.exceptAll(want).join(want.select(*key).distinct().withColumn("known", F.lit(True)), key, "left")
+    made = extra.select(F.when(F.col("known"), "repeated").otherwise("invented"), "group_id", "gb", F.col("sample_id").cast("string"))
     loads = bin_loads(items, multiple)
     over = loads.where(F.col("padded_tokens") > capacity).select(F.lit("overfull"), "group_id", "gb", F.col("bin").cast("string"))
     holes = loads.groupBy("group_id", "gb").agg(F.max("bin").alias("last"), F.count(F.lit(1)).alias("n")).where("last + 1 <> n").select(F.lit("hole"), "group_id", "gb", F.col("n").cast("string"))
-    return once.union(lost).union(made).union(over).union(holes)
+    return lost.union(made).union(over).union(holes)
 
 
 def solver_report(items: DataFrame) -> DataFrame:

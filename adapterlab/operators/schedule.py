@@ -50,35 +50,48 @@ def merge_pass(micros: list[Micro], capacity: int, multiple: int, gap: int, scop
     for m in micros:
         batches[(m.gb, m.group_id)].append(m)
     order = sorted(batches)
-    moves = 0
-    for key in order:
+    after: list[int | None] = [None] * len(order)  # the batch that may follow, in order or of the same group
+    latest: dict[int, int] = {}
+    for i in range(len(order) - 1, -1, -1):
+        key = 0 if scope == "interleaved" else order[i][1]
+        after[i], latest[key] = latest.get(key), i
+
+    def follower(i: int) -> int | None:
+        """Batches that were emptied are passed over, once and for all."""
+        k = after[i]
+        while k is not None and not batches[order[k]]:
+            k = after[k]
+        after[i] = k
+        return k
+
+    moves = base = 0  # base: microbatches of earlier batches, which no longer change
+    last: dict[tuple[str, int], int] = {}
+    for i, key in enumerate(order):
         bins = batches[key]
         if not bins:
             continue
-        follower = next((k for k in order if k > key and (scope == "interleaved" or k[1] == key[1]) and batches[k]), None)
-        if follower is None:
-            continue
-        target = bins[-1]
-        place, last = {}, {}
-        for pos, m in enumerate(m for k in order for m in batches[k]):
-            place[id(m)] = pos
+        for pos, m in enumerate(bins, base):
             for a, j, *_ in m.items:
-                last[(a, j)] = pos
-        box = Bin()
+                last[(a, j)] = max(pos, last.get((a, j), pos))
+        base += len(bins)
+        if (k := follower(i)) is None:
+            continue
+        target, box = bins[-1], Bin()
         for a, _, s, n in target.items:
             box.add((a, s, n), multiple)
-        for source in sorted(batches[follower], key=lambda m: (m.load(multiple), -m.bin)):
+        for source in sorted(batches[order[k]], key=lambda m: (m.load(multiple), -m.bin)):
             for item in sorted(source.items, key=lambda x: (-x[3], x[0], x[2])):
                 a, j, s, n = item
                 if box.after((a, s, n), multiple) > capacity:
                     continue
-                if place[id(target)] - last.get((a, j - 1), -gap) < gap:
+                if base - 1 - last.get((a, j - 1), -gap) < gap:
                     continue
                 box.add((a, s, n), multiple)
                 source.items.remove(item)
                 target.items.append(item)
+                last[(a, j)] = base - 1
                 moves += 1
-        batches[follower] = [m for m in batches[follower] if m.items]
+        batches[order[k]] = [m for m in batches[order[k]] if m.items]
     return [m for k in order for m in batches[k]], moves
 
 

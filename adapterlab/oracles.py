@@ -23,9 +23,9 @@ ranked AS (SELECT *, row_number() OVER (ORDER BY mean_len, adapter_id) AS len_ra
 groups AS (SELECT adapter_id, mean_len, len_rank, CAST(least(len_rank, n + 1 - len_rank) - 1 AS INT) AS group_id FROM ranked)"""
 BATCHES = GROUPS + f""",
 batches AS (
-  SELECT g.group_id, CAST(n.rn // {G} AS BIGINT) AS gb, n.adapter_id, n.sample_id, least(n.tok_len, {C}) AS tok_len, n.rn,
-    dense_rank() OVER (PARTITION BY g.group_id ORDER BY n.adapter_id) AS slot
-  FROM numbered n JOIN groups g USING (adapter_id)
+  SELECT group_id, gb, adapter_id, sample_id, CAST(least(tok_len - {C} * k, {C}) AS BIGINT) AS tok_len, rn, dense_rank() OVER (PARTITION BY group_id ORDER BY adapter_id) AS slot
+  FROM (SELECT g.group_id, CAST(n.rn // {G} AS BIGINT) AS gb, n.adapter_id, n.sample_id, n.tok_len, n.rn, unnest(generate_series(0, (n.tok_len - 1) // {C})) AS k
+    FROM numbered n JOIN groups g USING (adapter_id))
 )"""
 
 
@@ -35,7 +35,7 @@ def pad(e: str, multiple: int = P) -> str:
 
 def greedy(rule: str, capacity: int = C) -> str:
     """First items in order, one at a time; the state is each bin's tokens of both adapters of the group."""
-    order = "tok_len DESC, adapter_id, sample_id" if rule in ("ffd", "bfd") else "adapter_id, rn, sample_id"
+    order = "tok_len DESC, adapter_id, sample_id" if rule in ("ffd", "bfd") else "adapter_id, rn, sample_id, tok_len"
     loads = f"list_transform(r.l1, lambda x, i: {pad('x + CASE WHEN t.slot = 1 THEN t.tok_len ELSE 0 END')} + {pad('r.l2[i] + CASE WHEN t.slot = 2 THEN t.tok_len ELSE 0 END')})"
     fits = f"list_transform(loads, lambda v: CASE WHEN v <= {capacity} THEN v ELSE -1 END)"
     pick = {

@@ -11,7 +11,7 @@ from adapterlab.functions.tokens import pad_to
 from adapterlab.operators.grouping import adapter_stats, assign_global_batches, group_adapters
 from adapterlab.operators.packing import pack_batches
 from adapterlab.operators.schedule import build_schedule
-from adapterlab.samples import Adapter, adapters_frame, oversize, token_samples
+from adapterlab.samples import Adapter, adapters_frame, oversize, pieces, token_samples
 from adapterlab.simulate.pipeline import PipeConfig, simulate_pipeline
 
 
@@ -28,7 +28,7 @@ class Options:
     policy: str = "pair"
     segment: int | None = 64
     gap: int | None = None
-    on_oversize: str = "truncate"
+    on_oversize: str = "split"
 
     def with_(self, **changes) -> Options:
         return replace(self, **changes)
@@ -37,7 +37,8 @@ class Options:
 def global_batches(spark: SparkSession, samples: DataFrame, adapters: list[Adapter], options: Options = Options()) -> DataFrame:
     fitting, _ = oversize(samples, options.capacity, options.on_oversize)
     groups = group_adapters(adapter_stats(samples), options.policy)
-    return assign_global_batches(fitting, adapters_frame(spark, adapters), groups)
+    batches = assign_global_batches(fitting, adapters_frame(spark, adapters), groups)
+    return pieces(batches, options.capacity) if options.on_oversize == "split" else batches
 
 
 def schedule_batches(batches: DataFrame, options: Options = Options()) -> DataFrame:

@@ -124,8 +124,8 @@ query(f"""WITH {Q.GROUPS} SELECT 'pair' AS policy, adapter_id, group_id FROM gro
 UNION ALL SELECT 'single', adapter_id, 0 FROM groups UNION ALL SELECT 'k_groups', adapter_id, group_id % 2 FROM groups""", "group_policies")(
     lambda s, d: _union([G.group_adapters(checkpointed(stats(s, d)), p).select(F.lit(p).alias("policy"), "adapter_id", "group_id") for p in ("pair", "singleton", "single", "k_groups")]))
 query(f"WITH {Q.BATCHES} SELECT group_id, gb, adapter_id, sample_id, tok_len, rn FROM batches", "global_batches")(batches)
-query(f"""WITH {Q.BATCHES}, full_ AS (SELECT adapter_id, gb FROM batches GROUP BY 1, 2 HAVING count(*) = {Q.G})
-SELECT adapter_id, count(*) AS n FROM batches SEMI JOIN full_ USING (adapter_id, gb) GROUP BY 1""", "global_batches_drop_last")(
+query(f"""WITH {Q.BATCHES}, full_ AS (SELECT adapter_id, gb FROM batches GROUP BY 1, 2 HAVING count(DISTINCT rn) = {Q.G})
+SELECT adapter_id, count(DISTINCT rn) AS n FROM batches SEMI JOIN full_ USING (adapter_id, gb) GROUP BY 1""", "global_batches_drop_last")(
     lambda s, d: G.assign_global_batches(samples(s, d), adapters_frame(s, het_adapters(Q.G)), G.head_tail_groups(stats(s, d)), drop_last=True).groupBy("adapter_id").agg(F.count(F.lit(1)).alias("n")))
 
 
@@ -212,18 +212,26 @@ def spacing_violations_after(spark, sf_dir):
     return S.schedule_spacing(flagship_schedule(spark, sf_dir), Q.GAP)
 
 
-@query(f"""WITH {Q.GROUPS} SELECT adapter_id, n_samples, CAST(sum(least(tok_len, {Q.C})) AS BIGINT) AS tokens, (n_samples + {Q.G - 1}) // {Q.G} AS batches
+@query(f"""WITH {Q.GROUPS} SELECT adapter_id, n_samples, CAST(sum(tok_len) AS BIGINT) AS tokens, (n_samples + {Q.G - 1}) // {Q.G} AS batches
 FROM samples JOIN stats USING (adapter_id) GROUP BY 1, 2""")
 def verify_and_fix(spark, sf_dir):
     """What the repaired schedule holds, by adapter."""
     rows = flagship_schedule(spark, sf_dir).where("NOT is_noop")
-    return rows.groupBy("adapter_id").agg(F.count(F.lit(1)).alias("n_samples"), F.sum("tok_len").alias("tokens"), F.count_distinct("batch").alias("batches"))
+    return rows.groupBy("adapter_id").agg(F.count_distinct("sample_id").alias("n_samples"), F.sum("tok_len").alias("tokens"), F.count_distinct("batch").alias("batches"))
 
 
 @query("SELECT CAST(NULL AS VARCHAR) AS kind, CAST(NULL AS VARCHAR) AS adapter_id, CAST(NULL AS BIGINT) AS gb, CAST(NULL AS VARCHAR) AS detail WHERE 1 = 0")
 def lossless_check(spark, sf_dir):
+    """The schedule against its batches, and its tokens against the samples as the tables have them."""
     rows = checkpointed(batches(spark, sf_dir))
-    return S.lossless_violations(planner.schedule_batches(rows, OPTIONS), rows)
+    schedule = checkpointed(planner.schedule_batches(rows, OPTIONS))
+    have = _whole(schedule.where("NOT is_noop"))
+    cut = _whole(samples(spark, sf_dir)).exceptAll(have).select(F.lit("cut").alias("kind"), "adapter_id", F.lit(None).cast("bigint").alias("gb"), F.col("sample_id").cast("string").alias("detail"))
+    return S.lossless_violations(schedule, rows).unionByName(cut)
+
+
+def _whole(rows: DataFrame) -> DataFrame:
+    return rows.groupBy("adapter_id", "sample_id").agg(F.sum("tok_len").alias("tok_len"))
 
 
 @query(f"WITH {Q.BATCHES} SELECT adapter_id, gb, count(*) AS n, true AS in_order FROM batches GROUP BY 1, 2")
@@ -241,8 +249,8 @@ query("SELECT CAST(NULL AS VARCHAR) AS adapter_id, CAST(NULL AS BIGINT) AS sampl
 
 def _multiset(spark, sf_dir):
     rows = checkpointed(batches(spark, sf_dir))
-    have = planner.schedule_batches(rows, OPTIONS).where("NOT is_noop").select("adapter_id", "sample_id", "tok_len")
-    want = rows.select("adapter_id", "sample_id", "tok_len")
+    have = _whole(planner.schedule_batches(rows, OPTIONS).where("NOT is_noop"))
+    want = _whole(samples(spark, sf_dir))
     return have.exceptAll(want).unionByName(want.exceptAll(have))
 
 

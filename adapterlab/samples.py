@@ -12,7 +12,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from adapterlab.functions.tokens import MODELS, order_key
+from adapterlab.operators.numbering import rank_within
 from adapterlab.schemas import ADAPTERS, SAMPLES, require
+from adapterlab.session import broadcast_within, checkpointed
 from adapterlab.sources.tables import load
 
 DATASETS = ("short", "medium", "long")
@@ -94,9 +96,14 @@ def quarantine(spark: SparkSession, sf_dir: str, datasets: tuple[str, ...] = (*D
     return out
 
 
-def oversize(samples: DataFrame, capacity: int, mode: str = "truncate") -> tuple[DataFrame, DataFrame]:
-    """(samples that fit, counts per adapter of those beyond the capacity); mode: truncate, quarantine or error."""
+def oversize(samples: DataFrame, capacity: int, mode: str = "split") -> tuple[DataFrame, DataFrame]:
+    """(samples to assign, counts per adapter of those beyond the capacity).
+
+    mode: split (nothing is lost: `pieces` cuts them once they have a batch), truncate, quarantine or error.
+    """
     counts = samples.groupBy("adapter_id").agg(F.count_if(F.col("tok_len") > capacity).alias("n_oversize"))
+    if mode == "split":
+        return samples, counts
     if mode == "truncate":
         return samples.withColumn("tok_len", F.least(F.col("tok_len"), F.lit(capacity).cast("bigint"))), counts
     if mode == "quarantine":
@@ -107,6 +114,19 @@ def oversize(samples: DataFrame, capacity: int, mode: str = "truncate") -> tuple
     raise ValueError(f"unknown mode {mode}")
 
 
+def pieces(batches: DataFrame, capacity: int) -> DataFrame:
+    """Rows longer than the capacity as several of at most that many tokens, in the same batch: all tokens stay."""
+    cut = F.transform(F.sequence(F.lit(0), F.floor((F.col("tok_len") - 1) / capacity)), lambda k: F.least(F.lit(capacity).cast("bigint"), F.col("tok_len") - k * capacity))
+    return batches.withColumn("tok_len", F.explode(cut))
+
+
+def equal_samples(samples: DataFrame) -> DataFrame:
+    """As many samples of each adapter as the smallest has, the first by their order."""
+    ranked = checkpointed(rank_within(samples, ["adapter_id"], ["order_key", "sample_id"], "__rank"))
+    least = ranked.groupBy("adapter_id").agg(F.count(F.lit(1)).alias("n")).agg(F.min("n").alias("__least"))  # one row
+    return ranked.join(F.broadcast(least), F.col("__rank") < F.col("__least")).drop("__rank", "__least")
+
+
 def oversize_counts(samples: DataFrame, capacity: int) -> DataFrame:
     """(adapter_id, n_samples, n_oversize, tokens, lost_tokens): what truncation to the capacity takes from each adapter."""
     return samples.groupBy("adapter_id").agg(
@@ -121,12 +141,15 @@ def clean_samples(spark: SparkSession, sf_dir: str, width: int = 8) -> DataFrame
     good = load(spark, sf_dir, "labels").where("quality = 1 AND toxic = 0").select("doc_id").distinct()
     first = docs.groupBy(F.md5("text").alias("h")).agg(F.min("doc_id").alias("doc_id")).select("doc_id")
 
-    def shingles(df: DataFrame, key: str) -> DataFrame:
+    def hashed(df: DataFrame, key: str) -> DataFrame:
+        """A row for each window; 64 bits of it travel instead of its words."""
         # The words are a column of their own: inside the lambda they would be split again for each window.
         w = df.select(key, F.filter(F.split(F.lower("text"), r"[ \t\n\r]+"), lambda x: x != "").alias("w")).where(F.size("w") >= width)
-        at = F.transform(F.sequence(F.lit(1), F.size("w") - width + 1), lambda i: F.array_join(F.slice("w", i, width), " "))
-        return w.select(key, F.explode(at).alias("s"))
+        at = F.transform(F.sequence(F.lit(1), F.size("w") - width + 1), lambda i: F.struct(F.xxhash64(F.slice("w", i, width)).alias("h"), i.alias("i")))
+        return w.select(key, "w", F.explode(at).alias("s")).select(key, F.col("s.h").alias("h"), F.slice("w", F.col("s.i"), width).alias("words"))
 
-    leaked = shingles(docs, "doc_id").join(shingles(load(spark, sf_dir, "benchmark"), "item_id").select("s").distinct(), "s", "left_semi").select("doc_id").distinct()
+    items = hashed(load(spark, sf_dir, "benchmark"), "item_id").select(F.col("h").alias("b_h"), F.col("words").alias("b_words")).distinct()
+    hits = hashed(docs, "doc_id").join(broadcast_within(checkpointed(items)), (F.col("h") == F.col("b_h")) & (F.col("words") == F.col("b_words")), "left_semi")
+    leaked = hits.select("doc_id").distinct()
     kept = docs.join(good, "doc_id", "left_semi").join(first, "doc_id", "left_semi").join(leaked, "doc_id", "left_anti")
     return kept.select("doc_id", MODELS["chars4"](F.col("text")).alias("tok_len"))

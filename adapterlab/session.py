@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
@@ -21,12 +22,22 @@ def local_session(cores: int = 4, partitions: int = 8) -> SparkSession:
 
 def checkpointed(df: DataFrame) -> DataFrame:
     """Cuts the lineage in the folder of spark.checkpoint.dir; our own folder only where none is set (tests)."""
-    spark = df.sparkSession
-    if not spark.conf.get("spark.checkpoint.dir", None) and spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="adapterlab-checkpoint-"))
+    shared_dir(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that all executors share; one of our own in local mode alone, elsewhere its absence is an error."""
+    sc = spark.sparkContext
+    if folder := spark.conf.get("spark.checkpoint.dir", None):
+        return folder
+    if sc._jsc.sc().getCheckpointDir().isEmpty():
+        if not re.fullmatch(r"local(\[.*\])?", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        sc.setCheckpointDir(tempfile.mkdtemp(prefix="adapterlab-checkpoint-"))
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
 def broadcast_within(df: DataFrame, rows: int = 1_000_000) -> DataFrame:
     """A broadcast hint if the frame has at most `rows` rows (a count from file footers, for a plain scan); else none."""
     return F.broadcast(df) if df.count() <= rows else df

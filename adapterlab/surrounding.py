@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
 import numpy as np
 import pandas as pd
@@ -16,7 +16,7 @@ from adapterlab import oracles as Q
 from adapterlab.functions.tokens import pad_to
 from adapterlab.registry import batches, query
 from adapterlab.operators import packing as P
-from adapterlab.session import broadcast_within
+from adapterlab.session import broadcast_within, shared_dir
 from adapterlab.sources.tables import load, register_views
 from adapterlab.sources.weights import WeightSource
 from adapterlab.streaming import arrivals as A
@@ -32,9 +32,8 @@ def add(name: str, sql: str | None, f) -> None:
 
 def round_trip(spark: SparkSession, df: DataFrame, kind: str, **options) -> DataFrame:
     """Written and read back; the folder is the shared one where the cluster names one."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    path = f"{base}/adapterlab-{kind}-{abs(hash((kind, id(df))))}"
-    df.write.mode("overwrite").options(**options).format(kind).save(path)
+    path = f"{shared_dir(spark)}/adapterlab-{kind}-{uuid.uuid4().hex}"
+    df.write.options(**options).format(kind).save(path)
     return spark.read.schema(df.schema).options(**options).format(kind).load(path)
 
 
@@ -47,9 +46,8 @@ add("partitioned_sink", f"WITH {DOCS} SELECT lang, count(*) AS n, CAST(sum(tok_l
 
 
 def _partitioned(spark, df):
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    path = f"{base}/adapterlab-partitioned-{abs(hash(id(df)))}"
-    df.repartition("lang").sortWithinPartitions("doc_id").write.mode("overwrite").partitionBy("lang").parquet(path)
+    path = f"{shared_dir(spark)}/adapterlab-partitioned-{uuid.uuid4().hex}"
+    df.repartition("lang").sortWithinPartitions("doc_id").write.partitionBy("lang").parquet(path)
     return spark.read.parquet(path).groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.sum("tok_len").alias("tokens"))
 
 
