@@ -118,6 +118,13 @@ def kernel_speedup(ledger: DataFrame, balance: int = BALANCE) -> DataFrame:
     return rows.select("impl", "direction", "m", "k", "n", "r", F.expr("naive_time * 1000 div time").alias("speedup_per_mille"))
 
 
+def kernel_factors(spark: SparkSession, shape: tuple[int, int, int, int] = (8192, 4096, 4096, 16), adapters: int = 4) -> dict[str, float]:
+    """Time of both passes of each implementation relative to the frozen layer, as the roofline has it; one row each."""
+    t = roofline(traffic_ledger(shapes_frame(spark, [shape]), adapters)).groupBy("impl").agg(F.sum("time").alias("time"))
+    times = {r["impl"]: r["time"] for r in t.collect()}
+    return {k: v / times["frozen"] for k, v in times.items()}
+
+
 def launches(spark: SparkSession, adapters: int = 4) -> DataFrame:
     """Kernel launches of a layer by implementation; merging launches of several adapters leaves the traffic as it was."""
     n = {i: len(ops) for i, ops in IMPLEMENTATIONS.items()}

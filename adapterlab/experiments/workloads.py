@@ -10,24 +10,24 @@ from pyspark.sql import functions as F
 
 from adapterlab.algebra.bank import default_bank, with_gradient, x_rows
 from adapterlab.algebra.layers import agreement, naive_backward, naive_forward, routed_backward, routed_forward
-from adapterlab.cost.ledger import kernel_speedup, layer_sweep, runtime_breakdown, shapes_frame, traffic_ledger, traffic_ratio
-from adapterlab.cost.measures import packing_quality, speedup_table, tuning_fit
+from adapterlab.cost.ledger import kernel_factors, kernel_speedup, layer_sweep, runtime_breakdown, shapes_frame, traffic_ledger, traffic_ratio
+from adapterlab.cost.measures import ideal_gap, overlap, packing_quality, speedup_table, tuning_fit
 from adapterlab.operators.baselines import as_runs as baseline_runs
 from adapterlab.operators.baselines import baseline_pipeline, baseline_uniform_fill, fixed_microbatches
 from adapterlab.operators.batching import imbalance, microbatch_tokens
 from adapterlab.operators.packing import bin_loads, pack_batches, solver_report
 from adapterlab.operators.schedule import build_schedule, schedule_counts
-from adapterlab.plans.planner import Options, as_runs, global_batches, schedule_batches
-from adapterlab.plans.tuner import evaluate, scaling_study
-from adapterlab.samples import Adapter, dataset_lengths, het_adapters, homogeneous_adapters, token_samples
+from adapterlab.plans.planner import Options, as_runs, global_batches, schedule_batches, simulate_schedule
+from adapterlab.plans.tuner import scaling_study, tune
+from adapterlab.samples import Adapter, dataset_lengths, equal_samples, het_adapters, homogeneous_adapters, token_samples
 from adapterlab.session import checkpointed
 from adapterlab.simulate.pipeline import PipeConfig, simulate_pipeline
 from adapterlab.simulate.presets import HARDWARE, MODELS, pipe_config
-from adapterlab.simulate.sharded import ideal_run
+from adapterlab.simulate.sharded import ideal_run, simulate_sharded
 from adapterlab.sources.tables import load
 from adapterlab.sources.weights import base_matrix
 
-FAST = Options(nodes=150)
+FAST = Options(nodes=1000)
 LAYERS = [(8192, 4096, 4096, 16), (8192, 4096, 14336, 16), (8192, 14336, 4096, 16), (8192, 5120, 5120, 16), (8192, 8192, 8192, 16), (8192, 8192, 28672, 16)]
 
 
@@ -62,12 +62,23 @@ def w6_practical_against_ideal(spark: SparkSession, sf_dir: str) -> DataFrame:
     mean = micro.agg(F.expr("sum(cost_tokens) div count(1)").alias("mean"))
     even = micro.crossJoin(F.broadcast(mean)).withColumn("cost_tokens", F.col("mean")).drop("mean")
     runs = [baseline_runs(baseline_pipeline(micro), "practical", 4), baseline_runs(baseline_pipeline(even), "ideal", 4), baseline_runs(baseline_uniform_fill(even), "ideal_multi", 4)]
-    done = simulate_pipeline(reduce(DataFrame.unionByName, runs))
-    return done.select("run_id", "makespan", F.round("bubble", 6).alias("bubble"), "tokens")
+    done = simulate_pipeline(reduce(DataFrame.unionByName, runs)).select("run_id", "makespan", F.round("bubble", 6).alias("bubble"), "tokens")
+    ranks = [baseline_pipeline(m).select(F.lit(n).alias("run_id"), "pos", F.col("cost_tokens").alias("tokens")) for m, n in ((micro, "sharded_practical"), (even, "sharded_ideal"))]
+    shard = simulate_sharded(ranks[0].unionByName(ranks[1])).select("run_id", F.col("makespan").cast("double"), F.lit(None).cast("double").alias("bubble"), "tokens")
+    rows = checkpointed(done.unionByName(shard))
+    kind = F.regexp_replace("run_id", "(_?)(practical|ideal)$", "")
+    ends = [rows.where(F.col("run_id").endswith(end)).select(kind.alias("run_id"), "makespan") for end in ("practical", "ideal")]
+    slow = ideal_gap(*ends).select(F.concat(F.col("run_id"), F.when(F.col("run_id") == "", "practical").otherwise("_practical")).alias("run_id"), "slowdown_per_mille")
+    return rows.join(F.broadcast(slow), "run_id", "left")
+
+
+def _samples(spark: SparkSession, sf_dir: str, adapters: list[Adapter]) -> DataFrame:
+    """Equally many samples of each adapter, so that none is left to run alone."""
+    return equal_samples(token_samples(spark, sf_dir, adapters))
 
 
 def _micro(spark: SparkSession, sf_dir: str, adapters: list[Adapter], options: Options) -> DataFrame:
-    return fixed_microbatches(global_batches(spark, token_samples(spark, sf_dir, adapters), adapters, options))
+    return fixed_microbatches(global_batches(spark, _samples(spark, sf_dir, adapters), adapters, options))
 
 
 def compare(spark: SparkSession, sf_dir: str, cases: list[tuple[str, list[Adapter], str, str]]) -> DataFrame:
@@ -76,6 +87,7 @@ def compare(spark: SparkSession, sf_dir: str, cases: list[tuple[str, list[Adapte
     cases: (name, adapters, model preset, hardware). Schedules are made once for all cases that share them; all
     simulations run side by side.
     """
+    factors = kernel_factors(spark)
     made: dict[tuple, tuple[DataFrame, DataFrame, DataFrame]] = {}
     runs, sharded = [], []
     for name, adapters, preset, hardware in cases:
@@ -83,12 +95,12 @@ def compare(spark: SparkSession, sf_dir: str, cases: list[tuple[str, list[Adapte
         options = FAST.with_(stages=p.stages, capacity=max(1024, int(p.capacity * HARDWARE[hardware][0] / 2)))
         key = (tuple(adapters), options)
         if key not in made:
-            batches = checkpointed(global_batches(spark, token_samples(spark, sf_dir, adapters), adapters, options))
+            batches = checkpointed(global_batches(spark, _samples(spark, sf_dir, adapters), adapters, options))
             micro = checkpointed(fixed_microbatches(batches))
             made[key] = (micro, checkpointed(baseline_pipeline(micro)), schedule_batches(batches, options))
         micro, sequential, schedule = made[key]
         label = f"{preset}/{name}/{hardware}"
-        stock, fused = pipe_config(p, "naive", hardware), pipe_config(p, "routed", hardware)
+        stock, fused = pipe_config(p, factors["naive"], hardware), pipe_config(p, factors["routed"], hardware)
         for method, rows, config in (
             ("sequential_pipeline", baseline_runs(sequential, f"{label}|sequential_pipeline", p.stages), stock),
             ("uniform_fill", baseline_runs(baseline_uniform_fill(micro), f"{label}|uniform_fill", p.stages), stock),
@@ -110,13 +122,15 @@ def compare(spark: SparkSession, sf_dir: str, cases: list[tuple[str, list[Adapte
 
 def w8_end_to_end(spark: SparkSession, sf_dir: str) -> DataFrame:
     sets = {d: homogeneous_adapters(d) for d in ("short", "medium", "long", "mixed")} | {"het": het_adapters()}
-    runs = checkpointed(compare(spark, sf_dir, [(n, a, p, "first") for p in MODELS for n, a in sets.items()]))
+    runs = checkpointed(compare(spark, sf_dir, [(n, a, p, "first") for p in ("small", "medium", "large") for n, a in sets.items()]))
     table = speedup_table(runs, "sequential_pipeline")
     return runs.join(table, ["workload", "method"]).select("workload", "method", "rate", F.round("bubble", 6).alias("bubble"), "speedup")
 
 
 def w9_second_hardware(spark: SparkSession, sf_dir: str) -> DataFrame:
-    runs = checkpointed(compare(spark, sf_dir, [("het", het_adapters(), p, "second") for p in ("small", "large")]))
+    """Less memory, slower links: the small model on one device, the medium one on four, over the five workloads."""
+    sets = {d: homogeneous_adapters(d) for d in ("short", "medium", "long", "mixed")} | {"het": het_adapters()}
+    runs = checkpointed(compare(spark, sf_dir, [(n, a, p, "second") for p in ("small", "medium_four") for n, a in sets.items()]))
     return runs.join(speedup_table(runs, "sequential_pipeline"), ["workload", "method"]).select("workload", "method", "rate", "speedup")
 
 
@@ -153,7 +167,7 @@ def w13_bubbles(spark: SparkSession, sf_dir: str) -> DataFrame:
     for n in (1, 2, 3, 4):
         a = homogeneous_adapters("medium", n=n)
         policy = "singleton" if n <= 2 else "k_groups"
-        parts.append(as_runs(schedule_batches(global_batches(spark, token_samples(spark, sf_dir, a), a, FAST.with_(policy=policy)), FAST), f"method_{n}", 4))
+        parts.append(as_runs(schedule_batches(global_batches(spark, _samples(spark, sf_dir, a), a, FAST.with_(policy=policy)), FAST), f"method_{n}", 4))
     micro = checkpointed(_micro(spark, sf_dir, homogeneous_adapters("medium"), FAST))
     parts += [baseline_runs(baseline_pipeline(micro), "sequential_pipeline", 4), baseline_runs(baseline_uniform_fill(micro), "uniform_fill", 4)]
     return simulate_pipeline(reduce(DataFrame.unionByName, parts), PipeConfig(last_extra=0.05)).select("run_id", F.round("bubble", 6).alias("bubble"), "microbatches")
@@ -175,7 +189,29 @@ def w14_scheduling_time(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...]
 
 
 def w14_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return tuning_fit(w14_scheduling_time(spark, sf_dir, (640, 1600, 3200)))
+    return tuning_fit(w14_scheduling_time(spark, sf_dir))
+
+
+def w14_overlap(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (640, 1600, 3200, 6400, 12800, 25600), tokens_per_second: float = 10_000.0) -> DataFrame:
+    """Measured scheduling beside simulated training, by number of samples; what the training before does not hide.
+
+    (gb, samples, schedule_time, train_time, exposed). tokens_per_second: of one stage of the frozen layer, an assumption,
+    as no absolute rate is known. Each size counts as one round after the one before.
+    """
+    samples = checkpointed(order_samples(spark, sf_dir))
+    have, rows, factor = samples.count(), [], kernel_factors(spark)["routed"]
+    for k, n in enumerate(sizes):
+        if n > have and rows:
+            break
+        part = samples.orderBy("order_key", "sample_id").limit(n)
+        batches = checkpointed(global_batches(spark, part, order_adapters(), FAST.with_(capacity=512)))
+        began = time.time()
+        schedule = checkpointed(schedule_batches(batches, FAST.with_(capacity=512)))
+        seconds = time.time() - began
+        span = simulate_schedule(schedule, 4, PipeConfig(per_token=factor)).first()["makespan"]
+        rows.append((k, min(n, have), seconds, span / tokens_per_second))
+    timings = spark.createDataFrame(rows, "gb bigint, samples bigint, schedule_time double, train_time double")
+    return timings.select("gb", "samples").join(overlap(timings), "gb")
 
 
 def w15_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -193,13 +229,20 @@ def w15_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w15_solver_paths(spark: SparkSession, sf_dir: str) -> DataFrame:
     a = het_adapters()
-    return solver_report(pack_batches(global_batches(spark, token_samples(spark, sf_dir, a), a, FAST), FAST.capacity, FAST.multiple, nodes=1000))
+    return solver_report(pack_batches(global_batches(spark, token_samples(spark, sf_dir, a), a, FAST), FAST.capacity, FAST.multiple, nodes=20_000))
+
+
+# Published bars of the breakdown, printed beside ours.
+PUBLISHED_BARS = {"1_sequential": 1.0, "2_split_fused": 1.13, "3_continuous": 1.5, "4_continuous_routed": 1.72, "5_scheduler": 1.57, "6_all": 2.05}
 
 
 def w16_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Six configurations on het with the largest model: rate and speedup over the first."""
-    a, p = het_adapters(), MODELS["large"]
-    batches = checkpointed(global_batches(spark, token_samples(spark, sf_dir, a), a, FAST))
+    """Six configurations on het with the largest model: rate and speedup over the first, beside the published bars.
+
+    What the kernels gain is what the ledger's roofline says, an upper bound of what real ones gain.
+    """
+    a, p, factors = het_adapters(), MODELS["large"], kernel_factors(spark)
+    batches = checkpointed(global_batches(spark, _samples(spark, sf_dir, a), a, FAST))
     micro = checkpointed(fixed_microbatches(batches))
     sequential, filled = baseline_pipeline(micro), baseline_uniform_fill(micro)
     schedule = checkpointed(as_runs(schedule_batches(batches, FAST), "x", p.stages))
@@ -208,9 +251,10 @@ def w16_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
         ("3_continuous", baseline_runs(filled, "3_continuous", 4), "naive"), ("4_continuous_routed", baseline_runs(filled, "4_continuous_routed", 4), "routed"),
         ("5_scheduler", schedule.withColumn("run_id", F.lit("5_scheduler")), "naive"), ("6_all", schedule.withColumn("run_id", F.lit("6_all")), "routed"),
     ]
-    done = [simulate_pipeline(runs, pipe_config(p, kernel)).withColumn("workload", F.lit("het")) for _, runs, kernel in steps]
+    done = [simulate_pipeline(runs, pipe_config(p, factors[kernel])).withColumn("workload", F.lit("het")) for _, runs, kernel in steps]
     rates = checkpointed(reduce(DataFrame.unionByName, done).select("workload", F.col("run_id").alias("method"), F.round(F.col("tokens") * 1000 / F.col("makespan"), 6).alias("rate"), F.round("bubble", 6).alias("bubble")))
-    return rates.join(speedup_table(rates.select("workload", "method", "rate"), "1_sequential"), ["workload", "method"])
+    bars = spark.createDataFrame(list(PUBLISHED_BARS.items()), "method string, published double")
+    return rates.join(speedup_table(rates.select("workload", "method", "rate"), "1_sequential"), ["workload", "method"]).join(F.broadcast(bars), "method")
 
 
 def w17_budgets(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -218,7 +262,7 @@ def w17_budgets(spark: SparkSession, sf_dir: str) -> DataFrame:
     a = het_adapters()
     batches = checkpointed(global_batches(spark, token_samples(spark, sf_dir, a), a, FAST))
     out = None
-    for nodes in (0, 100, 1000):
+    for nodes in (0, 1000, 10_000, 100_000):
         items = checkpointed(pack_batches(batches, FAST.capacity, FAST.multiple, nodes=nodes))
         fill = packing_quality(bin_loads(items, FAST.multiple), FAST.capacity).agg(F.sum("microbatches").alias("microbatches"), F.expr("sum(smallest_fill) div count(1)").alias("smallest_fill"))
         share = items.select("group_id", "gb", "solver_path").distinct().agg(F.expr("count_if(solver_path = 'exact') * 1000 div count(1)").alias("exact_per_mille"))
@@ -248,10 +292,34 @@ def w19_tuning_jobs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done.select("run_id", F.round(F.col("tokens") * 1000 / F.col("makespan"), 6).alias("rate"), F.round("bubble", 6).alias("bubble"))
 
 
-def tune_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+def tune_loop(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The tuning loop with exact packing: every candidate it simulated, and the one it chose."""
     a = het_adapters()
-    options = [FAST.with_(policy=p, capacity=c, exact=False) for p in ("pair", "singleton", "single") for c in (2048, 4096)]
-    return evaluate(spark, token_samples(spark, sf_dir, a), a, options).select("run_id", "rate", F.round("bubble", 6).alias("bubble"))
+    return tune(spark, _samples(spark, sf_dir, a), a, FAST)[1].select("run_id", "rate", F.round("bubble", 6).alias("bubble"), "chosen")
+
+
+def tenant_adapters(spark: SparkSession, sf_dir: str, tenants: int = 8) -> list[Adapter]:
+    return [Adapter(f"u{i}", "events", 16, 16.0, 0.0, 16, 51 + i) for i in range(tenants)]
+
+
+def w19_tenants(spark: SparkSession, sf_dir: str, tenants: int = 8) -> DataFrame:
+    """Jobs of several tenants, who are users dealt by hash: an event is a sample as long as its value says.
+
+    Each tenant's job by itself, one after another, against all of them in one schedule.
+    """
+    a = tenant_adapters(spark, sf_dir, tenants)
+    rows = load(spark, sf_dir, "events").where("event_id IS NOT NULL")
+    length = (F.pmod(F.xxhash64("event_id"), F.lit(480)) + 32).cast("bigint")
+    samples = rows.select(
+        F.concat(F.lit("u"), F.pmod(F.xxhash64("user_id"), F.lit(tenants)).cast("string")).alias("adapter_id"), F.col("event_id").cast("bigint").alias("sample_id"), F.lit("events").alias("dataset"),
+        length.alias("tok_len"), F.md5(F.col("event_id").cast("string")).alias("order_key"),
+    )
+    o = FAST.with_(exact=False)
+    batches = checkpointed(global_batches(spark, checkpointed(samples), a, o))
+    together = as_runs(schedule_batches(batches, o), "together", 4)
+    alone = baseline_runs(baseline_pipeline(fixed_microbatches(batches)), "one_after_another", 4)
+    done = simulate_pipeline(together.unionByName(alone))
+    return done.select("run_id", "tokens", F.round(F.col("tokens") * 1000 / F.col("makespan"), 6).alias("rate"), F.round("bubble", 6).alias("bubble"))
 
 
 def merge_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

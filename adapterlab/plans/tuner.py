@@ -9,12 +9,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from adapterlab.cost.ledger import kernel_factors
+from adapterlab.operators.baselines import as_runs as baseline_runs
+from adapterlab.operators.baselines import baseline_pipeline, baseline_uniform_fill, fixed_microbatches
 from adapterlab.operators.grouping import adapter_stats
 from adapterlab.operators.numbering import running
 from adapterlab.plans.planner import Options, as_runs, global_batches, schedule_batches
 from adapterlab.samples import Adapter
 from adapterlab.session import checkpointed
 from adapterlab.simulate.pipeline import PipeConfig, simulate_pipeline
+from adapterlab.simulate.sharded import simulate_single
 
 # kind, degree, largest capacity its memory allows, fixed cost of a microbatch
 LAYOUTS = [("single", 1, 2048, 0), ("sharded", 4, 4096, 400), ("pipeline", 4, 8192, 150), ("pipeline", 2, 4096, 150)]
@@ -30,6 +34,25 @@ def profile_layouts(spark: SparkSession, capacities: list[int] = (1024, 2048, 40
     return grid.select("kind", "degree", "capacity", (F.col("capacity") <= F.col("limit")).alias("feasible"), rate.alias("rate"))
 
 
+def simulate_layouts(spark: SparkSession, capacities: list[int] = (1024, 2048, 4096, 8192), layouts=LAYOUTS, microbatches: int = 32, backward: int = 2) -> DataFrame:
+    """The same by running them: pipelines event by event, the others step by step."""
+    grid = spark.createDataFrame([(f"{k}/{d}/{c}", k, d, lim, f, c) for k, d, lim, f in layouts for c in capacities], "run_id string, kind string, degree int, lim int, fixed int, capacity int")
+    key = F.array(F.struct(F.lit("a").alias("adapter_id"), F.lit(0).cast("bigint").alias("batch")))
+    each = grid.withColumn("pos", F.explode(F.sequence(F.lit(0), F.lit(microbatches - 1)))).withColumn("tokens", F.col("capacity") + F.col("fixed"))
+    pipes = each.where("kind = 'pipeline'").select("run_id", "pos", F.col("tokens").alias("cost_tokens"), F.col("tokens").alias("real_tokens"), key.alias("keys"), F.col("degree").alias("stages"))
+    spans = [simulate_pipeline(pipes, PipeConfig(backward=float(backward))).select("run_id", "makespan")]
+    for r in {(k, d) for k, d, *_ in layouts if k != "pipeline"}:
+        some = each.where((F.col("kind") == r[0]) & (F.col("degree") == r[1]))
+        if r[0] == "single":
+            spans.append(simulate_single(some, backward).select("run_id", F.col("makespan").cast("double")))
+        else:  # each rank runs all layers, so a step is as long as `degree` stages; gathering the layers comes on top
+            step = some.groupBy("run_id", F.floor(F.col("pos") / r[1]).alias("step")).agg(((F.max("tokens") * (1 + backward) + 1600) * r[1]).alias("took"))
+            spans.append(step.groupBy("run_id").agg(F.sum("took").cast("double").alias("makespan")))
+    scaled = F.when(F.col("kind") == "single", F.lit(1)).otherwise(F.col("degree"))
+    done = grid.join(F.broadcast(reduce(DataFrame.unionByName, spans)), "run_id")
+    return done.select("kind", "degree", "capacity", (F.col("capacity") <= F.col("lim")).alias("feasible"), F.floor(F.lit(microbatches) * F.col("capacity") * scaled * 1000 / F.col("makespan")).cast("bigint").alias("rate"))
+
+
 def best_layout(profile: DataFrame) -> DataFrame:
     order = F.struct("rate", "capacity", "kind", "degree")
     return profile.where("feasible").agg(F.max_by(F.struct("kind", "degree", "capacity", "rate"), order).alias("b")).select("b.*")
@@ -103,9 +126,11 @@ def scaling_study(spark: SparkSession, samples: DataFrame, adapters: list[Adapte
 
     Data parallel: replicas of the pipeline share each global batch, whose size grows with the devices, and meet at
     its end. Jobs: as many more jobs of the plain batch size, dealt to clusters of `stages` devices that work side by
-    side. Both train the same samples. sync: what the replicas take to sum a batch's gradients.
+    side. Both train the same samples, as do both sequential baselines under data parallelism, with stock kernels. sync: what the replicas take to sum a batch's gradients.
     """
     samples = checkpointed(samples)
+    factors = kernel_factors(spark)
+    stock, fused = factors["naive"], factors["routed"]
     out = None
     for d in devices:
         replicas = d // stages
@@ -113,7 +138,7 @@ def scaling_study(spark: SparkSession, samples: DataFrame, adapters: list[Adapte
         spaced = options.with_(stages=stages, gap=(stages - 1) * replicas)
         schedule = checkpointed(schedule_batches(global_batches(spark, samples, wide, spaced), spaced))
         runs = for_replicas(schedule, as_runs(schedule, f"dp/{d}", stages, options.multiple), replicas)
-        dp = simulate_pipeline(runs, PipeConfig(sync=sync), replicas=replicas).select(F.lit("data_parallel").alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens")
+        dp = simulate_pipeline(runs, PipeConfig(sync=sync, per_token=fused), replicas=replicas).select(F.lit("data_parallel").alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens")
         part = F.pmod(F.crc32("order_key"), F.lit(replicas)).cast("string")
         jobs = checkpointed(samples.withColumn("adapter_id", F.concat_ws("#", "adapter_id", part)))
         each = [replace(a, adapter_id=f"{a.adapter_id}#{k}") for a in adapters for k in range(replicas)]
@@ -122,7 +147,16 @@ def scaling_study(spark: SparkSession, samples: DataFrame, adapters: list[Adapte
         for k in range(replicas):
             mine = jobs.join(F.broadcast(clusters.where(F.col("cluster") == k)).select("adapter_id"), "adapter_id", "left_semi")
             parts.append(as_runs(schedule_batches(global_batches(spark, mine, each, options), options), f"job/{d}/{k}", stages, options.multiple))
-        job = simulate_pipeline(reduce(DataFrame.unionByName, parts)).agg(F.max("makespan").alias("makespan"), F.sum("tokens").alias("tokens")).select(F.lit("jobs").alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens")
+        job = simulate_pipeline(reduce(DataFrame.unionByName, parts), PipeConfig(per_token=fused)).agg(F.max("makespan").alias("makespan"), F.sum("tokens").alias("tokens")).select(F.lit("jobs").alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens")
+        micro = checkpointed(fixed_microbatches(global_batches(spark, samples, wide, spaced)))
+        order = F.dense_rank().over(Window.partitionBy("gb").orderBy("adapter_id")).cast("int")  # adapters of a batch
+        for name, placed, group in (("dp_sequential_pipeline", baseline_pipeline(micro), order), ("dp_uniform_fill", baseline_uniform_fill(micro), F.lit(0))):
+            base = baseline_runs(placed, f"{name}/{d}", stages)
+            slots = placed.withColumn("group_id", group)
+            if name == "dp_sequential_pipeline":  # an adapter's batches come one after the other
+                slots = slots.withColumn("gb", F.concat_ws("/", "adapter_id", F.col("gb").cast("string")))
+            shared = for_replicas(slots, base, replicas)
+            dp = dp.unionByName(simulate_pipeline(shared, PipeConfig(sync=sync, per_token=stock), replicas=replicas).select(F.lit(name).alias("mode"), F.lit(d).alias("devices"), "makespan", "tokens"))
         both = dp.unionByName(job)
         out = both if out is None else out.unionByName(both)
     return out.withColumn("rate_per_device", F.round(F.col("tokens") * 1000 / F.col("makespan") / F.col("devices"), 6))

@@ -21,17 +21,17 @@ from adapterlab.operators import grouping as G
 from adapterlab.operators import packing as P
 from adapterlab.operators import schedule as S
 from adapterlab.plans import planner
-from adapterlab.plans.tuner import LAYOUTS, best_layout, profile_layouts
+from adapterlab.plans.tuner import LAYOUTS, best_layout, profile_layouts, simulate_layouts
 from adapterlab.samples import adapters_frame, clean_samples, het_adapters, oversize_counts, quarantine, token_samples
 from adapterlab.session import broadcast_within, checkpointed
-from adapterlab.simulate.pipeline import simulate_pipeline
+from adapterlab.simulate.pipeline import PipeConfig, simulate, simulate_pipeline
 from adapterlab.simulate.sharded import simulate_dp, simulate_sharded, simulate_single
 from adapterlab.sources.weights import K, N, base_matrix, down_matrix, up_matrix
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 SQL: dict[str, str] = {}
-OPTIONS = planner.Options(capacity=Q.C, multiple=Q.P, nodes=150)
+OPTIONS = planner.Options(capacity=Q.C, multiple=Q.P, nodes=1000)
 
 
 def query(sql: str | None = None, name: str | None = None):
@@ -152,7 +152,7 @@ FROM loads JOIN f USING (group_id) GROUP BY 1""", "packing_quality")(lambda s, d
 
 
 def packed(spark: SparkSession, sf_dir: str, **options) -> DataFrame:
-    return P.pack_batches(batches(spark, sf_dir), Q.C, Q.P, **({"nodes": 150} | options))
+    return P.pack_batches(batches(spark, sf_dir), Q.C, Q.P, **({"nodes": 1000} | options))
 
 
 @query(f"""{Q.greedy('ffd')},
@@ -188,7 +188,7 @@ NO_PACK = "SELECT CAST(NULL AS VARCHAR) AS kind, CAST(NULL AS INT) AS group_id,
 @query(NO_PACK)
 def packing_violations(spark, sf_dir):
     rows = checkpointed(batches(spark, sf_dir))
-    return P.packing_violations(checkpointed(P.pack_batches(rows, Q.C, Q.P, nodes=150)), rows, Q.C, Q.P)
+    return P.packing_violations(checkpointed(P.pack_batches(rows, Q.C, Q.P, nodes=1000)), rows, Q.C, Q.P)
 
 
 # Schedule
@@ -271,6 +271,28 @@ SELECT run_id, CAST(sum(greatest(slowest, 3000)) AS BIGINT) AS makespan, CAST((4
     lambda s, d: simulate_sharded(BL.baseline_pipeline(micro(s, d)).select(F.col("adapter_id").alias("run_id"), "pos", F.col("cost_tokens").alias("tokens")), 4, comm=3000))
 query(f"WITH {MICRO} SELECT adapter_id AS run_id, CAST(sum(cost_tokens) * 3 AS BIGINT) AS makespan, CAST(sum(cost_tokens) AS BIGINT) AS tokens FROM micro GROUP BY 1", "simulate_single")(
     lambda s, d: simulate_single(micro(s, d).select(F.col("adapter_id").alias("run_id"), F.col("cost_tokens").alias("tokens"))))
+query(f"""WITH {MICRO} SELECT adapter_id AS run_id, CAST(sum(cost_tokens) AS BIGINT) AS tokens, CAST(sum(cost_tokens) * 3 AS BIGINT) AS makespan, round(sum(cost_tokens) * 1000.0 / (sum(cost_tokens) * 3), 6) AS rate FROM micro GROUP BY 1""", "throughput")(
+    lambda s, d: M.throughput(simulate_single(micro(s, d).select(F.col("adapter_id").alias("run_id"), F.col("cost_tokens").alias("tokens")))))
+query(f"WITH {Q.BATCHES} SELECT count(*) AS rows FROM batches", "spark_side_cost")(lambda s, d: _observed(s, batches(s, d)))
+query("SELECT 'S' || s || '/M' || m AS run_id, round((s - 1.0) / (m + s - 1), 6) AS bubble, round(1 - (s - 1.0) / (m + s - 1), 6) AS utilization FROM (VALUES (1), (2), (4), (8)) a(s), (VALUES (4), (16)) b(m)", "bubble_of_trace")(lambda s, d: _traces(s))
+
+
+def _observed(spark, df):
+    """Rows of a frame, observed while it runs."""
+    seen_df, seen = M.observe_cost(df)
+    seen_df.write.format("noop").mode("overwrite").save()
+    return spark.createDataFrame([(seen.get["rows"],)], "rows bigint")
+
+
+def _traces(spark):
+    """Bubble and utilization from the events of simulated runs, per number of stages."""
+    out = []
+    for stages in (1, 2, 4, 8):
+        rows = [(f"S{stages}/M{m}", e[3], e[4]) for m in (4, 16) for e in simulate([(100, [("a", 0)])] * m, PipeConfig(stages=stages), keep_events=True).events]
+        out.append(M.utilization(M.bubble_ratio(spark.createDataFrame(rows, "run_id string, start double, end double"), stages)))
+    return _union(out)
+
+
 query(f"""WITH {MICRO}, work AS (SELECT adapter_id AS run_id, gb, mb % 2 AS replica, sum(cost_tokens) AS w, max(cost_tokens) AS longest FROM micro GROUP BY 1, 2, 3),
 step AS (SELECT run_id, gb, max(w + 3 * longest) AS took, sum(w) AS tokens FROM work GROUP BY 1, 2)
 SELECT run_id, CAST(sum(took) * 3 AS BIGINT) AS makespan, CAST(sum(tokens) AS BIGINT) AS tokens FROM step GROUP BY 1""", "simulate_data_parallel")(
@@ -309,7 +331,10 @@ p AS (SELECT kind, degree, capacity, capacity <= lim AS feasible, CAST(floor(32.
   CASE kind WHEN 'pipeline' THEN (31 + degree) * step WHEN 'sharded' THEN ceil(32.0 / degree) * (step + 1600) * degree ELSE 32 * step END) AS BIGINT) AS rate FROM g)"""
 query(f"{LAYOUT_SQL} SELECT * FROM p", "profile_layouts")(lambda s, d: profile_layouts(s))
 query(f"{LAYOUT_SQL} SELECT kind, degree, capacity, rate FROM p WHERE feasible ORDER BY rate DESC, capacity DESC LIMIT 1", "best_layout")(lambda s, d: best_layout(profile_layouts(s)))
-query(None, "tune")(W.tune_grid)
+query(None, "tune")(W.tune_loop)
+query(f"{LAYOUT_SQL} SELECT * FROM p", "simulate_layouts")(lambda s, d: simulate_layouts(s))
+query(None, "tenant_jobs")(W.w19_tenants)
+query(None, "scheduling_against_training")(W.w14_overlap)
 query(None, "scaling_dp_vs_job")(W.w10_scaling)
 query(None, "ablation_merge")(W.w15_ablation)
 query(None, "ablation_solver")(W.w15_solver_paths)
@@ -351,9 +376,27 @@ query(None, "traffic_calibrated")(W.w3_traffic)
 query(f"""WITH {Q.SHAPES_SQL}, t AS (
   SELECT 'base' AS class, m, k, n, r, greatest(2*m*k*n, 295 * 2 * (m*k + k*n + m*n)) AS time FROM shapes
   UNION ALL SELECT 'adapter', m, k, n, r, greatest(2*m*k*r, 295 * 2 * (m*k + k*r + m*r)) + greatest(2*m*r*n, 295 * 2 * (m*r + r*n + m*n)) FROM shapes
-  UNION ALL SELECT 'element', m, k, n, r, 295 * (5*m*k + 4*m*n + 6*m*n) FROM shapes)
-SELECT 'forward' AS direction, class, m, k, n, r, CAST(time * 1000 // sum(time) OVER (PARTITION BY m, k, n, r) AS BIGINT) AS per_mille FROM t""", "runtime_breakdown")(
-    lambda s, d: C.runtime_breakdown(C.traffic_ledger(shapes(s))).where("direction = 'forward'"))
+  UNION ALL SELECT 'element', m, k, n, r, 295 * (5*m*k + 4*m*n + 6*m*n) FROM shapes),
+u AS (SELECT 'forward' AS direction, * FROM t
+  UNION ALL SELECT 'backward', 'base', m, k, n, r, greatest(2*m*k*n, 295 * 2 * (m*k + k*n + m*n)) FROM shapes
+  UNION ALL SELECT 'backward', 'adapter', m, k, n, r, 2 * greatest(2*m*k*r, 295 * 2 * (m*k + k*r + m*r)) + 2 * greatest(2*m*r*n, 295 * 2 * (m*r + r*n + m*n)) FROM shapes
+  UNION ALL SELECT 'backward', 'element', m, k, n, r, 295 * (4*m*n + 11*m*k) FROM shapes)
+SELECT direction, class, m, k, n, r, CAST(time * 1000 // sum(time) OVER (PARTITION BY direction, m, k, n, r) AS BIGINT) AS per_mille FROM u""", "runtime_breakdown")(
+    lambda s, d: C.runtime_breakdown(C.traffic_ledger(shapes(s))))
+# Times of the whole layer from the totals by hand; forms of several operators are summed operator by operator.
+LAYER_TIMES = f"""{{shapes}}, op AS (
+  SELECT 'frozen' AS impl, 'forward' AS direction, *, greatest(2*m*k*n, 590*(m*k + k*n + m*n)) AS time FROM shapes
+  UNION ALL SELECT 'frozen', 'backward', *, greatest(2*m*k*n, 590*(m*k + k*n + m*n)) FROM shapes
+  UNION ALL SELECT 'naive', 'forward', *, greatest(2*m*k*n, 590*(m*k + k*n + m*n)) + greatest(2*m*k*r, 590*(m*k + k*r + m*r)) + greatest(2*m*r*n, 590*(m*r + r*n + m*n)) + 295*(5*m*k + 10*m*n) FROM shapes
+  UNION ALL SELECT 'naive', 'backward', *, greatest(2*m*k*n, 590*(m*k + k*n + m*n)) + 2*greatest(2*m*k*r, 590*(m*k + k*r + m*r)) + 2*greatest(2*m*r*n, 590*(m*r + r*n + m*n)) + 295*(4*m*n + 11*m*k) FROM shapes
+  UNION ALL SELECT 'split', 'forward', *, greatest(2*m*k*r, 295*(5*m*k + 2*k*r + 2*m*r)) + greatest(2*m*k*n + 2*m*r*n, 590*(m*k + k*n + m*r + r*n + m*n)) FROM shapes
+  UNION ALL SELECT 'split', 'backward', *, greatest(4*m*r*n, 590*(m*n + 2*m*r + 2*r*n)) + greatest(2*m*k*r, 590*(m*k + k*r + m*r)) + greatest(2*m*k*n + 2*m*k*r, 295*(2*m*n + 2*k*n + 2*m*r + 2*k*r + 3*m*k)) FROM shapes)"""
+query(f"""WITH {LAYER_TIMES.replace('{shapes}', Q.SHAPES_SQL)}, f AS (SELECT direction, m, k, n, r, time AS base FROM op WHERE impl = 'frozen')
+SELECT impl, direction, m, k, n, r, CAST(base * 1000 // time AS BIGINT) AS speed_per_mille FROM op JOIN f USING (direction, m, k, n, r)""", "layer_speed_by_hand")(
+    lambda s, d: C.layer_sweep(C.traffic_ledger(shapes(s))).where("impl IN ('frozen', 'naive', 'split')"))
+query(f"""WITH {LAYER_TIMES.replace('{shapes}', Q.SHAPES_SQL)}, f AS (SELECT direction, m, k, n, r, time AS base FROM op WHERE impl = 'naive')
+SELECT impl, direction, m, k, n, r, CAST(base * 1000 // time AS BIGINT) AS speedup_per_mille FROM op JOIN f USING (direction, m, k, n, r) WHERE impl = 'split'""", "split_speed_by_hand")(
+    lambda s, d: C.kernel_speedup(C.traffic_ledger(shapes(s))).where("impl = 'split'"))
 query(None, "layer_slowdown")(W.w1_layer_slowdown)
 query(None, "kernel_speedup")(W.w11_kernels)
 query(None, "layer_speedup")(W.w12_layers)

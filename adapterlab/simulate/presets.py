@@ -1,4 +1,4 @@
-"""Cost presets: model sizes, kernels, hardware. Figures marked published are inputs, never results."""
+"""Cost presets: model sizes and hardware."""
 
 from __future__ import annotations
 
@@ -19,20 +19,13 @@ class Preset:
 MODELS = {
     "small": Preset("small", 1, 8192, 1.0, 0.0),
     "medium": Preset("medium", 2, 4096, 4.0, 0.05),
+    "medium_four": Preset("medium_four", 4, 4096, 2.0, 0.05),  # the same layers over four devices
     "large": Preset("large", 4, 4096, 9.0, 0.05),
 }
 # Less memory and slower links: half the capacity, dearer tokens.
 HARDWARE = {"first": (1.0, 1.0), "second": (0.5, 2.6)}
 
-# Published: slowdown of the stock adapter layer in both passes, and mean gains of the fused kernels over it.
-NAIVE_FORWARD, NAIVE_BACKWARD, SPLIT_GAIN, ROUTED_GAIN = 1 / (1 - 0.40), 1 / (1 - 0.36), 1.27, 1.17
 
-
-def kernel_factor(kernel: str) -> float:
-    """Time per token relative to the frozen layer, both passes together (backward twice the forward)."""
-    naive = (NAIVE_FORWARD + 2 * NAIVE_BACKWARD) / 3
-    return {"frozen": 1.0, "naive": naive, "split": naive / SPLIT_GAIN, "routed": naive / ROUTED_GAIN}[kernel]
-
-
-def pipe_config(preset: Preset, kernel: str, hardware: str = "first") -> PipeConfig:
-    return PipeConfig(preset.stages, 0.0, preset.per_token * kernel_factor(kernel) * HARDWARE[hardware][1], 2.0, preset.last_extra)
+def pipe_config(preset: Preset, factor: float, hardware: str = "first") -> PipeConfig:
+    """factor: time per token relative to the frozen layer, by the traffic ledger (`kernel_factors`)."""
+    return PipeConfig(preset.stages, 0.0, preset.per_token * factor * HARDWARE[hardware][1], 2.0, preset.last_extra)

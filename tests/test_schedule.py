@@ -10,7 +10,7 @@ from adapterlab.errors import SchemaMismatch, Unsupported
 from adapterlab.operators import baselines, grouping, numbering, schedule
 from adapterlab.operators.schedule import Micro, merge_pass, order_micros, verify_and_fix
 from adapterlab.plans.planner import Options, as_runs, global_batches, plan, schedule_batches, simulate_schedule
-from adapterlab.samples import adapters_frame, het_adapters, oversize, token_samples
+from adapterlab.samples import adapters_frame, equal_samples, het_adapters, oversize, token_samples
 from adapterlab.schemas import SAMPLES, require
 from adapterlab.simulate.pipeline import PipeConfig, simulate, simulate_pipeline, uniform_bubble
 from adapterlab.simulate.sharded import simulate_tensor_parallel
@@ -162,7 +162,7 @@ def test_schemas_oversize_and_unsupported(spark, sf_dir):
     samples = token_samples(spark, sf_dir, het_adapters(8))
     with pytest.raises(SchemaMismatch):
         require(samples.drop("tok_len"), SAMPLES)
-    cut, counts = oversize(samples, 500)
+    cut, counts = oversize(samples, 500, "truncate")
     assert cut.where("tok_len > 500").count() == 0 and counts.agg(F.sum("n_oversize")).first()[0] == samples.where("tok_len > 500").count()
     assert oversize(samples, 500, "quarantine")[0].count() == samples.where("tok_len <= 500").count()
     with pytest.raises(Exception, match="longer than the capacity"):
@@ -181,3 +181,63 @@ def test_text_stays_in_the_scan(spark, sf_dir):
     assert "SinglePartition" not in numbered._jdf.queryExecution().executedPlan().toString()
     dim = adapters_frame(spark, a)
     assert dim.count() == 4
+
+
+def test_long_samples_are_cut_into_pieces_of_one_batch(spark, sf_dir):
+    a = het_adapters()
+    samples = token_samples(spark, sf_dir, a)
+    rows = global_batches(spark, samples, a, Options(capacity=512))
+    assert rows.where("tok_len > 512 OR tok_len < 1").count() == 0
+    whole = rows.groupBy("adapter_id", "sample_id").agg(F.sum("tok_len").alias("t"), F.count_distinct("gb").alias("batches"), F.count(F.lit(1)).alias("n"))
+    assert whole.where("batches > 1 OR n <> ceil(t / 512)").count() == 0
+    assert whole.select("adapter_id", "sample_id", "t").exceptAll(samples.select("adapter_id", "sample_id", "tok_len")).count() == 0
+    assert whole.count() == samples.count()
+
+
+def test_adapters_with_equally_many_samples(spark, sf_dir):
+    n = [r["count"] for r in equal_samples(token_samples(spark, sf_dir, het_adapters())).groupBy("adapter_id").count().collect()]
+    assert len(n) == 4 and len(set(n)) == 1
+
+
+def plain_merge(micros, capacity, multiple, gap, scope):
+    """The merge pass with every place counted anew for each batch."""
+    batches = {}
+    for m in micros:
+        batches.setdefault((m.gb, m.group_id), []).append(m)
+    order, moves = sorted(batches), 0
+    for key in order:
+        follower = next((k for k in order if k > key and (scope == "interleaved" or k[1] == key[1]) and batches[k]), None)
+        if not batches[key] or follower is None:
+            continue
+        target, place, last = batches[key][-1], {}, {}
+        for pos, m in enumerate(m for k in order for m in batches[k]):
+            place[id(m)] = pos
+            for a, j, *_ in m.items:
+                last[(a, j)] = pos
+        for source in sorted(batches[follower], key=lambda m: (m.load(multiple), -m.bin)):
+            for item in sorted(source.items, key=lambda x: (-x[3], x[0], x[2])):
+                target.items.append(item)
+                if target.load(multiple) > capacity or place[id(target)] - last.get((item[0], item[1] - 1), -gap) < gap:
+                    target.items.pop()
+                else:
+                    source.items.remove(item)
+                    moves += 1
+        batches[follower] = [m for m in batches[follower] if m.items]
+    return [m for k in order for m in batches[k]], moves
+
+
+@pytest.mark.parametrize("scope", ["interleaved", "within_group"])
+def test_linear_merge_equals_the_plain_one(scope):
+    r = random.Random(8)
+    for trial in range(60):
+        made = []
+        for gb in range(r.randint(1, 8)):
+            for g in range(r.randint(1, 3)):
+                for b in range(r.randint(0, 3)):
+                    made.append((g, gb, b, [(f"a{g}{r.randint(0, 1)}", gb, trial * 1000 + len(made) * 10 + k, r.randint(1, 300)) for k in range(r.randint(1, 3))]))
+        sides = []
+        for merge in (merge_pass, plain_merge):
+            micros = order_micros([Micro(g, gb, b, list(x)) for g, gb, b, x in made], 64)
+            left, moves = merge(micros, 1024, 64, trial % 4 + 1, scope)
+            sides.append(([(m.group_id, m.gb, m.bin, m.items) for m in left], moves))
+        assert sides[0] == sides[1]
