@@ -106,6 +106,6 @@ def texts(column, step: int = 256):
 
 
 def with_small_batches(df: DataFrame) -> DataFrame:
-    """The same frame; its session sends texts to Python in Arrow batches of 16 MB at most, however long they are."""
-    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", "16m")
+    """The same frame; its session sends texts to Python in Arrow batches of 8 MB at most, however long they are."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", "8m")
     return df

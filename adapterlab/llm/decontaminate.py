@@ -29,7 +29,7 @@ WINDOW, SIMILARITY = 5, 0.8
 MIN_WORDS = 2  # words that are no placeholders, in a window
 FEW = 5  # items with fewer windows are found by their exact words as well
 BITS = 22  # of a window's hash, for the bit set of the benchmark's windows
-CHUNK = 1 << 20  # characters of documents coded at once, beside the text that crosses it
+CHUNK = 1 << 17  # characters of documents coded at once, beside the text that crosses it
 ITEMS = 4096  # items a task keeps ready
 
 # Unit words and number words.
@@ -57,7 +57,7 @@ WORD, NUM, NAME, UNIT = 0, 1, 2, 3
 class Codes(dict):
     """Word -> code, made once for each distinct word; emptied when it grows large."""
 
-    LIMIT = 250_000
+    LIMIT = 120_000
 
     def __missing__(self, word: str) -> int:
         if len(self) >= self.LIMIT:
