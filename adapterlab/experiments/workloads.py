@@ -257,12 +257,12 @@ def w16_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rates.join(speedup_table(rates.select("workload", "method", "rate"), "1_sequential"), ["workload", "method"]).join(F.broadcast(bars), "method")
 
 
-def w17_budgets(spark: SparkSession, sf_dir: str) -> DataFrame:
+def w17_budgets(spark: SparkSession, sf_dir: str, budgets: tuple[int, ...] = (0, 1000, 10_000)) -> DataFrame:
     """Node budgets: fill of the smallest microbatch and share of batches solved exactly."""
     a = het_adapters()
     batches = checkpointed(global_batches(spark, token_samples(spark, sf_dir, a), a, FAST))
     out = None
-    for nodes in (0, 1000, 10_000, 100_000):
+    for nodes in budgets:
         items = checkpointed(pack_batches(batches, FAST.capacity, FAST.multiple, nodes=nodes))
         fill = packing_quality(bin_loads(items, FAST.multiple), FAST.capacity).agg(F.sum("microbatches").alias("microbatches"), F.expr("sum(smallest_fill) div count(1)").alias("smallest_fill"))
         share = items.select("group_id", "gb", "solver_path").distinct().agg(F.expr("count_if(solver_path = 'exact') * 1000 div count(1)").alias("exact_per_mille"))

@@ -340,6 +340,7 @@ query(None, "ablation_merge")(W.w15_ablation)
 query(None, "ablation_solver")(W.w15_solver_paths)
 query(None, "breakdown_six")(W.w16_breakdown)
 query(None, "budgets")(W.w17_budgets)
+query(None, "budgets_large")(lambda s, d: W.w17_budgets(s, d, (100_000,)))
 query(None, "second_hardware")(W.w9_second_hardware)
 query(None, "hyperparameter_jobs")(W.w19_tuning_jobs)
 query(None, "scheduling_time")(W.w14_fit)
