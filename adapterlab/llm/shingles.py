@@ -5,7 +5,7 @@ from fingerprints by multi-index hashing (`simhash.near_links`), and from shingl
 more bits than any index of fingerprints can afford:
 
 * Under any fixed order of the shingles, similar sets share one of their first fifths; common shingles, told from a
-  sample, come last in it. Texts that share one of their very first shingles meet a few others of that bucket each, which
+  fixed share of the texts, come last in it. Texts that share one of their very first shingles meet a few others of that bucket each, which
   ties large groups together before anything is compared pair by pair.
 * Then the first fifths are dealt by shingle, and texts of different groups meet there, first a few others each, at last
   all. Buckets of one group are left out, large ones are cut into cells that meet two by two.
@@ -28,7 +28,7 @@ from adapterlab.llm.simhash import SEED, components, majority, near_links, shing
 
 WORDS = 5
 OF, IN = 4, 5  # the similarity as a fraction, so that all bounds are exact
-SAMPLE, COMMON = 4000, 50_000  # texts whose shingles are counted, shingles that come last; both only steer the order
+SHARE, COMMON = 8, 200_000  # one text in so many has its shingles counted, shingles that come last; both only steer the order
 FIRST, SHIFTS = 4, (1, 2, 4, 8, 16, 32)  # shingles of a text that tie groups, distances of the texts it meets in a bucket
 CELL = 4096  # rows of a bucket that meet in one place
 DIGEST = "__near_digest"
@@ -283,8 +283,7 @@ def similar_texts(documents: DataFrame, words: int = WORDS) -> DataFrame:
     spark = documents.sparkSession
     with tables(spark) as written:
         nodes = written(_nodes(documents))
-        every = max(1, nodes.count() // SAMPLE)
-        sample = nodes.where(F.pmod(F.xxhash64("digest"), F.lit(every)) == 0)
+        sample = nodes.where(F.pmod(F.xxhash64("digest"), F.lit(SHARE)) == 0)
         marks = written(_marks(_texts_of(documents, nodes), _common(_texts_of(documents, sample), words), words))
         marks = marks.dropDuplicates(["node"]) if nodes.where("copies > 1").take(1) else marks
         wordless = marks.where("n = 0").select("node")
