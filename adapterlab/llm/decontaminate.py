@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import broadcast_within, checkpointed, tables, texts, with_small_batches
+from adapterlab.llm.common import broadcast_within, checkpointed, tables, texts, tidied, with_small_batches
 
 WINDOW, SIMILARITY = 5, 0.8
 MIN_WORDS = 2  # words that are no placeholders, in a window
@@ -393,7 +393,7 @@ def _hits(documents: DataFrame, bits, width: int) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([batch.column(DIGEST).take(pa.array(row + pairs[:, 0].astype(np.int64))), pa.array(pairs[:, 1].copy().view(np.int64))], names=[DIGEST, "window"])
                 row += len(some)
 
-    return with_small_batches(documents).select(_digest(), "text").mapInArrow(run, f"{DIGEST} binary, window long").distinct()
+    return with_small_batches(documents).select(_digest(), "text").mapInArrow(tidied(run), f"{DIGEST} binary, window long").distinct()
 
 
 def _compare(width: int, similarity: float):

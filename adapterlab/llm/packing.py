@@ -12,6 +12,7 @@ import json
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -20,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from adapterlab.llm.common import checkpointed, texts, with_small_batches
+from adapterlab.llm.common import checkpointed, texts, tidied, with_small_batches
 
 CAPACITY = 1024
 END_ID = 2
@@ -39,9 +40,8 @@ class ByteBpe:
     def __init__(self, path: str):
         import regex
         import tiktoken
-        from tokenizers import Tokenizer
 
-        self.slow = Tokenizer.from_file(path)
+        self.path = path
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         specials = [t["content"] for t in spec.get("added_tokens", [])]
@@ -51,6 +51,13 @@ class ByteBpe:
         self.fast = tiktoken.Encoding("bytes", pat_str=self.PATTERN, mergeable_ranks=ranks, special_tokens={})
         self.odd = regex.compile("|".join([r"[^\t\n\r\x20-\x7e¡-ſ‐-‧]", *map(regex.escape, specials)]))
 
+    @cached_property
+    def slow(self):
+        """Loaded for the first odd text; most tasks have none."""
+        from tokenizers import Tokenizer
+
+        return Tokenizer.from_file(self.path)
+
     def __call__(self, text: str) -> np.ndarray:
         if self.odd.search(text):
             return np.array(self.slow.encode(text, add_special_tokens=False).ids, "<u4")
@@ -84,7 +91,7 @@ def tokenize(documents: DataFrame, tokenizer_path: str, capacity: int = CAPACITY
             yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", *names])
 
     rows = with_small_batches(documents).select(F.col("doc_id").cast("long"), "text")
-    pieces = rows.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long, part int, k long, ids binary")
+    pieces = rows.mapInArrow(tidied(run), "doc_id long, piece int, start long, length long, ids_crc32 long, part int, k long, ids binary")
     return pieces if keep_ids else pieces.drop("ids")
 
 

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import broadcast_within, checkpointed, tables, texts, with_small_batches
+from adapterlab.llm.common import broadcast_within, checkpointed, tables, texts, tidied, with_small_batches
 from adapterlab.llm.simhash import SEED, components, majority, near_links, shingle_hashes
 
 WORDS = 5
@@ -121,7 +121,7 @@ def _marks(found: DataFrame, common: np.ndarray, words: int) -> DataFrame:
             arrays = [batch.column("node"), pa.array(n, pa.int32()), pa.array(np.array(bits, np.uint64).view(np.int64)), pa.array(profiles, pa.binary()), pa.array(tokens, pa.binary())]
             yield pa.RecordBatch.from_arrays(arrays, names=["node", "n", "bits", "profile", "tokens"])
 
-    return found.mapInArrow(run, "node long, n int, bits long, profile binary, tokens binary")
+    return found.mapInArrow(tidied(run), "node long, n int, bits long, profile binary, tokens binary")
 
 
 def _entries(marks: DataFrame, most: int | None = None) -> DataFrame:
@@ -271,7 +271,7 @@ def _decided(pairs: DataFrame, marks: DataFrame, documents: DataFrame, nodes: Da
             sets = [shingles(t, words).tobytes() for t in texts(batch.column("text"))]
             yield pa.RecordBatch.from_arrays([batch.column("node"), pa.array(sets, pa.binary())], names=["node", "shingles"])
 
-    sets = written(_texts_of(documents, checkpointed(wanted)).mapInArrow(run, "node long, shingles binary"))
+    sets = written(_texts_of(documents, checkpointed(wanted)).mapInArrow(tidied(run), "node long, shingles binary"))
     return written(_that(_both(likely, sets, "shingles"), "<u8", similar).distinct())
 
 
