@@ -31,6 +31,7 @@ OF, IN = 4, 5  # the similarity as a fraction, so that all bounds are exact
 SHARE, COMMON = 8, 200_000  # one text in so many has its shingles counted, shingles that come last; both only steer the order
 FIRST, SHIFTS = 4, (1, 2, 4, 8, 16, 32)  # shingles of a text that tie groups, distances of the texts it meets in a bucket
 CELL = 4096  # rows of a bucket that meet in one place
+BITS = 26  # of a shingle's hash, for the bit set of the shingles that several groups have
 DIGEST = "__near_digest"
 
 
@@ -124,10 +125,20 @@ def _marks(found: DataFrame, common: np.ndarray, words: int) -> DataFrame:
     return found.mapInArrow(tidied(run), "node long, n int, bits long, profile binary, tokens binary")
 
 
-def _entries(marks: DataFrame, most: int | None = None) -> DataFrame:
-    """(token, node, n, pos, root): a row for each of the first shingles, or `most` of them."""
+def _bit_set(tokens: DataFrame) -> bytes:
+    """One bit for each value of the first BITS bits of a token; 2 ** (BITS - 6) words at most come to the driver."""
+    slots = tokens.select(F.shiftrightunsigned("m_token", 64 - BITS).alias("slot"))
+    words = slots.groupBy(F.shiftright("slot", 6).alias("word")).agg(F.expr("bit_or(shiftleft(1L, cast(slot & 63 as int)))").alias("bits")).toPandas()
+    seen = np.zeros(1 << (BITS - 6), np.int64)
+    seen[words["word"].to_numpy(np.int64)] = words["bits"].to_numpy(np.int64)
+    return seen.tobytes()
+
+
+def _entries(marks: DataFrame, most: int | None = None, bits=None) -> DataFrame:
+    """(token, node, n, pos, root): a row for each of the first shingles, or `most` of them, whose bit is set if `bits` are given."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen = None if bits is None else np.frombuffer(bits.value, "<u8")
         for batch in batches:
             for i in range(0, batch.num_rows, 1024):
                 some = batch.slice(i, 1024)
@@ -135,6 +146,10 @@ def _entries(marks: DataFrame, most: int | None = None) -> DataFrame:
                 m = np.fromiter(map(len, sets), np.int64, len(sets))
                 pos = np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m)
                 arrays = [np.concatenate(sets), np.repeat(some.column("node").to_numpy(), m), np.repeat(some.column("n").to_numpy(), m), pos.astype(np.int32), np.repeat(some.column("root").to_numpy(), m)]
+                if seen is not None:
+                    slot = arrays[0].view(np.uint64) >> np.uint64(64 - BITS)
+                    keep = (seen[slot >> np.uint64(6)] >> (slot & np.uint64(63)) & np.uint64(1)).astype(bool)
+                    arrays = [a[keep] for a in arrays]
                 yield pa.RecordBatch.from_arrays([pa.array(a) for a in arrays], names=["token", "node", "n", "pos", "root"])
 
     return marks.where("n > 0").select("node", "n", "tokens", "root").mapInArrow(run, "token long, node long, n int, pos int, root long")
@@ -185,10 +200,13 @@ def _rooted(rows: DataFrame, roots: DataFrame) -> DataFrame:
     return joined.withColumn("root", F.coalesce("r_root", "node")).drop("r_node", "r_root")
 
 
-def _mixed(rooted: DataFrame, written) -> DataFrame:
-    """The rows of buckets that hold several groups."""
-    mixed = written(rooted.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select(F.col("token").alias("m_token")))
-    return written(rooted.join(broadcast_within(mixed), F.col("token") == F.col("m_token")).drop("m_token"))
+def _shared(rooted: DataFrame) -> DataFrame:
+    """(m_token) of the buckets that hold several groups."""
+    return rooted.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select(F.col("token").alias("m_token"))
+
+
+def _within(rooted: DataFrame, tokens: DataFrame) -> DataFrame:
+    return rooted.join(broadcast_within(tokens), F.col("token") == F.col("m_token")).drop("m_token")
 
 
 def _across(mixed: DataFrame) -> DataFrame:
@@ -294,9 +312,13 @@ def similar_texts(documents: DataFrame, words: int = WORDS) -> DataFrame:
         decided = lambda pairs: _decided(pairs, marks, documents, nodes, words, written)
         alone = _entries(marks.withColumn("root", F.col("node")), FIRST)
         tied = decided(close.unionByName(_neighbours(alone)).distinct()).unionByName(links)
-        mixed = _mixed(_entries(_rooted(marks, components(tied))), written)
+        rooted = _rooted(marks, components(tied))
+        shared = written(_shared(_entries(rooted)))
+        bits = spark.sparkContext.broadcast(_bit_set(shared))  # most shingles are one text's own and need no exchange
+        mixed = written(_within(_entries(rooted, bits=bits), shared))
         tied = tied.unionByName(decided(_neighbours(mixed)))
-        mixed = _mixed(_rooted(mixed, components(tied)), written)
+        rooted = _rooted(mixed, components(tied))
+        mixed = written(_within(rooted, written(_shared(rooted))))
         roots = components(tied.unionByName(decided(_across(mixed))))
         return checkpointed(
             nodes.join(roots.withColumnRenamed("node", "r_node"), F.col("node") == F.col("r_node"), "left").select(
