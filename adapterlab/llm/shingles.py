@@ -7,8 +7,9 @@ more bits than any index of fingerprints can afford:
 * Under any fixed order of the shingles, similar sets share one of their first fifths; common shingles, told from a
   fixed share of the texts, come last in it. Texts that share one of their very first shingles meet a few others of that bucket each, which
   ties large groups together before anything is compared pair by pair.
-* Then the first fifths are dealt by shingle, and texts of different groups meet there, first a few others each, at last
-  all. Buckets of one group are left out, large ones are cut into cells that meet two by two.
+* Then the first fifths are dealt by shingle, and texts of different groups meet there, at first the one
+  with fewest edits, then a few, at last all. Groups are told anew after each, so that few pairs tie a large one. Buckets of one
+  group are left out, large ones are cut into cells that meet two by two.
 
 Each pair is decided on whole sets; counts of the shingles by ranges of hashes, an upper bound, spare most of the others.
 The nodes of the graph are distinct texts, so rows that share a doc_id but not the text are different documents.
@@ -164,10 +165,20 @@ def _pairs(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
 
 
+def _hubs(rows: DataFrame) -> DataFrame:
+    """Distinct (a, b), a < b: each text with the first of its bucket."""
+    return _met(rows, ())
+
+
 def _neighbours(rows: DataFrame) -> DataFrame:
+    return _met(rows, SHIFTS)
+
+
+def _met(rows: DataFrame, shifts: tuple[int, ...]) -> DataFrame:
     """Distinct (a, b), a < b: each text with the first of its bucket and with a few before it, of other groups than its own.
 
-    Buckets of any size stream, in an order of their own; what they miss is left to the last step.
+    shifts: which before it. Where a shingle comes early, few of the text's own stand before it: such a text is near the
+    middle of its group, so it comes first in the bucket. Buckets of any size stream; what they miss is left to the last step.
     """
     columns = ["token", "node", "n", "root"]
 
@@ -180,16 +191,16 @@ def _neighbours(rows: DataFrame) -> DataFrame:
                 continue
             at = np.arange(fresh, len(token))
             head = np.maximum.accumulate(np.where(np.concatenate([[True], token[1:] != token[:-1]]), np.arange(len(token)), 0))
-            i, j = (np.concatenate(x) for x in zip((head[at], at), *((at - k, at) for k in SHIFTS)))
+            i, j = (np.concatenate(x) for x in zip((head[at], at), *((at - k, at) for k in shifts)))
             keep = (i >= 0) & (i < j)
             i, j = i[keep], j[keep]
             keep = (token[i] == token[j]) & (root[i] != root[j]) & _alike_in_size(n, i, j)
             if keep.any():
                 yield _pairs(node[i[keep]], node[j[keep]])
-            last = np.unique(np.concatenate([[head[-1]], np.arange(max(head[-1], len(token) - max(SHIFTS)), len(token))]))
+            last = np.unique(np.concatenate([[head[-1]], np.arange(max(head[-1], len(token) - max(shifts, default=0)), len(token))]))
             held = [token[last], node[last], n[last], root[last]]
 
-    dealt = rows.select(*columns, F.xxhash64("node", "token").alias("h")).repartitionByRange("token", "h").sortWithinPartitions("token", "h")
+    dealt = rows.select(*columns, "pos", F.xxhash64("node", "token").alias("h")).repartitionByRange("token", "pos", "h").sortWithinPartitions("token", "pos", "h")
     return dealt.select(*columns).mapInArrow(run, "a long, b long").distinct()
 
 
@@ -316,9 +327,10 @@ def similar_texts(documents: DataFrame, words: int = WORDS) -> DataFrame:
         shared = written(_shared(_entries(rooted)))
         bits = spark.sparkContext.broadcast(_bit_set(shared))  # most shingles are one text's own and need no exchange
         mixed = written(_within(_entries(rooted, bits=bits), shared))
-        tied = tied.unionByName(decided(_neighbours(mixed)))
-        rooted = _rooted(mixed, components(tied))
-        mixed = written(_within(rooted, written(_shared(rooted))))
+        for meet in (_hubs, _neighbours):  # the second for what the first left apart
+            tied = tied.unionByName(decided(meet(mixed)))
+            rooted = _rooted(mixed, components(tied))
+            mixed = written(_within(rooted, written(_shared(rooted))))
         roots = components(tied.unionByName(decided(_across(mixed))))
         return checkpointed(
             nodes.join(roots.withColumnRenamed("node", "r_node"), F.col("node") == F.col("r_node"), "left").select(

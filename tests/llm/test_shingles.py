@@ -93,3 +93,30 @@ def test_range_counts_never_reject_similar_sets():
         a, b = (np.unique(np.array([r.getrandbits(64) for _ in range(k)], np.uint64)) for k in (n, m))
         assert not shingles.may_be_similar(shingles.profile(a), shingles.profile(b))
     assert not len(shingles.profile(np.arange(300, dtype=np.uint64)))
+
+
+def test_a_large_group_of_near_copies_is_tied_by_few_pairs(spark, monkeypatch):
+    """Copies with up to a quarter of the edits that part them from each other, not from the text they come from."""
+    r = random.Random(5)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(5))
+    base, rows = [word() for _ in range(150)], []
+    for i in range(300):
+        t = list(base)
+        for at in r.sample(range(150), i % 6):
+            t[at] = word()
+        rows.append((i, " ".join(t)))
+    met = []
+    decided = shingles._both
+    monkeypatch.setattr(shingles, "_both", lambda pairs, of, column: met.append(pairs.count()) or decided(pairs, of, column))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    left = corpus_pipeline.near_duplicates(spark, docs, "").collect()
+    assert sorted((x.doc_id, x.text) for x in left) == sorted(set(brute(rows).values()))
+    assert sum(met) < 6000, met
+
+
+def test_the_last_step_alone_gives_the_same_groups(spark, monkeypatch):
+    rows = rows_of(6)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    monkeypatch.setattr(shingles, "_met", lambda rows, shifts: rows.select("node", "node").toDF("a", "b").where("a < b"))
+    kept = sorted((x.doc_id, x.text or "") for x in shingles.keep_one_of_similar(docs).collect())
+    assert kept == sorted(set(brute(rows).values()))
