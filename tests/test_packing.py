@@ -115,3 +115,11 @@ def test_report_of_broken_packings(spark):
     bad = spark.createDataFrame([(0, 0, 0, "a", 1, 5), (0, 0, 0, "a", 1, 5), (0, 0, 2, "a", 3, 11)], schema)
     kinds = {r.kind for r in P.packing_violations(bad, batches, 10, 1).collect()}
     assert kinds == {"repeated", "lost", "invented", "overfull", "hole"}
+
+
+def test_the_search_takes_batches_of_many_samples():
+    """A batch of long samples has thousands of pieces, more than calls can be nested."""
+    items = [("a", i, 100) for i in range(1500)] + [("b", 5000 + i, 30) for i in range(900)]
+    found = P.pack_batch(items, 128, 1, nodes=20_000)
+    assert sorted(x for b in found.bins for x in b.items) == sorted(items)
+    assert all(b.load <= 128 for b in found.bins) and found.nodes <= 20_002  # each stage notes the node it no longer visits
