@@ -16,7 +16,7 @@ from adapterlab.functions.tokens import padded
 from adapterlab.operators.grouping import spacing_violations
 from adapterlab.operators.numbering import rank_within, running
 from adapterlab.operators.packing import Bin
-from adapterlab.session import checkpointed
+from adapterlab.session import checkpointed, spread
 from adapterlab.simulate.pipeline import PipeConfig, simulate
 
 ROWS = "segment bigint, slot bigint, group_id int, gb bigint, bin int, adapter_id string, batch bigint, sample_id bigint, tok_len bigint, is_noop boolean, merged bigint"
@@ -148,7 +148,8 @@ def build_schedule(items: DataFrame, capacity: int, multiple: int, stages: int =
         return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), KINDS)], names=NAMES)
 
     part = F.lit(0).cast("bigint") if segment is None else F.floor(F.col("gb") / segment).cast("bigint")
-    walked = items.select("group_id", "gb", "bin", "adapter_id", "sample_id", "tok_len", part.alias("segment")).groupBy("segment").applyInArrow(run, ROWS)
+    walked = items.select("group_id", "gb", "bin", "adapter_id", "sample_id", "tok_len", part.alias("segment"))
+    walked = spread(walked, "segment").groupBy("segment").applyInArrow(run, ROWS)
     return with_positions(walked)
 
 

@@ -123,3 +123,12 @@ def test_the_search_takes_batches_of_many_samples():
     found = P.pack_batch(items, 128, 1, nodes=20_000)
     assert sorted(x for b in found.bins for x in b.items) == sorted(items)
     assert all(b.load <= 128 for b in found.bins) and found.nodes <= 20_002  # each stage notes the node it no longer visits
+
+
+def test_small_batches_are_packed_in_several_tasks(spark):
+    from pyspark.sql import functions as F
+
+    rows = [(0, j, i, "a", 10 * j + i, 100 + i) for j in range(40) for i in range(4)]
+    batches = spark.createDataFrame(rows, "group_id int, gb bigint, rn bigint, adapter_id string, sample_id bigint, tok_len bigint")
+    packed = P.pack_batches(batches, 256, 64, nodes=10)
+    assert packed.select(F.spark_partition_id().alias("p")).distinct().count() > 2
