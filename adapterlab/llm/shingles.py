@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adapterlab.llm.common import broadcast_within, checkpointed, tables, texts, tidied, with_small_batches
+from adapterlab.llm.common import broadcast_within, checkpointed, let_go, tables, texts, tidied, with_small_batches
 from adapterlab.llm.simhash import SEED, components, majority, near_links, shingle_hashes
 
 WORDS = 5
@@ -170,6 +170,16 @@ def _hubs(rows: DataFrame) -> DataFrame:
     return _met(rows, ())
 
 
+def _first_met(rows: DataFrame) -> DataFrame:
+    """Each text with the one first text of its whole bucket, in however many places the bucket lies."""
+    first = F.min(F.struct("pos", F.xxhash64("node").alias("h"), "node", "n", "root")).alias("first")
+    firsts = rows.groupBy("token").agg(first, F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi")
+    firsts = firsts.select(F.col("token").alias("f_token"), *[F.col(f"first.{c}").alias(f"f_{c}") for c in ("node", "n", "root")])
+    met = rows.join(broadcast_within(checkpointed(firsts)), F.col("token") == F.col("f_token"))
+    met = met.where((F.col("root") != F.col("f_root")) & (IN * F.least("n", "f_n") >= OF * F.greatest("n", "f_n")))
+    return met.select(F.least("node", "f_node").alias("a"), F.greatest("node", "f_node").alias("b")).distinct()
+
+
 def _neighbours(rows: DataFrame) -> DataFrame:
     return _met(rows, SHIFTS)
 
@@ -180,6 +190,8 @@ def _met(rows: DataFrame, shifts: tuple[int, ...]) -> DataFrame:
     shifts: which before it. Where a shingle comes early, few of the text's own stand before it: such a text is near the
     middle of its group, so it comes first in the bucket. Buckets of any size stream; what they miss is left to the last step.
     """
+    if not shifts:
+        return _first_met(rows)
     columns = ["token", "node", "n", "root"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -301,7 +313,9 @@ def _decided(pairs: DataFrame, marks: DataFrame, documents: DataFrame, nodes: Da
             yield pa.RecordBatch.from_arrays([batch.column("node"), pa.array(sets, pa.binary())], names=["node", "shingles"])
 
     sets = written(_texts_of(documents, checkpointed(wanted)).mapInArrow(tidied(run), "node long, shingles binary"))
-    return written(_that(_both(likely, sets, "shingles"), "<u8", similar).distinct())
+    good = written(_that(_both(likely, sets, "shingles"), "<u8", similar).distinct())
+    let_go(documents.sparkSession)
+    return good
 
 
 def similar_texts(documents: DataFrame, words: int = WORDS) -> DataFrame:
@@ -322,7 +336,7 @@ def similar_texts(documents: DataFrame, words: int = WORDS) -> DataFrame:
         close = near_links(checkpointed(prints)).unionByName(same.select(F.least("rep", "node").alias("a"), F.greatest("rep", "node").alias("b")))
         decided = lambda pairs: _decided(pairs, marks, documents, nodes, words, written)
         alone = _entries(marks.withColumn("root", F.col("node")), FIRST)
-        tied = decided(close.unionByName(_neighbours(alone)).distinct()).unionByName(links)
+        tied = decided(close.unionByName(_hubs(alone)).distinct()).unionByName(links)
         rooted = _rooted(marks, components(tied))
         shared = written(_shared(_entries(rooted)))
         bits = spark.sparkContext.broadcast(_bit_set(shared))  # most shingles are one text's own and need no exchange
@@ -330,6 +344,7 @@ def similar_texts(documents: DataFrame, words: int = WORDS) -> DataFrame:
         for meet in (_hubs, _neighbours):  # the second for what the first left apart
             tied = tied.unionByName(decided(meet(mixed)))
             rooted = _rooted(mixed, components(tied))
+            let_go(spark)
             mixed = written(_within(rooted, written(_shared(rooted))))
         roots = components(tied.unionByName(decided(_across(mixed))))
         return checkpointed(

@@ -120,3 +120,17 @@ def test_the_last_step_alone_gives_the_same_groups(spark, monkeypatch):
     monkeypatch.setattr(shingles, "_met", lambda rows, shifts: rows.select("node", "node").toDF("a", "b").where("a < b"))
     kept = sorted((x.doc_id, x.text or "") for x in shingles.keep_one_of_similar(docs).collect())
     assert kept == sorted(set(brute(rows).values()))
+
+
+def test_a_bucket_in_many_partitions_has_one_first_text(spark):
+    """Each text meets the same one, however the rows are dealt; a first text for each partition leaves the group in parts."""
+    rows = spark.createDataFrame([(1, i, 100, i // 8, i) for i in range(400)], "token long, node long, n int, pos int, root long")
+    kept = {k: spark.conf.get(k) for k in ("spark.sql.shuffle.partitions", "spark.sql.adaptive.coalescePartitions.enabled")}
+    try:
+        for k, v in zip(kept, ("16", "false")):
+            spark.conf.set(k, v)
+        pairs = [tuple(x) for x in shingles._hubs(rows).collect()]
+    finally:
+        for k, v in kept.items():
+            spark.conf.set(k, v)
+    assert len(pairs) == 399 and len(set.intersection(*map(set, pairs))) == 1
