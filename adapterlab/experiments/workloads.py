@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from adapterlab.algebra.bank import default_bank, with_gradient, x_rows
 from adapterlab.algebra.layers import agreement, naive_backward, naive_forward, routed_backward, routed_forward
-from adapterlab.cost.ledger import kernel_factors, kernel_speedup, layer_sweep, runtime_breakdown, shapes_frame, traffic_ledger, traffic_ratio
+from adapterlab.cost.ledger import kernel_factors, kernel_speedup, layer_sweep, layers_of, runtime_breakdown, shapes_frame, traffic_ledger, traffic_ratio
 from adapterlab.cost.measures import ideal_gap, overlap, packing_quality, speedup_table, tuning_fit
 from adapterlab.operators.baselines import as_runs as baseline_runs
 from adapterlab.operators.baselines import baseline_pipeline, baseline_uniform_fill, fixed_microbatches
@@ -19,7 +19,7 @@ from adapterlab.operators.packing import bin_loads, pack_batches, solver_report
 from adapterlab.operators.schedule import build_schedule, schedule_counts
 from adapterlab.plans.planner import Options, as_runs, global_batches, schedule_batches, simulate_schedule
 from adapterlab.plans.tuner import scaling_study, tune
-from adapterlab.samples import Adapter, dataset_lengths, equal_samples, het_adapters, homogeneous_adapters, token_samples
+from adapterlab.samples import Adapter, dataset_lengths, equal_samples, het_adapters, homogeneous_adapters, layer_rows, token_samples
 from adapterlab.session import checkpointed
 from adapterlab.simulate.pipeline import PipeConfig, simulate_pipeline
 from adapterlab.simulate.presets import HARDWARE, MODELS, pipe_config
