@@ -6,7 +6,7 @@ import __spark_entry__
 
 from adapterlab.samples import order_microbatches
 
-READ = {n: "lineitem" for n in ("best_layout",)}
+READ = {n: "lineitem" for n in ("best_layout", "bubble_of_trace",)}
 
 
 @pytest.mark.parametrize("name", sorted(READ))
