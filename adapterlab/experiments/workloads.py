@@ -154,7 +154,7 @@ def w10_scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w11_kernels(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return kernel_speedup(traffic_ledger(shapes_frame(spark, [(m, 4096, 4096, 16) for m in (2048, 4096, 8192, 16384)])))
+    return kernel_speedup(traffic_ledger(layers_of(layer_rows(spark, sf_dir), [(4096, 4096, 16)])))
 
 
 def w12_layers(spark: SparkSession, sf_dir: str) -> DataFrame:
