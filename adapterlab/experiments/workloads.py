@@ -32,7 +32,8 @@ LAYERS = [(8192, 4096, 4096, 16), (8192, 4096, 14336, 16), (8192, 14336, 4096, 1
 
 
 def w1_layer_slowdown(spark: SparkSession, sf_dir: str) -> DataFrame:
-    shapes = shapes_frame(spark, [(m, 4096, 4096, r) for m in (1024, 2048, 4096, 8192, 16384) for r in (16, 32)])
+    """Rows of the layer: padded lengths of the orders' microbatches."""
+    shapes = layers_of(layer_rows(spark, sf_dir), [(4096, 4096, r) for r in (16, 32)])
     return layer_sweep(traffic_ledger(shapes)).where("impl IN ('naive', 'compiled', 'split', 'routed')")
 
 
