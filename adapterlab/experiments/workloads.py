@@ -159,7 +159,7 @@ def w11_kernels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w12_layers(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return kernel_speedup(traffic_ledger(shapes_frame(spark, LAYERS))).where("impl IN ('split', 'routed')")
+    return kernel_speedup(traffic_ledger(layers_of(layer_rows(spark, sf_dir), [x[1:] for x in LAYERS]))).where("impl IN ('split', 'routed')")
 
 
 def w13_bubbles(spark: SparkSession, sf_dir: str) -> DataFrame:
