@@ -6,7 +6,7 @@ import __spark_entry__
 
 from adapterlab.samples import order_microbatches
 
-READ = {n: "lineitem" for n in ("best_layout", "bubble_of_trace", "bubble_uniform", "intensity", "kernel_speedup", "layer_slowdown", "layer_speed_by_hand", "layer_speedup",)} | {"launches": "orders"}
+READ = {n: "lineitem" for n in ("best_layout", "bubble_of_trace", "bubble_uniform", "intensity", "kernel_speedup", "layer_slowdown", "layer_speed_by_hand", "layer_speedup", "op_grid_join")} | {"launches": "orders"}
 
 
 @pytest.mark.parametrize("name", sorted(READ))
