@@ -8,20 +8,18 @@ from __future__ import annotations
 
 from collections import defaultdict
 
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from adapterlab.functions.tokens import padded
+from adapterlab.jvm import kernel, whole
 from adapterlab.operators.grouping import spacing_violations
 from adapterlab.operators.numbering import rank_within, running
 from adapterlab.operators.packing import Bin
 from adapterlab.session import checkpointed, spread
-from adapterlab.simulate.pipeline import PipeConfig, simulate
 
 ROWS = "segment bigint, slot bigint, group_id int, gb bigint, bin int, adapter_id string, batch bigint, sample_id bigint, tok_len bigint, is_noop boolean, merged bigint"
 NAMES = [c.split()[0] for c in ROWS.split(", ")]
-KINDS = [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.int64()]
 
 
 class Micro:
@@ -122,34 +120,13 @@ def build_schedule(items: DataFrame, capacity: int, multiple: int, stages: int =
     """
     spacing = max(0, stages - 1) if gap is None else gap
 
-    def run(table: pa.Table) -> pa.Table:
-        grouped: dict[tuple, list] = defaultdict(list)
-        cols = [table.column(c).to_pylist() for c in ("group_id", "gb", "bin", "adapter_id", "sample_id", "tok_len")]
-        for g, j, b, a, s, n in zip(*cols):
-            grouped[(g, j, b)].append((a, j, s, n))
-        micros = order_micros([Micro(g, j, b, sorted(x)) for (g, j, b), x in grouped.items()], multiple)
-        plain = verify_and_fix([Micro(m.group_id, m.gb, m.bin, list(m.items)) for m in micros], spacing)
-        best, moves = plain, 0
-        if merge:
-            left, moves = merge_pass([Micro(m.group_id, m.gb, m.bin, list(m.items)) for m in micros], capacity, multiple, spacing, scope)
-            best = verify_and_fix(left, spacing)
-            if guard and moves:
-                cost = lambda ms: simulate([(m.load(multiple), [(a, j) for a, j, *_ in m.items]) for m in ms], PipeConfig(stages=stages)).makespan
-                if cost(best) > cost(plain):
-                    best, moves = plain, 0
-        seg = table.column("segment")[0].as_py()
-        if segment is not None and spacing > 1:
-            best = best + [Micro(-1, micros[-1].gb, -1, [], True) for _ in range(spacing - 1)]
-        rows = []
-        for slot, m in enumerate(best):
-            if m.noop:
-                rows.append((seg, slot, m.group_id, m.gb, m.bin, None, None, None, 0, True, moves))
-            rows += [(seg, slot, m.group_id, m.gb, m.bin, a, j, s, n, False, moves) for a, j, s, n in m.items]
-        return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), KINDS)], names=NAMES)
-
     part = F.lit(0).cast("bigint") if segment is None else F.floor(F.col("gb") / segment).cast("bigint")
-    walked = items.select("group_id", "gb", "bin", "adapter_id", "sample_id", "tok_len", part.alias("segment"))
-    walked = spread(walked, "segment").groupBy("segment").applyInArrow(run, ROWS)
+    walked = spread(items.select("group_id", "gb", "bin", "adapter_id", "sample_id", "tok_len", part.alias("segment")), "segment")
+    each = walked.groupBy("segment").agg(F.collect_list(F.struct("group_id", "gb", "bin", "adapter_id", "sample_id", "tok_len")).alias("items"))
+    seam = max(0, spacing - 1) if segment is not None else 0
+    limits = whole(capacity), whole(multiple), whole(stages), whole(spacing), F.lit(merge), F.lit(scope == "interleaved"), F.lit(guard), whole(seam)
+    slots = kernel(items.sparkSession, "Merge", *[F.col("items")[c] for c in ("group_id", "gb", "bin", "adapter_id", "sample_id", "tok_len")], *limits)
+    walked = each.select("segment", F.inline(slots)).select(*NAMES)
     return with_positions(walked)
 
 

@@ -3,6 +3,8 @@
 import random
 
 from adapterlab.operators import packing as P
+from adapterlab.operators.schedule import Micro, build_schedule, merge_pass, order_micros, verify_and_fix
+from adapterlab.simulate.pipeline import PipeConfig, simulate, simulate_pipeline
 
 
 def plan_of(df):
@@ -27,3 +29,50 @@ def test_packing_kernel_equals_pack_batch(spark):
             want = P.pack_batch(items, 1056 if multiple == 48 else 1024, multiple, **options)
             assert sorted((x.bin, x.adapter_id, x.sample_id, x.tok_len) for x in got[j]) == sorted((k, *x) for k, b in enumerate(want.bins) for x in b.items)
             assert {(x.solver_path, x.stage1, x.stage2, x.nodes) for x in got[j]} == {(want.path, want.stage1, want.stage2, want.nodes)}
+
+
+def test_merge_kernel_equals_the_python_walk(spark):
+    r = random.Random(3)
+    for trial in range(8):
+        gap, scope, guard = r.choice([1, 3, 6]), r.choice(["interleaved", "within_group"]), trial % 2 == 0
+        packed = [(g, j, b, f"a{g}{r.randint(0, 1)}", 100 * j + 10 * b + k, r.randint(1, 90)) for j in range(9) for g in range(2) for b in range(r.randint(0, 3)) for k in range(r.randint(1, 4))]
+        items = spark.createDataFrame(packed, "group_id int, gb bigint, bin int, adapter_id string, sample_id bigint, tok_len bigint")
+        made = build_schedule(items, 512, 8, 4, gap, scope=scope, segment=4, guard=guard)
+        want = []
+        for segment in sorted({j // 4 for _, j, *_ in packed}):
+            bins = {}
+            for g, j, b, a, s, n in packed:
+                if j // 4 == segment:
+                    bins.setdefault((g, j, b), []).append((a, j, s, n))
+            fresh = lambda: order_micros([Micro(*k, sorted(x)) for k, x in bins.items()], 8)  # noqa: B023, E731
+            plain, (left, moves) = verify_and_fix(fresh(), gap), merge_pass(fresh(), 512, 8, gap, scope)
+            best = verify_and_fix(left, gap)
+            cost = lambda ms: simulate([(m.load(8), [(a, j) for a, j, *_ in m.items]) for m in ms], PipeConfig(stages=4)).makespan
+            if guard and moves and cost(best) > cost(plain):
+                best, moves = plain, 0
+            last = fresh()[-1].gb
+            best = best + [Micro(-1, last, -1, [], True) for _ in range(gap - 1)]
+            for slot, m in enumerate(best):
+                want += [(segment, slot, m.group_id, m.gb, m.bin, None, None, None, 0, True, moves)] if m.noop else []
+                want += [(segment, slot, m.group_id, m.gb, m.bin, a, j, s, n, False, moves) for a, j, s, n in m.items]
+        assert sorted(map(str, want)) == sorted(str(tuple(x)) for x in made.drop("pos").collect())
+
+
+def test_simulation_kernel_equals_the_python_events(spark):
+    r = random.Random(2)
+    for replicas, sync, extra in ((1, 0.0, 0.05), (2, 17.5, 0.0), (4, 3.0, 0.05)):
+        rows, want = [], {}
+        for k in range(12):
+            stages, micros = r.choice([1, 2, 4]), []
+            for j in range(r.randint(1, 9)):
+                for _ in range(replicas * r.randint(1, 2)):
+                    keys = sorted({(r.choice("abc"), j) for _ in range(r.randint(1, 3))})
+                    micros.append((0, []) if r.random() < 0.1 else (r.randint(1, 99), keys))
+            t = simulate(micros, PipeConfig(stages=stages, per_token=1.59, last_extra=extra, sync=sync), replicas=replicas)
+            want[f"r{k}"] = (t.makespan, sum(t.busy), t.bubble, sum(n > 0 for n, _ in micros), sum(n + 1 for n, _ in micros))
+            rows += [(f"r{k}", pos, n, n + 1, [{"adapter_id": a, "batch": j} for a, j in keys], stages) for pos, (n, keys) in enumerate(micros)]
+        r.shuffle(rows)
+        runs = spark.createDataFrame(rows, "run_id string, pos int, cost_tokens int, real_tokens int, keys array<struct<adapter_id string, batch bigint>>, stages int")
+        done = simulate_pipeline(runs, PipeConfig(per_token=1.59, last_extra=extra, sync=sync), replicas=replicas)
+        assert "InPandas" not in plan_of(done)
+        assert {x.run_id: tuple(x)[1:] for x in done.collect()} == want
