@@ -9,8 +9,8 @@ from __future__ import annotations
 
 import os
 import tempfile
+import threading
 import zipfile
-from functools import lru_cache
 from pathlib import Path
 
 from pyspark.sql import Column, SparkSession
@@ -23,10 +23,14 @@ SLOTS = "slot bigint, group_id int, gb bigint, bin int, adapter_id string, batch
 KERNELS = {"Pack": f"array<struct<{PACKED}>>", "Merge": f"array<struct<{SLOTS}>>", "Simulate": "struct<makespan double, busy double, bubble double>"}
 
 
-@lru_cache(None)
-def jar(application: str) -> str:
-    """The jar with the compiled classes, one for each application."""
-    compiler = SparkSession.active()._jvm.org.codehaus.janino.SimpleCompiler()
+LOCK = threading.Lock()  # plans may be made side by side
+_jars: dict[str, str] = {}  # by application
+_sessions: set[str] = set()  # where the functions are known
+
+
+def compiled(spark: SparkSession) -> str:
+    """A jar with the classes of the source."""
+    compiler = spark._jvm.org.codehaus.janino.SimpleCompiler()
     compiler.cook(SOURCE.read_text())
     path = os.path.join(os.path.realpath(tempfile.mkdtemp(prefix="adapterlab-kernels-")), "adapterlab-kernels.jar")
     classes = compiler.getBytecodes()
@@ -36,21 +40,26 @@ def jar(application: str) -> str:
     return path
 
 
-@lru_cache(None)
-def registered(application: str, session: str) -> None:
-    spark = SparkSession.active()
-    spark.sql(f"ADD JAR '{jar(application)}'")
-    inner, none = spark._jsparkSession, spark.sparkContext._gateway.new_array
+def register(spark: SparkSession, application: str) -> None:
+    if application not in _jars:
+        _jars[application] = compiled(spark)
+    spark.sql(f"ADD JAR '{_jars[application]}'")
+    inner, array = spark._jsparkSession, spark.sparkContext._gateway.new_array
     loader = inner.sharedState().jarClassLoader()
     for name, kind in KERNELS.items():
-        made = loader.loadClass(f"adapterlab.{name}").getDeclaredConstructor(none(spark._jvm.java.lang.Class, 0)).newInstance(none(spark._jvm.java.lang.Object, 0))
+        made = loader.loadClass(f"adapterlab.{name}").getDeclaredConstructor(array(spark._jvm.java.lang.Class, 0)).newInstance(array(spark._jvm.java.lang.Object, 0))
         schema = StructType.fromDDL(f"x {kind}")["x"].dataType
         inner.udf().register(f"adapterlab_{name}", made, inner.parseDataType(schema.json()))
 
 
 def kernel(spark: SparkSession, name: str, *args: Column) -> Column:
     """A call of one of the KERNELS."""
-    registered(spark.sparkContext.applicationId, spark._jsparkSession.sessionUUID())
+    application = spark.sparkContext.applicationId
+    session = f"{application}/{spark._jsparkSession.sessionUUID()}"
+    with LOCK:
+        if session not in _sessions:
+            register(spark, application)
+            _sessions.add(session)
     return F.call_udf(f"adapterlab_{name}", *args)
 
 

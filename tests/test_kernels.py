@@ -3,7 +3,10 @@
 import random
 
 from adapterlab.operators import packing as P
+from adapterlab.operators.numbering import rank_within
 from adapterlab.operators.schedule import Micro, build_schedule, merge_pass, order_micros, verify_and_fix
+from adapterlab.plans.planner import global_batches
+from adapterlab.samples import het_adapters, token_samples
 from adapterlab.simulate.pipeline import PipeConfig, simulate, simulate_pipeline
 
 
@@ -76,3 +79,11 @@ def test_simulation_kernel_equals_the_python_events(spark):
         done = simulate_pipeline(runs, PipeConfig(per_token=1.59, last_extra=extra, sync=sync), replicas=replicas)
         assert "InPandas" not in plan_of(done)
         assert {x.run_id: tuple(x)[1:] for x in done.collect()} == want
+
+
+def test_ranked_samples_give_the_same_batches(spark, sf_dir):
+    """The scaling study ranks samples once for all sizes of a batch."""
+    adapters = het_adapters(8)
+    samples = token_samples(spark, sf_dir, adapters)
+    plain, kept = (sorted(map(tuple, global_batches(spark, s, adapters).collect())) for s in (samples, rank_within(samples, ["adapter_id"], ["order_key", "sample_id"])))
+    assert plain and plain == kept
