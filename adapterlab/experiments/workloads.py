@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import time
-from functools import reduce
+from functools import partial, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,10 +17,10 @@ from adapterlab.operators.baselines import baseline_pipeline, baseline_uniform_f
 from adapterlab.operators.batching import imbalance, microbatch_tokens
 from adapterlab.operators.packing import bin_loads, pack_batches, solver_report
 from adapterlab.operators.schedule import build_schedule, schedule_counts
-from adapterlab.plans.planner import Options, as_runs, global_batches, schedule_batches, simulate_schedule
+from adapterlab.plans.planner import Options, as_runs, global_batches, pack, schedule_batches, schedule_packed, simulate_schedule
 from adapterlab.plans.tuner import scaling_study, tune
 from adapterlab.samples import Adapter, dataset_lengths, equal_samples, het_adapters, homogeneous_adapters, layer_rows, token_samples
-from adapterlab.session import checkpointed
+from adapterlab.session import checkpointed, side_by_side
 from adapterlab.simulate.pipeline import PipeConfig, simulate_pipeline
 from adapterlab.simulate.presets import HARDWARE, MODELS, pipe_config
 from adapterlab.simulate.sharded import ideal_run, simulate_sharded
@@ -85,26 +85,37 @@ def _micro(spark: SparkSession, sf_dir: str, adapters: list[Adapter], options: O
 def compare(spark: SparkSession, sf_dir: str, cases: list[tuple[str, list[Adapter], str, str]]) -> DataFrame:
     """Both sequential baselines, uniform filling and the full method: (workload, method, makespan, bubble, tokens, rate).
 
-    cases: (name, adapters, model preset, hardware). Schedules are made once for all cases that share them; all
-    simulations run side by side.
+    cases: (name, adapters, model preset, hardware). What cases share is made once, for several sets of adapters at a time:
+    samples by adapters, batches, baselines and packing by capacity, schedules by options. All simulations run side by side.
     """
     factors = kernel_factors(spark)
-    made: dict[tuple, tuple[DataFrame, DataFrame, DataFrame]] = {}
+    chosen = [FAST.with_(stages=MODELS[preset].stages, capacity=max(1024, int(MODELS[preset].capacity * HARDWARE[hardware][0] / 2))) for _, _, preset, hardware in cases]
+
+    def prepared(adapters: list[Adapter], wanted: list[Options]) -> dict[tuple, tuple[DataFrame, DataFrame, DataFrame, DataFrame]]:
+        samples, out, packings = checkpointed(_samples(spark, sf_dir, adapters)), {}, {}
+        for options in dict.fromkeys(wanted):
+            shared = options.with_(stages=0)  # neither batches nor their packing depend on the stages
+            if shared not in packings:
+                batches = checkpointed(global_batches(spark, samples, adapters, options))
+                micro = checkpointed(fixed_microbatches(batches))
+                packings[shared] = micro, checkpointed(baseline_pipeline(micro)), checkpointed(baseline_uniform_fill(micro)), checkpointed(pack(batches, options))
+            *baselines, packed = packings[shared]
+            out[(tuple(adapters), options)] = (*baselines, schedule_packed(packed, options))
+        return out
+
+    by_set: dict[tuple, list[Options]] = {}
+    for (_, adapters, *_), options in zip(cases, chosen):
+        by_set.setdefault(tuple(adapters), []).append(options)
+    made = {k: v for one in side_by_side(spark, [partial(prepared, list(a), o) for a, o in by_set.items()]) for k, v in one.items()}
     runs, sharded = [], []
-    for name, adapters, preset, hardware in cases:
+    for (name, adapters, preset, hardware), options in zip(cases, chosen):
         p = MODELS[preset]
-        options = FAST.with_(stages=p.stages, capacity=max(1024, int(p.capacity * HARDWARE[hardware][0] / 2)))
-        key = (tuple(adapters), options)
-        if key not in made:
-            batches = checkpointed(global_batches(spark, _samples(spark, sf_dir, adapters), adapters, options))
-            micro = checkpointed(fixed_microbatches(batches))
-            made[key] = (micro, checkpointed(baseline_pipeline(micro)), schedule_batches(batches, options))
-        micro, sequential, schedule = made[key]
+        micro, sequential, filled, schedule = made[(tuple(adapters), options)]
         label = f"{preset}/{name}/{hardware}"
         stock, fused = pipe_config(p, factors["naive"], hardware), pipe_config(p, factors["routed"], hardware)
         for method, rows, config in (
             ("sequential_pipeline", baseline_runs(sequential, f"{label}|sequential_pipeline", p.stages), stock),
-            ("uniform_fill", baseline_runs(baseline_uniform_fill(micro), f"{label}|uniform_fill", p.stages), stock),
+            ("uniform_fill", baseline_runs(filled, f"{label}|uniform_fill", p.stages), stock),
             ("method", as_runs(schedule, f"{label}|method", p.stages), fused),
         ):
             runs.append(rows.withColumns({"per_token": F.lit(config.per_token), "last_extra": F.lit(config.last_extra)}))

@@ -1,7 +1,9 @@
 """The functions of Kernels.java against the Python that says the same a step at a time."""
 
 import random
+from collections import Counter
 
+from adapterlab.experiments import workloads
 from adapterlab.operators import packing as P
 from adapterlab.operators.numbering import rank_within
 from adapterlab.operators.schedule import Micro, build_schedule, merge_pass, order_micros, verify_and_fix
@@ -87,3 +89,15 @@ def test_ranked_samples_give_the_same_batches(spark, sf_dir):
     samples = token_samples(spark, sf_dir, adapters)
     plain, kept = (sorted(map(tuple, global_batches(spark, s, adapters).collect())) for s in (samples, rank_within(samples, ["adapter_id"], ["order_key", "sample_id"])))
     assert plain and plain == kept
+
+
+def test_cases_share_what_they_have_in_common(spark, sf_dir, monkeypatch):
+    """Samples are made once for a set of adapters, and packed once for a capacity; rows are those of each case by itself."""
+    calls = Counter()
+    for name in ("equal_samples", "pack"):
+        monkeypatch.setattr(workloads, name, lambda *a, name=name, f=getattr(workloads, name): (calls.update([name]), f(*a))[1])
+    a = het_adapters()
+    cases = [("het", a, "medium", "first"), ("het", a, "large", "first")]
+    both = sorted(map(tuple, workloads.compare(spark, sf_dir, cases).collect()), key=str)
+    assert calls == {"equal_samples": 1, "pack": 1}
+    assert both == sorted((tuple(x) for case in cases for x in workloads.compare(spark, sf_dir, [case]).collect()), key=str)
