@@ -3,6 +3,7 @@
 import random
 from collections import Counter
 
+from adapterlab import registry, surrounding  # noqa: F401
 from adapterlab.experiments import workloads
 from adapterlab.operators import packing as P
 from adapterlab.operators.numbering import rank_within
@@ -101,3 +102,14 @@ def test_cases_share_what_they_have_in_common(spark, sf_dir, monkeypatch):
     both = sorted(map(tuple, workloads.compare(spark, sf_dir, cases).collect()), key=str)
     assert calls == {"equal_samples": 1, "pack": 1}
     assert both == sorted((tuple(x) for case in cases for x in workloads.compare(spark, sf_dir, [case]).collect()), key=str)
+
+
+def test_speedup_cube_runs_no_python_over_rows(spark, sf_dir, monkeypatch):
+    """The cube is over every workload and method, and its simulations are plans without Python workers."""
+    plans, inner = [], workloads.simulate_pipeline
+    monkeypatch.setattr(workloads, "simulate_pipeline", lambda *a, **b: (plans.append(plan_of(out := inner(*a, **b))), out)[1])
+    full = workloads.compare
+    monkeypatch.setattr(workloads, "compare", lambda s, d, cases: full(s, d, [c for c in cases if c[0] == "short"]))
+    rows = registry.QUERIES["speedup_cube"](spark, sf_dir).collect()
+    assert len(plans) == 1 and "InPandas" not in plans[0] and "InArrow" not in plans[0]
+    assert len(rows) == 4 * 2 * 5 and {r.dataset for r in rows} == {"short", None}  # three models, one dataset, four methods, and all of each
